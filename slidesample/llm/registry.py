@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import url_filter
+from . import mixing, sharding, url_filter
 
-_MODULES = [url_filter]
+_MODULES = [url_filter, mixing, sharding]
 
 
 def queries():
