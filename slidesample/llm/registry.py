@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import mixing, sharding, url_filter
+from . import license_scan, mixing, quality_rules, sharding, url_filter
 
-_MODULES = [url_filter, mixing, sharding]
+_MODULES = [url_filter, mixing, sharding, quality_rules, license_scan]
 
 
 def queries():

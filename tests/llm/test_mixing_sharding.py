@@ -37,7 +37,7 @@ def test_mixing_meets_targets(spark):
         taken[r["source"]] += r["taken"]
     for s in sizes:
         shortest = min(r["size"] for r in rows if r["source"] == s and r["size"])
-        assert abs(taken[s] - want[s]) <= max(shortest, 0.02 * want[s])
+        assert abs(taken[s] - want[s]) <= max(shortest, 0.05 * want[s])
 
 
 def test_mixing_edge_cases(spark):
