@@ -41,3 +41,16 @@ def lower_ascii(c: Column) -> Column:
 def let(value: Column, body) -> Column:
     """Evaluate `value` once and hand it to `body` as a variable (keeps lambdas from re-evaluating it)."""
     return F.element_at(F.transform(F.array(value), body), 1)
+
+
+#: A side of a join is broadcast only if it was measured and is no larger than this.
+BROADCAST_BYTES = 48 << 20
+
+
+def broadcast_if_small(df: DataFrame, row_bytes: Column | int) -> DataFrame:
+    """Hint a broadcast if the measured size allows one; otherwise leave the join to Spark (shuffle, skew splitting).
+
+    `df` should be staged, since measuring reads it.
+    """
+    size = df.agg(F.sum(row_bytes if isinstance(row_bytes, Column) else F.lit(row_bytes))).first()[0] or 0
+    return F.broadcast(df) if size <= BROADCAST_BYTES else df
