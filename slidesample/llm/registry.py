@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import html_text, license_scan, mixing, quality_model, quality_rules, repeats, sharding, tiling, url_filter
+from . import html_text, jaccard, license_scan, mixing, quality_model, quality_rules, repeats, sharding, tiling, url_filter
 
-_MODULES = [quality_model, url_filter, tiling, mixing, sharding, quality_rules, html_text, repeats, license_scan]
+_MODULES = [quality_model, url_filter, tiling, mixing, sharding, jaccard, quality_rules, html_text, repeats, license_scan]
 
 
 def queries():
