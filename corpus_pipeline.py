@@ -1,8 +1,62 @@
-"""Corpus preparation in five stages."""
+"""Corpus preparation in five stages, each on all that its predecessor kept.
 
-STAGES: list = []
+quality rules -> one document of each group of near copies -> benchmark decontamination -> mixing sources -> sharding.
+Every stage takes (spark, docs, sf_dir); all but the last return the columns of `docs`.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from slidesample.llm import jaccard, mixing, quality_rules, sharding, tiling
+from slidesample.llm.common import broadcast_if_small, staged, table
+
+
+def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that pass the base rules and the risk-controlled cutoffs."""
+    return quality_rules.kept_documents(docs, table(spark, sf_dir, "labels"))
+
+
+def near_copy_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The smallest doc_id of each component of near copies (five-word shingles, similarity 0.8)."""
+    found = jaccard.jaccard_components(docs, words=5, percent=80)
+    gone = staged(found.where("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct(), "pipeline-copies")
+    return docs.join(broadcast_if_small(gone, 16), F.col("doc_id") == F.col("_gone"), "left_anti")
+
+
+def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that contain no benchmark item."""
+    return tiling.without_leaks(docs, table(spark, sf_dir, "benchmark"))
+
+
+def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """As many copies of each document as the mix takes (none to three)."""
+    copies = mixing.mix(docs.select("doc_id", "source", "text")).where("copies > 0").groupBy(F.col("doc_id").alias("_id")).agg(F.max("copies").alias("_copies"))
+    copies = broadcast_if_small(staged(copies, "pipeline-copies-taken"), 32)
+    taken = docs.join(copies, F.col("doc_id") == F.col("_id"))
+    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*docs.columns)
+
+
+def sharding_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every row with its shard and slot."""
+    return sharding.shard_rows(docs, keep=("lang", "source", "n_chars", "text")).select("doc_id", "text", "lang", "source", "n_chars", "size", "text_crc32", "shard", "slot")
+
+
+STAGES = [
+    ("quality_rules", quality_stage),
+    ("ngram_jaccard_join", near_copy_stage),
+    ("decontamination", decontamination_stage),
+    ("mixing", mixing_stage),
+    ("sharding", sharding_stage),
+]
+
+#: Labels, tilings, tilts and permutations have no SQL; tests compare each stage with a brute-force version.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for name, stage in STAGES:
+        docs = staged(stage(spark, docs, sf_dir), f"pipeline-{name}")
+    return docs
