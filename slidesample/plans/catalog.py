@@ -2,14 +2,24 @@
 
 from __future__ import annotations
 
+from slidesample.plans import q_sampling
+
+_MODULES = [q_sampling]
+
 
 def flagship(spark, sf_dir):
-    raise NotImplementedError
+    return queries()["quota_by_window"](spark, sf_dir)
 
 
 def queries():
-    return {}
+    out = {}
+    for m in _MODULES:
+        out.update(m.QUERIES)
+    return out
 
 
 def oracle_sql():
-    return {}
+    out = {}
+    for m in _MODULES:
+        out.update(m.ORACLE)
+    return out
