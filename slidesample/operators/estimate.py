@@ -1,6 +1,6 @@
 """Estimates with margins from stratified samples.
 
-Everything starts from per-stratum partials (n_seen B, n_sampled b, Σv, Σv²), which merge; margins are t-scores times the square root
+Everything starts from per-stratum partials (items seen `n_all`, sampled `b`, Σv, Σv²), which merge; margins are t-scores times the square root
 of the estimated variance of the statistic.  Degenerate strata: all items sampled contribute no variance; one sampled item
 of several borrows the pooled variance and raises a flag; a seen but unsampled stratum voids the estimate; without degrees of freedom there
 is no margin.
@@ -23,8 +23,8 @@ def stratum_parts(sample: DataFrame, counts: DataFrame, value: Column, by: tuple
     """Partials per stratum; strata without sampled items keep their counts."""
     v = value.cast("decimal(18,2)")
     sums = sample.groupBy(*by, "stratum").agg(F.count("*").alias("b"), F.sum(v).alias("sv"), F.sum(v * v).alias("svv"))
-    return counts.select(*by, "stratum", F.col("n_seen").alias("B")).join(sums, [*by, "stratum"], "left").select(
-        *by, "stratum", "B", F.coalesce("b", F.lit(0).cast("long")).alias("b"), F.coalesce(F.col("sv").cast("double"), F.lit(0.0)).alias("sv"), F.coalesce(F.col("svv").cast("double"), F.lit(0.0)).alias("svv")
+    return counts.select(*by, "stratum", F.col("n_seen").alias("n_all")).join(sums, [*by, "stratum"], "left").select(
+        *by, "stratum", "n_all", F.coalesce("b", F.lit(0).cast("long")).alias("b"), F.coalesce(F.col("sv").cast("double"), F.lit(0.0)).alias("sv"), F.coalesce(F.col("svv").cast("double"), F.lit(0.0)).alias("svv")
     )
 
 
@@ -38,15 +38,15 @@ def total_terms(parts: DataFrame, by: tuple[str, ...], s2: Column | None = None)
     with_s2 = parts.withColumn("s2", s2)
     pooled = F.sum(F.col("s2") * (F.col("b") - 1)).over(_group(by)) / F.sum(F.when(F.col("b") > 1, F.col("b") - 1)).over(_group(by))
     with_s2 = with_s2.withColumn("_s2", F.coalesce("s2", pooled))
-    term = F.when(F.col("b") == 0, F.lit(0.0)).when(F.col("B") == F.col("b"), F.lit(0.0)).otherwise(F.col("B") * (F.col("B") - F.col("b")) * F.col("_s2") / F.col("b"))
+    term = F.when(F.col("b") == 0, F.lit(0.0)).when(F.col("n_all") == F.col("b"), F.lit(0.0)).otherwise(F.col("n_all") * (F.col("n_all") - F.col("b")) * F.col("_s2") / F.col("b"))
     return with_s2.groupBy(*by).agg(
-        F.sum(F.when(F.col("b") > 0, F.col("B") / F.col("b") * F.col("sv")).otherwise(0.0)).alias("estimate"),
+        F.sum(F.when(F.col("b") > 0, F.col("n_all") / F.col("b") * F.col("sv")).otherwise(0.0)).alias("estimate"),
         F.sum(term).alias("variance"),
         (F.sum("b") - F.count(F.when(F.col("b") > 0, 1))).alias("df"),
         F.sum("b").alias("n_sampled"),
-        F.sum("B").alias("n_seen"),
-        F.max(F.when((F.col("b") == 1) & (F.col("B") > 1), 1).otherwise(0)).alias("pooled"),
-        F.max(F.when((F.col("b") == 0) & (F.col("B") > 0), 1).otherwise(0)).alias("refused"),
+        F.sum("n_all").alias("n_seen"),
+        F.max(F.when((F.col("b") == 1) & (F.col("n_all") > 1), 1).otherwise(0)).alias("pooled"),
+        F.max(F.when((F.col("b") == 0) & (F.col("n_all") > 0), 1).otherwise(0)).alias("refused"),
     )
 
 
@@ -67,10 +67,10 @@ def with_margin(terms: DataFrame, confidence: float = CONFIDENCE, scale: Column
         terms.withColumn("_e", estimate)
         .withColumn("_m", F.when(F.col("refused") == 0, margin))
         .drop("estimate")
-        .withColumn("estimate", F.round("_e", 4))
-        .withColumn("margin", F.round("_m", 4))
-        .withColumn("lower", F.round(F.col("_e") - F.col("_m"), 4))
-        .withColumn("upper", F.round(F.col("_e") + F.col("_m"), 4))
+        .withColumn("estimate", F.round("_e", 6))
+        .withColumn("margin", F.round("_m", 6))
+        .withColumn("lower", F.round(F.col("_e") - F.col("_m"), 6))
+        .withColumn("upper", F.round(F.col("_e") + F.col("_m"), 6))
         .withColumn("small_sample", F.col("n_sampled") < 30)
         .drop("_e", "_m", "variance")
     )
@@ -91,7 +91,7 @@ def estimate_count(sample, counts, predicate: Column, by=("window_id",), confide
 def estimate_by_group(sample: DataFrame, counts: DataFrame, value: Column, group: str, by=("window_id",), confidence=CONFIDENCE) -> DataFrame:
     """Totals of each value of `group`; an item of another group counts as zero in its stratum's variance."""
     v = value.cast("decimal(18,2)")
-    sizes = sample.groupBy(*by, "stratum").agg(F.count("*").alias("b")).join(counts.select(*by, "stratum", F.col("n_seen").alias("B")), [*by, "stratum"])
+    sizes = sample.groupBy(*by, "stratum").agg(F.count("*").alias("b")).join(counts.select(*by, "stratum", F.col("n_seen").alias("n_all")), [*by, "stratum"])
     sums = sample.groupBy(*by, "stratum", group).agg(F.sum(v).cast("double").alias("sv"), F.sum(v * v).cast("double").alias("svv"))
     groups = sums.select(*by, group).distinct()
     parts = groups.join(sizes, list(by)).join(sums, [*by, "stratum", group], "left").fillna(0.0, ["sv", "svv"])
@@ -103,11 +103,11 @@ def estimate_ratio(sample: DataFrame, counts: DataFrame, num: Column, den: Colum
     sums = sample.groupBy(*by, "stratum").agg(
         F.count("*").alias("b"), *[F.sum(x).cast("double").alias(n) for n, x in (("sn", num), ("sd", den), ("snn", num * num), ("snd", num * den), ("sdd", den * den))]
     )
-    parts = counts.select(*by, "stratum", F.col("n_seen").alias("B")).join(sums, [*by, "stratum"])
-    weight = F.col("B") / F.col("b")
+    parts = counts.select(*by, "stratum", F.col("n_seen").alias("n_all")).join(sums, [*by, "stratum"])
+    weight = F.col("n_all") / F.col("b")
     ratio = parts.withColumn("r", F.sum(weight * F.col("sn")).over(_group(by)) / F.sum(weight * F.col("sd")).over(_group(by))).withColumn("den", F.sum(weight * F.col("sd")).over(_group(by)))
     r = F.col("r")
-    residual = ratio.select(*by, "stratum", "B", "b", "r", "den", (F.col("sn") - r * F.col("sd")).alias("sv"), (F.col("snn") - 2 * r * F.col("snd") + r * r * F.col("sdd")).alias("svv"))
+    residual = ratio.select(*by, "stratum", "n_all", "b", "r", "den", (F.col("sn") - r * F.col("sd")).alias("sv"), (F.col("snn") - 2 * r * F.col("snd") + r * r * F.col("sdd")).alias("svv"))
     terms = total_terms(residual, by)
     keep = residual.groupBy(*by).agg(F.first("r").alias("_r"), F.first("den").alias("_d"))
     joined = terms.join(keep, list(by)).withColumn("estimate", F.col("_r") * F.col("_d"))
@@ -128,7 +128,7 @@ def estimate_extreme(sample: DataFrame, value: Column, blocks: int, by=("window_
 
 def bootstrap_total(sample: DataFrame, counts: DataFrame, reps: int = 200, seed: int = 9) -> DataFrame:
     """Percentile interval of the total from Poisson bootstrap replicates, per window."""
-    sized = sample.join(counts.select("window_id", "stratum", F.col("n_seen").alias("B")), ["window_id", "stratum"]).select("window_id", "stratum", "item_id", F.col("value").cast("double").alias("value"), "B")
+    sized = sample.join(counts.select("window_id", "stratum", F.col("n_seen").alias("n_all")), ["window_id", "stratum"]).select("window_id", "stratum", "item_id", F.col("value").cast("double").alias("value"), "n_all")
 
     def run(key, pdf):
         pdf = pdf.sort_values(["stratum", "item_id"])
@@ -137,7 +137,7 @@ def bootstrap_total(sample: DataFrame, counts: DataFrame, reps: int = 200, seed:
         for _, part in pdf.groupby("stratum"):
             w = rng.poisson(1.0, size=(len(part), reps))
             n = np.maximum(w.sum(axis=0), 1)
-            totals += part["B"].iloc[0] * (part["value"].to_numpy() @ w) / n
+            totals += part["n_all"].iloc[0] * (part["value"].to_numpy() @ w) / n
         return pd.DataFrame({"window_id": [key[0]], "mean": [totals.mean()], "lower": [np.quantile(totals, 0.025)], "upper": [np.quantile(totals, 0.975)]})
 
     return sized.groupBy("window_id").applyInPandas(run, "window_id long, mean double, lower double, upper double")

@@ -142,7 +142,7 @@ FROM (SELECT *, sum(s2 * (b - 1)) OVER (PARTITION BY {by}) / sum(CASE WHEN b > 1
 
 def margin_sql(terms: str, by: str = "window_id", confidence: float = 0.95, scale: str = "1.0") -> str:
     t = t_quantile_sql("df", 1 - (1 - confidence) / 2)
-    return f"""SELECT {by}, df, n_sampled, n_seen, pooled, refused, round(e, 4) AS estimate, round(m, 4) AS margin, round(e - m, 4) AS "lower", round(e + m, 4) AS "upper", n_sampled < 30 AS small_sample
+    return f"""SELECT {by}, df, n_sampled, n_seen, pooled, refused, round(e, 6) AS estimate, round(m, 6) AS margin, round(e - m, 6) AS "lower", round(e + m, 6) AS "upper", n_sampled < 30 AS small_sample
 FROM (SELECT *, CASE WHEN refused = 0 THEN estimate / ({scale}) END AS e, CASE WHEN refused = 0 THEN CASE WHEN n_sampled = n_seen THEN 0.0 ELSE ({t}) * sqrt(variance) / ({scale}) END END AS m FROM ({terms}))"""
 
 
