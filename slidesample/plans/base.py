@@ -91,19 +91,19 @@ FROM (SELECT *, row_number() OVER (PARTITION BY {by} ORDER BY rest DESC, stratum
     SELECT {by}, stratum, n_seen, ({size}) AS sz, sum(n_seen) OVER (PARTITION BY {by}) AS k FROM {counts})))"""
 
 
-def events_sql(step_pct: int = 4, sample_pct: int = 10, sub_streams: bool = False, seed: str = SEED) -> str:
+def events_sql(step_pct: int = 4, sample_pct: int = 10, sub_streams: bool = False, seed: str = SEED, stratum: str | None = None, win: str | None = None, size: str = "SELECT ns FROM p") -> str:
     """CTEs p, items, win, assigned, counts, quota, sample (fresh) and csample (permanent priorities)."""
-    stratum = "event_type"
+    stratum = stratum or "event_type"
     if sub_streams:
         at = f"{priority_sql(chr(39) + 'sub' + chr(39), 'event_id')} % 12"
         stratum = f"CASE WHEN {at} < 3 THEN 'S1' WHEN {at} < 7 THEN 'S2' ELSE 'S3' END"
     s = f"'{seed}'"
     return f"""p AS (SELECT count(*) AS n, count(*) // 10 AS w, greatest(1, (count(*) // 10) * {step_pct} // 100) AS d, (count(*) // 10) * {sample_pct} // 100 AS ns FROM events),
 items AS (SELECT event_id AS item_id, event_id AS seq, ts, {stratum} AS stratum, CAST(value AS DECIMAL(18,2)) AS value, user_id, props FROM events),
-win AS (SELECT window_id, window_id * d AS lo, window_id * d + w AS hi FROM (SELECT unnest(range((n - w) // d + 1)) AS window_id, d, w FROM p)),
+win AS ({win or "SELECT window_id, window_id * d AS lo, window_id * d + w AS hi FROM (SELECT unnest(range((n - w) // d + 1)) AS window_id, d, w FROM p)"}),
 assigned AS (SELECT window_id, lo, items.*, {priority_sql(s, 'item_id', 'window_id')} AS u, {priority_sql(s, 'item_id')} AS u0 FROM win JOIN items ON seq >= lo AND seq < hi),
 counts AS (SELECT window_id, stratum, count(*) AS n_seen FROM assigned GROUP BY ALL),
-quota AS ({quota_sql('counts', 'SELECT ns FROM p')}),
+quota AS ({quota_sql('counts', size)}),
 sample AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY window_id, stratum ORDER BY u, item_id) AS rk FROM assigned) JOIN quota USING (window_id, stratum) WHERE rk <= quota),
 csample AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY window_id, stratum ORDER BY u0, item_id) AS rk FROM assigned) JOIN quota USING (window_id, stratum) WHERE rk <= quota)"""
 

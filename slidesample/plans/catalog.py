@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from slidesample.plans import q_estimates, q_sampling
+from slidesample.plans import q_estimates, q_runs, q_sampling
 
-_MODULES = [q_sampling, q_estimates]
+_MODULES = [q_sampling, q_estimates, q_runs]
 
 
 def flagship(spark, sf_dir):
