@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-from slidesample.plans import q_estimates, q_runs, q_sampling
+from slidesample.plans import q_estimates, q_runs, q_sampling, q_surface
 
-_MODULES = [q_sampling, q_estimates, q_runs]
+_MODULES = [q_sampling, q_estimates, q_runs, q_surface]
 
 
 def flagship(spark, sf_dir):
-    return queries()["quota_by_window"](spark, sf_dir)
+    return queries()["combined_sum_by_window"](spark, sf_dir)
 
 
 def queries():
