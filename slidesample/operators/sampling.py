@@ -35,6 +35,17 @@ def merge_bottom_k(candidates: DataFrame, panes: DataFrame, quotas: DataFrame, m
     return fixed_size_sample(candidates.join(panes, "pane"), quotas, most)
 
 
+def threshold_filter(items: DataFrame, quotas: DataFrame, span: float) -> DataFrame:
+    """Items whose permanent priority is small enough for some window: u / span below the largest sampling fraction of the stratum plus slack.
+
+    A plain predicate above the scan.  The slack of eight standard deviations makes a shortfall practically impossible; a window that still lacks
+    items shows as n_sampled below its quota.
+    """
+    slack = F.col("quota") / F.col("n_seen") * (1 + 8 / F.sqrt(F.greatest(F.lit(1), F.col("quota"))))
+    bounds = quotas.groupBy("stratum").agg(F.max(F.when(F.col("quota") > 0, slack).otherwise(0.0)).alias("_bound"))
+    return items.join(F.broadcast(bounds), "stratum").where(F.col("u") / F.lit(span) < F.col("_bound")).drop("_bound")  # one row per stratum
+
+
 def bernoulli_by_stratum(items: DataFrame, fractions: DataFrame, seed: int | str) -> DataFrame:
     """Each item independently with its stratum's fraction; size varies, no shuffle but the small join."""
     u = priority(seed, F.col("item_id")).cast("double") / F.lit(float(SPAN))

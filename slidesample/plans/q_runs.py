@@ -164,7 +164,7 @@ def coverage_by_confidence(spark, sf):
     )
 
 
-_LI = f"""li AS (SELECT concat_ws('-', l_orderkey, l_linenumber, l_partkey, l_suppkey, strftime(l_shipdate, '%Y-%m-%d')) AS item_id, 'q' || CAST(ceil(l_quantity / 10) AS BIGINT) AS stratum, CAST(l_extendedprice AS DECIMAL(18,2)) AS value FROM lineitem),
+_LI = f"""li AS (SELECT concat_ws('-', l_orderkey, l_linenumber, l_partkey, l_suppkey, strftime(l_shipdate, '%Y-%m-%d')) AS item_id, 'p' || CAST(floor(l_extendedprice / 20000) AS BIGINT) AS stratum, CAST(l_extendedprice AS DECIMAL(18,2)) AS value FROM lineitem),
 e AS (SELECT CAST(s AS BIGINT) AS window_id, li.*, {priority_sql('s', 'item_id')} AS u FROM li, (SELECT unnest(range(1, 21)) AS s)),
 counts AS (SELECT window_id, stratum, count(*) AS n_seen FROM e GROUP BY ALL), q AS ({quota_sql('counts', 'SELECT count(*) // 50 FROM lineitem')}),
 st AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY window_id, stratum ORDER BY u, item_id) AS rk FROM e) JOIN q USING (window_id, stratum) WHERE rk <= quota),
@@ -175,7 +175,7 @@ UNION ALL SELECT 'unstratified', window_id, CAST(sum(value) AS DOUBLE) * (SELECT
 
 @query(f"WITH {_LI} SELECT design, count(*) AS runs, round(stddev_samp(est) / 1e6, 4) AS spread_millions, round(avg(est) / (SELECT CAST(sum(value) AS DOUBLE) FROM li), 6) AS mean_ratio FROM r GROUP BY 1")
 def variance_by_design(spark, sf):
-    """Precision (spread of repeats) and accuracy (mean against the truth), stratified against one global reservoir; strata differ by quantity."""
+    """Precision (spread of repeats) and accuracy (mean against the truth), stratified against one global reservoir; strata are price bands."""
     items = tables.lineitem_items(spark, sf, band=True).select("item_id", "stratum", "value")
     total = items.count()
     size = total // 50

@@ -48,10 +48,10 @@ def thinned(items: DataFrame, weights: tuple[int, ...] = (3, 4, 5), salt: str =
 
 
 def lineitem_items(spark: SparkSession, sf_dir: str, band: bool = False) -> DataFrame:
-    """Line items by ship day; strata are flag and status, or bands of ten of the quantity."""
+    """Line items by ship day; strata are flag and status, or bands of the price (strata that really differ)."""
     li = load(spark, sf_dir, "lineitem")
     key = F.concat_ws("-", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", F.date_format("l_shipdate", "yyyy-MM-dd"))
-    stratum = F.concat(F.lit("q"), F.ceil(F.col("l_quantity") / 10).cast("string")) if band else F.concat("l_returnflag", "l_linestatus")
+    stratum = F.concat(F.lit("p"), F.floor(F.col("l_extendedprice") / 20000).cast("string")) if band else F.concat("l_returnflag", "l_linestatus")
     return li.select(
         key.alias("item_id"),
         F.datediff(F.col("l_shipdate").cast("date"), F.lit("1970-01-01").cast("date")).cast("long").alias("seq"),
