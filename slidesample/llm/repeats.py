@@ -150,7 +150,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     windows = met.mapInArrow(lambda it: shared_windows(it, length, gram), "doc_id long, start int, window long, anchor long")
     windows = staged(windows, "repeat-windows")
     least = windows.groupBy("window", "anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").drop("hi")
-    least = broadcast_if_small(staged(least, "repeat-least"), 40)
+    least = staged(least, "repeat-least")  # narrow rows on both sides: shuffled at every size
     starts = windows.join(least, ["window", "anchor"]).where("doc_id > lo").groupBy("doc_id").agg(F.sort_array(F.collect_set("start")).alias("starts"))
     # Maximal repeats: windows that touch or overlap join into one range of words.
     begins = F.filter("starts", lambda x, i: (i == 0) | (x - F.element_at("starts", F.greatest(i, F.lit(1))) > length))
