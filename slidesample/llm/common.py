@@ -26,7 +26,10 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def staged(df: DataFrame, tag: str) -> DataFrame:
-    """Write `df` as Parquet below the shared folder and read it back: cuts lineage, survives lost executors."""
+    """Write `df` as Parquet below the shared folder and read it back: cuts lineage, survives lost executors.
+
+    Results read these files, so the folder's `staged` part may go only once the results have been written.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/staged/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)

@@ -5,6 +5,7 @@ import re
 import pytest
 
 from slidesample.llm import html_text, jaccard, repeats, tiling
+from tests_llm_helpers import brute_components
 
 SF = "/root/testdata/sf0.001"
 
@@ -64,24 +65,6 @@ def test_repeats_when_nothing_fits_a_broadcast(spark, monkeypatch):
 # --- Jaccard ---------------------------------------------------------------------------------------------------------
 
 
-def brute_components(rows, n, percent):
-    sets = []
-    for i, t in rows:
-        w = (t or "").encode().lower().split()
-        sets.append((i, {tuple(w[j : j + n]) for j in range(max(1, len(w) - n + 1))} if w else set()))
-    label = {i: i for i, _ in sets}
-    changed = True
-    links = [(a, b) for x, (a, s) in enumerate(sets) for b, t in sets[x + 1 :] if s and t and 100 * len(s & t) >= percent * len(s | t)]
-    while changed:
-        changed = False
-        for a, b in links:
-            m = min(label[a], label[b])
-            if label[a] != m or label[b] != m:
-                label[a] = label[b] = m
-                changed = True
-    return sorted((i, len(s), label[i]) for i, s in sets)
-
-
 def near_copies(copies=60, seed=5):
     rnd = random.Random(seed)
     word = lambda: f"T{rnd.randrange(3000)}"
