@@ -39,7 +39,8 @@ FREQUENT = 24
 #: Rows of a bucket, and documents of a family, that meet in one block.
 BUCKET_BLOCK, FAMILY_BLOCK = 1500, 250
 FLUSH = 2_000_000
-_BITS = [256, 1024, 4096]
+#: Bits of the bitmaps: a power of two, at least the size of the set, between these.
+LEAST_BITS, MOST_BITS = 256, 4096
 
 
 def shingles(text: str | None, n: int) -> np.ndarray:
@@ -126,7 +127,7 @@ def needed(n, percent: int):
 
 def bitmap(s: np.ndarray) -> bytes:
     """Parity bitmap; equal members cancel, so differing bits never outnumber differing members."""
-    bits = _BITS[0] if len(s) <= 96 else _BITS[1] if len(s) <= 512 else _BITS[2]
+    bits = min(MOST_BITS, max(LEAST_BITS, 1 << max(0, len(s) - 1).bit_length()))
     ones = np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
     return np.packbits(ones.astype(np.uint8), bitorder="little").tobytes()
 
@@ -185,51 +186,97 @@ def runs_of(batches, keys: list[str]):
         yield held
 
 
-def folded(rows: list[np.ndarray], words: int) -> np.ndarray:
-    return np.stack([np.bitwise_xor.reduce(r.reshape(-1, words), axis=0) for r in rows])
-
-
-def forest(ids: np.ndarray, sizes: np.ndarray, maps: list[bytes], percent: int) -> list[tuple[int, int]]:
-    """Spanning forest of the pairs that sizes and bitmaps allow."""
-    raw = [np.frombuffer(x, np.uint64) for x in maps]
-    width = np.array([len(r) for r in raw])
-    levels = {}
-    for w in np.unique(width):
-        wide = np.flatnonzero(width >= w)
-        full = np.zeros((len(raw), w), np.uint64)
-        full[wide] = folded([raw[i] for i in wide], int(w))
-        levels[int(w)] = full
-    left, out = np.arange(len(ids)), []
-    while len(left):
-        stack, left = [int(left[0])], left[1:]
-        while stack and len(left):
-            i = stack.pop()
-            fits = (100 * np.minimum(sizes[left], sizes[i]) >= percent * np.maximum(sizes[left], sizes[i])) & (ids[left] != ids[i])
-            near = np.zeros(len(left), bool)
-            for w, full in levels.items():
-                chosen = np.flatnonzero(fits & (np.minimum(width[left], width[i]) == w))
-                if len(chosen):
-                    differ = np.bitwise_count(full[left[chosen]] ^ full[i]).sum(axis=1, dtype=np.int64)
-                    near[chosen] = (100 + percent) * differ <= (100 - percent) * (sizes[left[chosen]] + sizes[i])
-            for j in left[near]:
-                out.append((int(ids[i]), int(ids[j])))
-                stack.append(int(j))
-            left = left[~near]
-    return out
+class Bitmaps:
+    """Parity bitmaps of many rows; a wide one folds to a narrower one by XOR of its parts, so any two compare at the narrower width."""
+
+    def __init__(self, column: pa.Array):
+        offsets = np.frombuffer(column.buffers()[1], np.int32, len(column) + 1 + column.offset)[column.offset :].astype(np.int64)
+        data = np.frombuffer(column.buffers()[2], np.uint8)
+        self.width = (np.diff(offsets) // 8).astype(np.int64)
+        self.level: dict[int, np.ndarray] = {}
+        widths = np.unique(self.width).tolist()
+        for w in widths:
+            self.level[w] = np.zeros((len(column), w), np.uint64)
+        for v in widths:
+            rows = np.flatnonzero(self.width == v)
+            raw = np.ascontiguousarray(data[offsets[rows][:, None] + np.arange(v * 8)]).view(np.uint64)
+            for w in widths:
+                if w <= v:
+                    self.level[w][rows] = np.bitwise_xor.reduce(raw.reshape(len(rows), v // w, w), axis=1)
+
+    def near(self, i: np.ndarray, j: np.ndarray, limit: np.ndarray) -> np.ndarray:
+        """Rows i and j differ in at most `limit` bits, at every width that both have."""
+        ok = np.ones(len(i), bool)
+        least = np.minimum(self.width[i], self.width[j])
+        for w in sorted(self.level):
+            at = np.flatnonzero(ok & (least >= w))
+            if len(at):
+                full = self.level[w]
+                ok[at] = np.bitwise_count(full[i[at]] ^ full[j[at]]).sum(axis=1, dtype=np.int64) <= limit[at]
+        return ok
+
+
+#: Runs up to this length are compared pair by pair, all runs at once; longer ones leave a spanning forest.
+SHORT = 6
 
 
 def candidate_edges(batches, percent: int):
-    """token, i, j, gid, n, bits (sorted by token, i, j) -> edges a < b, each once per partition."""
-    seen: set[tuple[int, int]] = set()
-    for run in runs_of(batches, ["token", "i", "j"]):
-        if len(run) < 2:
+    """token, i, j, gid, n, bits (sorted by token, i, j) -> edges a < b."""
+
+    def edges(table: pa.Table):
+        gid, n = table["gid"].to_numpy(), table["n"].to_numpy()
+        run = run_numbers(table)
+        maps = Bitmaps(table["bits"].combine_chunks() if table["bits"].num_chunks != 1 else table["bits"].chunk(0))
+
+        def may_link(i, j):
+            ok = (gid[i] != gid[j]) & (100 * np.minimum(n[i], n[j]) >= percent * np.maximum(n[i], n[j]))
+            ok[ok] = maps.near(i[ok], j[ok], (100 - percent) * (n[i[ok]] + n[j[ok]]) // (100 + percent))
+            return ok
+
+        size = np.bincount(run)
+        found = []
+        small = size[run] <= SHORT
+        for d in range(1, SHORT):
+            i = np.flatnonzero(small[:-d] & (run[:-d] == run[d:])) if len(run) > d else np.zeros(0, np.int64)
+            keep = may_link(i, i + d)
+            found.append((gid[i[keep]], gid[i[keep] + d]))
+        starts = np.concatenate([[0], np.cumsum(size)])
+        for r in np.flatnonzero(size > SHORT):
+            left = np.arange(starts[r], starts[r + 1])
+            while len(left):
+                stack, left = [left[0]], left[1:]
+                while stack and len(left):
+                    i = stack.pop()
+                    near = may_link(np.full(len(left), i), left)
+                    found.append((np.full(int(near.sum()), gid[i]), gid[left[near]]))
+                    stack += left[near].tolist()
+                    left = left[~near]
+        a, b = np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
+        pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1) if len(a) else np.zeros((2, 0), np.int64)
+        return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["a", "b"])
+
+    held = None
+    for batch in batches:
+        table = pa.Table.from_batches([batch])
+        table = table if held is None else pa.concat_tables([held, table]).combine_chunks()
+        if not len(table):
             continue
-        for a, b in forest(run["gid"].to_numpy(), run["n"].to_numpy(), list(run["bits"]), percent):
-            seen.add((a, b) if a < b else (b, a))
-        if len(seen) >= 200_000:
-            yield pd.DataFrame(sorted(seen), columns=["a", "b"])
-            seen.clear()
-    yield pd.DataFrame(sorted(seen), columns=["a", "b"])
+        run = run_numbers(table)
+        last = int(np.searchsorted(run, run[-1]))  # the last run may go on in the next batch
+        if last:
+            yield edges(table.slice(0, last).combine_chunks())
+        held = table.slice(last)
+    if held is not None and len(held):
+        yield edges(held.combine_chunks())
+
+
+def run_numbers(table: pa.Table) -> np.ndarray:
+    """0, 1, … for consecutive rows of equal (token, i, j)."""
+    change = np.zeros(len(table), bool)
+    for k in ("token", "i", "j"):
+        v = table[k].to_numpy()
+        change[1:] |= v[1:] != v[:-1]
+    return np.cumsum(change)
 
 
 def in_blocks(rows: DataFrame, count: str, limit: int, key: str) -> DataFrame:
@@ -326,7 +373,7 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, id_co
     meeting = member.join(broadcast_if_small(alive, F.octet_length("bits") + 48), "gid")
     meeting = in_blocks(meeting, "c", BUCKET_BLOCK, "gid").select("token", "i", "j", "gid", "n", "bits")
     buckets = meeting.repartition("token", "i", "j").sortWithinPartitions("token", "i", "j")
-    edges = staged(buckets.mapInPandas(lambda it: candidate_edges(it, percent), "a long, b long").distinct(), "jaccard-candidates")
+    edges = staged(buckets.mapInArrow(lambda it: candidate_edges(it, percent), "a long, b long").distinct(), "jaccard-candidates")
 
     # families of groups, expanded to classes
     family = components(edges).withColumnRenamed("v", "gid")
