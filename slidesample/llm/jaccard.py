@@ -8,8 +8,9 @@ t * max(sizes) members.  Stages:
 2. Each document keeps an extended prefix of its set (n - ceil(t n) + l members, l = 5 % of n): linked sets share at least l of them.
    Equal sets are one class; classes of equal prefix and size are one group.
 3. Groups meet on prefix members.  Groups that share too few members with anybody leave.  In every bucket of a member, pairs must
-   agree in size, and a parity bitmap of the set bounds the symmetric difference from below; what passes is joined by a
-   spanning forest, so a bucket of thousands gives thousands of edges and not millions.
+   agree in size, and a parity bitmap of the set bounds the symmetric difference from below (of a group of several classes only the bits
+   that all its sets agree on count); what passes is joined by a spanning forest, so a bucket of thousands gives thousands of edges and
+   not millions.
 4. Connected candidates form families.  Families are expanded to their members, and the whole texts verified
    exactly inside each family, in blocks of bounded size (block pairs for large families); links again leave as forests.
 5. Components of the links give the smallest reachable document.
@@ -186,23 +187,33 @@ def runs_of(batches, keys: list[str]):
         yield held
 
 
-class Bitmaps:
-    """Parity bitmaps of many rows; a wide one folds to a narrower one by XOR of its parts, so any two compare at the narrower width."""
-
-    def __init__(self, column: pa.Array):
-        offsets = np.frombuffer(column.buffers()[1], np.int32, len(column) + 1 + column.offset)[column.offset :].astype(np.int64)
-        data = np.frombuffer(column.buffers()[2], np.uint8)
-        self.width = (np.diff(offsets) // 8).astype(np.int64)
-        self.level: dict[int, np.ndarray] = {}
-        widths = np.unique(self.width).tolist()
+def folded(column: pa.Array, widths: list[int], fold: np.ufunc, empty: int) -> tuple[np.ndarray, dict[int, np.ndarray]]:
+    """Width in words of each bitmap, and per width all bitmaps at least as wide, folded to it; other rows hold `empty`."""
+    offsets = np.frombuffer(column.buffers()[1], np.int32, len(column) + 1 + column.offset)[column.offset :].astype(np.int64)
+    data = np.frombuffer(column.buffers()[2], np.uint8)
+    width = np.diff(offsets) // 8
+    widths = widths or np.unique(width).tolist()
+    level = {w: np.full((len(column), w), np.uint64(empty)) for w in widths}
+    for v in widths:
+        rows = np.flatnonzero(width == v)
+        raw = np.ascontiguousarray(data[offsets[rows][:, None] + np.arange(v * 8)]).view(np.uint64)
         for w in widths:
-            self.level[w] = np.zeros((len(column), w), np.uint64)
-        for v in widths:
-            rows = np.flatnonzero(self.width == v)
-            raw = np.ascontiguousarray(data[offsets[rows][:, None] + np.arange(v * 8)]).view(np.uint64)
-            for w in widths:
-                if w <= v:
-                    self.level[w][rows] = np.bitwise_xor.reduce(raw.reshape(len(rows), v // w, w), axis=1)
+            if w <= v:
+                level[w][rows] = fold.reduce(raw.reshape(len(rows), v // w, w), axis=1)
+    return width, level
+
+
+class Bitmaps:
+    """Parity bitmaps of many groups; a wide one folds to a narrower one by XOR of its parts, so any two compare at the narrower width.
+
+    `known` marks the bits that all sets of a group agree on (null: it has one set); a folded bit is known if its parts are.
+    """
+
+    def __init__(self, bits: pa.Array, known: pa.Array):
+        self.width, self.level = folded(bits, [], np.bitwise_xor, 0)
+        self.known = None
+        if known.null_count < len(known):
+            self.known = folded(known, list(self.level), np.bitwise_and, 2**64 - 1)[1]
 
     def near(self, i: np.ndarray, j: np.ndarray, limit: np.ndarray) -> np.ndarray:
         """Rows i and j differ in at most `limit` bits, at every width that both have."""
@@ -212,7 +223,10 @@ class Bitmaps:
             at = np.flatnonzero(ok & (least >= w))
             if len(at):
                 full = self.level[w]
-                ok[at] = np.bitwise_count(full[i[at]] ^ full[j[at]]).sum(axis=1, dtype=np.int64) <= limit[at]
+                apart = full[i[at]] ^ full[j[at]]
+                if self.known is not None:
+                    apart &= self.known[w][i[at]] & self.known[w][j[at]]
+                ok[at] = np.bitwise_count(apart).sum(axis=1, dtype=np.int64) <= limit[at]
         return ok
 
 
@@ -221,12 +235,12 @@ SHORT = 6
 
 
 def candidate_edges(batches, percent: int):
-    """token, i, j, gid, n, bits (sorted by token, i, j) -> edges a < b."""
+    """token, i, j, gid, n, bits, known (sorted by token, i, j) -> edges a < b."""
 
     def edges(table: pa.Table):
         gid, n = table["gid"].to_numpy(), table["n"].to_numpy()
         run = run_numbers(table)
-        maps = Bitmaps(table["bits"].combine_chunks() if table["bits"].num_chunks != 1 else table["bits"].chunk(0))
+        maps = Bitmaps(*(table[c].combine_chunks() if table[c].num_chunks != 1 else table[c].chunk(0) for c in ("bits", "known")))
 
         def may_link(i, j):
             ok = (gid[i] != gid[j]) & (100 * np.minimum(n[i], n[j]) >= percent * np.maximum(n[i], n[j]))
@@ -292,6 +306,19 @@ def in_blocks(rows: DataFrame, count: str, limit: int, key: str) -> DataFrame:
     )
 
 
+def agreed_bits(sets: DataFrame) -> DataFrame:
+    """n, pf, bits of the sets of groups -> n, pf, bits, known: in `known` the bits that all sets of the group agree on."""
+    at = F.explode(F.sequence(F.lit(0), (F.octet_length("bits") / 8 - 1).cast("int")))
+    words = sets.select("n", "pf", "bits", at.alias("at")).select("n", "pf", "at", F.conv(F.hex(F.substring("bits", F.col("at") * 8 + 1, F.lit(8))), 16, -10).cast("long").alias("word"))
+    words = words.groupBy("n", "pf", "at").agg(F.bit_and("word").alias("all"), F.bit_or("word").alias("any"))
+    words = words.groupBy("n", "pf").agg(F.sort_array(F.collect_list(F.struct("at", "all", "any"))).alias("w"))  # 64 words at most
+
+    def packed(word):
+        return F.unhex(F.array_join(F.transform("w", lambda x: F.lpad(F.hex(word(x)), 16, "0")), ""))
+
+    return words.select("n", "pf", packed(lambda x: x["any"]).alias("bits"), packed(lambda x: F.bitwise_not(x["any"].bitwiseXOR(x["all"]))).alias("known"))
+
+
 def components(edges: DataFrame) -> DataFrame:
     """Edges a, b -> v, label: the smallest vertex that v reaches, for every vertex of an edge."""
     both = staged(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "cc-edges")
@@ -363,21 +390,24 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, id_co
     classes = staged(full.groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.first("pf").alias("pf")), "jaccard-classes")
     groups = full.groupBy("n", "pf").agg(F.min("doc_id").alias("gid"), F.first("prefix").alias("prefix"), F.first("bits").alias("bits"))
     groups = staged(groups, "jaccard-groups")
+    several = staged(classes.groupBy("n", "pf").agg(F.count("*").alias("k")).where("k > 1").select("n", "pf"), "jaccard-several")
+    agreed = staged(agreed_bits(full.join(broadcast_if_small(several, 16), ["n", "pf"]).select("n", "pf", "bits")), "jaccard-agreed")
+    agreed = agreed.withColumnRenamed("bits", "any")
 
     # members that several groups share, and groups that share enough of them
     member = groups.select("gid", "n", F.explode("prefix").alias("token"))
     member = staged(member.withColumn("c", F.count("*").over(Window.partitionBy("token"))).where("c > 1"), "jaccard-members")
     least = F.greatest(F.lit(1), F.floor(F.ceil(F.col("n") * percent / 100) / 20))
     alive = member.groupBy("gid", "n").agg(F.count("*").alias("k")).where(F.col("k") >= least).select("gid")
-    alive = staged(alive.join(groups.select("gid", "bits"), "gid"), "jaccard-alive")
-    meeting = member.join(broadcast_if_small(alive, F.octet_length("bits") + 48), "gid")
-    meeting = in_blocks(meeting, "c", BUCKET_BLOCK, "gid").select("token", "i", "j", "gid", "n", "bits")
+    alive = alive.join(groups.select("gid", "n", "pf", "bits"), "gid").join(broadcast_if_small(agreed, 2 * F.octet_length("any") + 48), ["n", "pf"], "left")
+    alive = staged(alive.select("gid", F.coalesce("any", "bits").alias("bits"), "known"), "jaccard-alive")
+    meeting = member.join(broadcast_if_small(alive, F.octet_length("bits") + F.coalesce(F.octet_length("known"), F.lit(0)) + 48), "gid")
+    meeting = in_blocks(meeting, "c", BUCKET_BLOCK, "gid").select("token", "i", "j", "gid", "n", "bits", "known")
     buckets = meeting.repartition("token", "i", "j").sortWithinPartitions("token", "i", "j")
     edges = staged(buckets.mapInArrow(lambda it: candidate_edges(it, percent), "a long, b long").distinct(), "jaccard-candidates")
 
     # families of groups, expanded to classes
     family = components(edges).withColumnRenamed("v", "gid")
-    several = classes.groupBy("n", "pf").agg(F.count("*").alias("k")).where("k > 1").select("n", "pf")
     named = classes.join(groups.select("n", "pf", "gid"), ["n", "pf"])
     alone = named.join(several, ["n", "pf"], "left_semi").select("gid").distinct()
     families = family.join(alone, "gid", "full_outer").select("gid", F.coalesce("label", "gid").alias("family"))

@@ -106,6 +106,22 @@ def test_jaccard_in_small_blocks_without_broadcasts(spark, monkeypatch):
     assert sorted(tuple(r) for r in jaccard.jaccard_components(df, 4, 85).collect()) == brute_components(rows, 4, 85)
 
 
+def test_jaccard_keeps_links_of_unlike_sets_with_equal_prefixes(spark):
+    """Short sets that share their prefix and size but little else are one group; each still finds its own near copy."""
+    rnd = random.Random(11)
+    word = lambda: f"w{rnd.randrange(10**6)}"
+    rows = []
+    for _ in range(80):
+        common = [word() for _ in range(4)]
+        for _ in range(5):
+            text = common + [word() for _ in range(5)]
+            rows += [(len(rows), " ".join(text)), (len(rows) + 1, " ".join([*text, word()]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    want = brute_components(rows, 4, 85)
+    assert sum(c < d for d, _, c in want) == 400
+    assert sorted(tuple(r) for r in jaccard.jaccard_components(df, 4, 85).collect()) == want
+
+
 # --- tiling ----------------------------------------------------------------------------------------------------------
 
 
