@@ -21,6 +21,7 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import common
 from .common import let, staged, table
 
 SPACE = r"[\x20\x09-\x0D]+"
@@ -151,7 +152,7 @@ def with_cuts(rows: DataFrame, cuts: DataFrame) -> DataFrame:
     rejected = F.lit(False)
     for r in RULES:
         rejected = rejected | F.coalesce(F.col(r) >= F.col(f"{r}_cut"), F.lit(False))
-    return rows.join(cuts, F.col("stratum") == F.col("_stratum"), "left").withColumn("kept", ~F.col("base_failed") & ~rejected).drop("_stratum")
+    return rows.join(cuts, F.col("stratum") == F.col("_stratum"), "left").withColumn("kept", F.greatest(F.col("base_failed").cast("int"), rejected.cast("int")) == 0).drop("_stratum")  # no conjunction: parts of it would be pushed below the join and measured twice
 
 
 def judge(docs: DataFrame, labels: DataFrame, risk: float = RISK, level: float = LEVEL) -> DataFrame:
@@ -161,8 +162,17 @@ def judge(docs: DataFrame, labels: DataFrame, risk: float = RISK, level: float =
 
 
 def kept_documents(docs: DataFrame, labels: DataFrame, risk: float = RISK, level: float = LEVEL) -> DataFrame:
-    """The rows of `docs` that pass, with their columns.  Texts are measured again rather than shuffled."""
-    cuts = certified_cuts(measured_rows(docs), labels, risk, level)
+    """The rows of `docs` that pass, with their columns.  Texts are measured again rather than shuffled.
+
+    Cutoffs look only at documents labelled good.  If those ids fit a broadcast, no other text is measured for them; if not, all
+    are measured and the narrow measures are joined.
+    """
+    good = staged(labels.where("quality = 1").select("doc_id", "quality"), "quality-good")
+    seen = docs
+    if good.count() * 16 <= common.BROADCAST_BYTES:
+        seen = docs.join(F.broadcast(good.select(F.col("doc_id").alias("_good"))), F.col("doc_id") == F.col("_good"), "left_semi")
+    measured = staged(measured_rows(seen), "quality-measures")  # a filter pushed below would measure each text twice
+    cuts = certified_cuts(measured, good, risk, level)
     row = F.struct(*[F.col(c) for c in docs.columns]).alias("_doc")
     again = with_statistics(docs.select(row, F.col("text"), F.coalesce("lang", F.lit("")).alias("stratum")))
     again = again.select("_doc", "stratum", base_failed().alias("base_failed"), *[c.alias(r) for r, c in shares().items()])
