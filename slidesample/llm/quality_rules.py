@@ -4,8 +4,11 @@ Base rules reject short and repetitive texts.  Further rules reject a text when
 words, capitals) reaches a cutoff.  Cutoffs are chosen per stratum (language) from labelled documents: going from the loosest
 cutoff to stricter ones, a cutoff is certified while an exact binomial test still shows that fewer than `risk` of the good
 documents are rejected; the first failure ends the walk (fixed-sequence testing), and the level is divided by the
-number of rules and strata (Bonferroni).  So with probability 1 - `level` no rule rejects more than `risk` of a
-stratum's good documents.  Strata without enough labels get no cutoff, and only base rules act there.
+number of rules and tested groups (Bonferroni).  So with probability 1 - `level` no rule rejects more than `risk` of a
+group's good documents.  A group is a stratum with labels enough for a test to succeed at all, or the pool of all other strata (of
+all labelled documents, if the others alone are too few).  Pooled strata share the pool's cutoffs, its promise is about the pool as
+a whole; a pooled stratum stays at the last cutoff that rejects at most `risk` of its own good documents.  Only where
+all labelled documents together are too few is there no cutoff, and base rules act alone.
 
 Counts come from array expressions inside each row: hashed 3-word windows are sorted with their positions, equal
 neighbours mark repeats.  Work per text is n log n, so very long texts are no special case.
@@ -115,22 +118,41 @@ def lower_tail(k: Column, n: Column, p: float) -> Column:
     return F.when((n == 0) | (k >= n * F.lit(p)), F.lit(1.0)).when(n <= EXACT_UP_TO, exact).otherwise(F.exp(-n * entropy))
 
 
+def least_labels(groups: int, risk: float = RISK, level: float = LEVEL) -> int:
+    """Good documents that a group needs for a cutoff which rejects none of them."""
+    return math.ceil(math.log(level / (groups * len(RULES))) / math.log1p(-risk))
+
+
 def certified_cuts(measured: DataFrame, labels: DataFrame, risk: float = RISK, level: float = LEVEL, id_col: str = "doc_id") -> DataFrame:
-    """measured(id, stratum, base_failed, the shares) + labels(id, quality) -> one row per stratum with a cutoff (or null) per rule."""
+    """measured(id, stratum, base_failed, the shares) + labels(id, quality) -> one row per stratum with a cutoff (or null) per rule.
+
+    The row of a null stratum holds for all strata without a row.  Who is pooled depends on the numbers of labels only.
+    """
     good = labels.where("quality = 1").select(F.col(id_col).alias("_id"))
     reached = [F.sum((F.col(r) >= c).cast("long")).alias(f"{r}_{i}") for r in RULES for i, c in enumerate(CUTS)]
     counts = (
         measured.where(~F.col("base_failed")).join(good, F.col(id_col) == F.col("_id")).groupBy("stratum").agg(F.count("*").alias("n"), *reached)
     )
-    strata = F.count("*").over(Window.partitionBy())
-    tests = counts.withColumn("_alpha", F.lit(level) / (strata * len(RULES)))
+    fields = ["n", *[f"{r}_{i}" for r in RULES for i in range(len(CUTS))]]
+    unseen = measured.sparkSession.range(1).select(F.lit(None).cast("string").alias("stratum"), *[F.lit(0).cast("long").alias(c) for c in fields])
+    everyone = Window.partitionBy()
+    alpha = lambda groups: F.lit(level) / (groups * len(RULES))
+    enough = lambda n, groups: n * F.lit(math.log1p(-risk)) <= F.log(alpha(groups))
+    # the j-th largest stratum stands alone if it has labels enough for j groups and the pool
+    place = F.row_number().over(Window.orderBy(F.col("n").desc(), F.col("stratum").asc_nulls_last()))
+    placed = counts.unionByName(unseen).withColumn("_own", enough(F.col("n"), place + 1))
+    placed = placed.withColumn("_groups", F.sum(F.col("_own").cast("int")).over(everyone) + 1)
+    rest = F.coalesce(F.sum(F.when(~F.col("_own"), F.col("n"))).over(everyone), F.lit(0))
+    placed = placed.withColumn("_rest", enough(rest, F.col("_groups")))
+    pooled = [F.sum(F.when(~F.col("_own") | ~F.col("_rest"), F.col(c))).over(everyone) for c in fields]
+    tests = placed.select("*", *[F.when(F.col("_own"), F.col(c)).otherwise(p).alias(f"_t_{c}") for c, p in zip(fields, pooled, strict=True)])
 
     def walk(rule: str) -> Column:
-        ladder = F.array(*[F.struct(F.lit(c).alias("c"), F.col(f"{rule}_{i}").alias("k")) for i, c in enumerate(CUTS)])
+        ladder = F.array(*[F.struct(F.lit(c).alias("c"), F.col(f"_t_{rule}_{i}").alias("k"), F.col(f"{rule}_{i}").alias("here")) for i, c in enumerate(CUTS)])
         start = F.struct(F.lit(None).cast("double").alias("cut"), F.lit(True).alias("go"))
 
         def step(acc, x):
-            go = acc["go"] & (lower_tail(x["k"], F.col("n"), risk) <= F.col("_alpha"))
+            go = acc["go"] & (x["here"] <= F.col("n") * F.lit(risk)) & (lower_tail(x["k"], F.col("_t_n"), risk) <= alpha(F.col("_groups")))
             return F.struct(F.when(go, x["c"]).otherwise(acc["cut"]).alias("cut"), go.alias("go"))
 
         return F.aggregate(ladder, start, step, lambda acc: acc["cut"])
@@ -147,12 +169,16 @@ def measured_rows(docs: DataFrame, id_col: str = "doc_id", stratum_col: str = "l
 def with_cuts(rows: DataFrame, cuts: DataFrame) -> DataFrame:
     """Join the cutoffs to rows that have `stratum`; add `kept`."""
     cuts = staged(cuts, "quality-cuts")
+    unseen = cuts.where("_stratum IS NULL").first()
+    cuts = cuts.where("_stratum IS NOT NULL")
     if cuts.count() <= BROADCAST_STRATA:
         cuts = F.broadcast(cuts)
+    joined = rows.join(cuts, F.col("stratum") == F.col("_stratum"), "left")
     rejected = F.lit(False)
     for r in RULES:
+        joined = joined.withColumn(f"{r}_cut", F.when(F.col("_stratum").isNull(), F.lit(unseen[f"{r}_cut"]).cast("double")).otherwise(F.col(f"{r}_cut")))
         rejected = rejected | F.coalesce(F.col(r) >= F.col(f"{r}_cut"), F.lit(False))
-    return rows.join(cuts, F.col("stratum") == F.col("_stratum"), "left").withColumn("kept", F.greatest(F.col("base_failed").cast("int"), rejected.cast("int")) == 0).drop("_stratum")  # no conjunction: parts of it would be pushed below the join and measured twice
+    return joined.withColumn("kept", F.greatest(F.col("base_failed").cast("int"), rejected.cast("int")) == 0).drop("_stratum")  # no conjunction: parts of it would be pushed below the join and measured twice
 
 
 def judge(docs: DataFrame, labels: DataFrame, risk: float = RISK, level: float = LEVEL) -> DataFrame:

@@ -65,6 +65,37 @@ def test_certified_cut_separates_junk(spark):
     assert out.where("kept").count() == 3000 and out.where("kept and doc_id >= 10000").count() == 0
 
 
+def test_small_strata_share_certified_cuts(spark):
+    def good(i):
+        return " ".join(f"w{i}x{j}" for j in range(60)) + ("*" * 100 if i in (7001, 7002) else "")
+
+    langs = {"en": (0, 2000), "de": (3000, 600), "fr": (5000, 600), "xx": (7000, 100), None: (8000, 30)}
+    rows = [(a + i, good(a + i), lang) for lang, (a, n) in langs.items() for i in range(n)]
+    junk = [(10000 + i, " ".join(f"w{i}x{j}***" for j in range(60)), lang) for i, lang in enumerate(["en", "de", "fr", None, "new", "xx"])]
+    docs = spark.createDataFrame(rows + junk, "doc_id long, text string, lang string").repartition(4)
+    labels = spark.createDataFrame([(i, 1) for i, *_ in rows], "doc_id long, quality int")
+    no_rest = [(i, 1) for i, _, lang in rows if lang in ("en", "fr")]
+    for given in (labels, spark.createDataFrame(no_rest, "doc_id long, quality int")):
+        out = quality_rules.judge(docs, given)
+        kept = {r["doc_id"] for r in out.where("kept").collect()}
+        assert kept & set(range(10000, 10005)) == set()
+        assert {r["doc_id"] for r in quality_rules.kept_documents(docs, given).collect()} == kept
+        assert all(i in kept for i, _, lang in rows if lang in ("en", "de", "fr"))
+    too_few = spark.createDataFrame([(i, 1) for i in range(quality_rules.least_labels(1) - 1)], "doc_id long, quality int")
+    assert {r["doc_id"] for r in quality_rules.judge(docs, too_few).where("kept").collect()} == {i for i, *_ in rows + junk}
+
+
+def test_a_pooled_stratum_keeps_its_good_documents(spark):
+    def measures(i, lang):
+        return (i, lang, False, 0.2 if lang == "xx" else 0.0, 0.0, 0.0, 0.0)
+
+    rows = [measures(i, "xx" if i < 3 else "de" if i < 3000 else "fr") for i in range(3100)] + [measures(5000, "new")]
+    measured = spark.createDataFrame(rows, "doc_id long, stratum string, base_failed boolean, symbol_share double, dup_line_share double, repeat_share double, capital_share double")
+    labels = spark.createDataFrame([(i, 1) for i in range(3100)], "doc_id long, quality int")
+    cuts = {r["_stratum"]: r["symbol_share_cut"] for r in quality_rules.certified_cuts(measured, labels).collect()}
+    assert cuts == {"de": 0.06, "fr": 0.06, None: 0.06, "xx": 0.25}
+
+
 def brute_license(text):
     low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in (text or ""))
     w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
