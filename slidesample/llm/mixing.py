@@ -5,10 +5,15 @@ constraints, entropy balancing takes those closest (in relative entropy, every w
 is; they are exp(multiplier of the source), where the multipliers solve a convex dual.  Newton steps on the dual run over
 the sources' sums, aggregated once over all documents; a column expression iterates them, so nothing is collected.
 
-Rates become whole copies: floor(rate) copies for everyone, and one more for some.  Documents are dealt by hash into
-chunks of about `CHUNK` rows of one source; in each chunk, in hash order, a document gets the extra copy while it still
-fits into what the chunk's share leaves; a second pass, from the largest document down, fills what is then left with
-further copies up to the cap, so the words taken end within a short document of the share.  A hot source has many chunks.
+Rates become whole copies: floor(rate) copies for everyone, and one more for some, for every document of a source with the
+same probability (the rest of the rate), whatever its size.  Documents are looked at one after the other from the largest down; what one of
+them takes too much or too little moves the probability of those that follow, so that the mean over both outcomes is unchanged
+and the words taken stay at the share.  The `CHUNK` largest documents of a source are rounded against the whole source's
+share.  All others, dealt by hash into chunks of about `CHUNK` rows, start from the probability that these leave and are rounded inside
+their chunk, where no document is refused for its size.  A hot source has many chunks.
+
+Targets go first where both cannot hold: a document longer than what is left of the whole source's share is not taken, and one that the
+shorter ones cannot replace is.  If all documents of a source are among the largest, what is left then goes to further copies up to the cap.
 
 Targets: the corpus size is shared by weight; a target stops at `cap` times its source's size and the rest goes to the
 others by weight (solved exactly by one sweep over sources in order of cap / weight).
@@ -67,58 +72,97 @@ def tilted_rate(mass, target, cap: float):
     return F.when((mass <= 0) | (target <= 0), F.lit(0.0)).otherwise(F.least(F.lit(cap), solved))
 
 
+def rounded(docs, chance, words, strict, seed: int):
+    """Walk through `docs` (array of structs with size and id, largest first) -> struct of `extra` (0 or 1 for each), the `chance` and the words `left` for others.
+
+    `words` counts the words of `docs` and of all others that the chance holds for.  Where `strict`, the share is not exceeded.
+    """
+    tiny, none, one = F.lit(1e-300), F.lit(0.0), F.lit(1.0)
+
+    def step(acc, d):
+        p, left, size = acc["chance"], acc["left"], d["size"].cast("double")
+        after = acc["words"] - size
+        draw = F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.lit("extra"), d["id"], F.size(acc["extra"])), 11) * F.lit(2.0**-53)
+        more = (size > 0) & F.when(strict, (size <= left + 0.5) & ((left > after + 0.5) | (draw < p))).otherwise(draw < p)
+        left = left - F.when(more, size).otherwise(0.0)
+        # p_taken * p + p_not * (1 - p) = p; both within [0, 1]
+        if_taken = F.greatest((p * acc["words"] - size) / F.greatest(after, tiny), (2 * p - 1) / F.greatest(p, tiny), none)
+        if_not = p * (1 - if_taken) / F.greatest(1 - p, tiny)
+        moved = F.when(strict, left / F.greatest(after, tiny)).when(more, if_taken).otherwise(if_not)
+        return F.struct(
+            F.when((size > 0) & (after > 0.5), F.greatest(none, F.least(one, moved))).otherwise(p).alias("chance"),
+            after.alias("words"),
+            left.alias("left"),
+            F.concat(acc["extra"], F.array(more.cast("int"))).alias("extra"),
+        )
+
+    chance, words = chance.cast("double"), words.cast("double")
+    start = F.struct(chance.alias("chance"), words.alias("words"), (chance * words).alias("left"), F.array().cast("array<int>").alias("extra"))
+    return F.aggregate(docs, start, step)
+
+
+def filled(docs, copies, left, most):
+    """Further copies (0 or 1 for each of `docs`, largest first) that fit into the words `left`."""
+
+    def step(acc, d):
+        size = d["size"].cast("double")
+        more = (size > 0) & (size <= acc["left"] + 0.5) & (F.element_at(copies, F.size(acc["more"]) + 1) < most)
+        return F.struct((acc["left"] - F.when(more, size).otherwise(0.0)).alias("left"), F.concat(acc["more"], F.array(more.cast("int"))).alias("more"))
+
+    return F.aggregate(docs, F.struct(left.alias("left"), F.array().cast("array<int>").alias("more")), step, lambda acc: acc["more"])
+
+
 def mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: float = 3.0, seed: int = 5, id_col: str = "doc_id", keep: tuple[str, ...] = ()) -> DataFrame:
     """One row per document: id, `keep`, source, size, source_size, target, rate, copies, taken."""
     sized = docs.select(F.col(id_col), *[c for c in keep if c not in (id_col, "source")], "source", F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"))
     sized = staged(sized, "mix-sizes")
-    targets = source_targets(sized, weights, cap)
     kept = [c for c in sized.columns if c not in (id_col, "source", "size")]
-    chunked = (
+    rank = F.struct(F.col("size"), F.xxhash64(F.lit(seed), id_col).alias("h"))
+    nth = Window.partitionBy("source").orderBy(rank.desc())
+    last = sized.select("source", rank.alias("_last"), F.row_number().over(nth).alias("_nth")).where(F.col("_nth") == CHUNK)
+    targets = source_targets(sized, weights, cap).withColumn("_whole", F.floor(F.col("rate") + F.lit(1e-9)))
+    targets = targets.withColumn("_chance", F.greatest(F.col("rate") - F.col("_whole"), F.lit(0.0)))
+    last = last.select(F.col("source").alias("_s"), "_last")
+    targets = staged(targets.join(last, F.col("source").eqNullSafe(F.col("_s")), "left").drop("_s"), "mix-targets")
+    large = F.col("_last").isNull() | (rank > F.col("_last"))
+    rest = F.greatest(F.lit(1), F.ceil((F.col("docs") - CHUNK + 1) / CHUNK))
+    dealt = (
         sized.withColumnRenamed("source", "_s")
         .join(targets, F.col("_s").eqNullSafe(F.col("source")))
-        .withColumn("_chunk", F.pmod(F.xxhash64(id_col, "size", F.lit(seed)), F.greatest(F.lit(1), F.ceil(F.col("docs") / CHUNK))))
-        .groupBy("source", "_chunk")
-        .agg(
-            F.first("source_size").alias("source_size"),
-            F.first("target").alias("target"),
-            F.first("rate").alias("rate"),
-            F.sum("size").alias("_words"),
-            F.sort_array(F.collect_list(F.struct(F.xxhash64(F.lit(seed), id_col).alias("h"), F.col(id_col).alias("id"), F.col("size"), *kept))).alias("_docs"),
-        )
+        .withColumn("_chunk", F.when(large, F.lit(-1).cast("long")).otherwise(F.pmod(F.xxhash64(id_col, "size", F.lit(seed)), rest)))
     )
-    whole = F.floor(F.col("rate") + F.lit(1e-9))
-    share = (F.col("rate") - whole) * F.col("_words")
-    start = F.struct(F.greatest(share, F.lit(0.0)).cast("double").alias("left"), F.array().cast("array<int>").alias("extra"))
+    first = ("source_size", "target", "rate", "_whole", "_chance")
 
-    def take(acc, d):
-        size = d["size"].cast("double")
-        more = (size > 0) & (size <= acc["left"] + 0.5)
-        return F.struct((acc["left"] - F.when(more, size).otherwise(0.0)).alias("left"), F.concat(acc["extra"], F.array(more.cast("int"))).alias("extra"))
+    def chunks(rows: DataFrame, also: list[str]) -> DataFrame:
+        row = F.struct(F.col("size"), F.xxhash64(F.lit(seed), id_col).alias("h"), F.col(id_col).alias("id"), *also)
+        return rows.groupBy("source", "_chunk").agg(
+            *[F.first(c).alias(c) for c in first], F.sum("size").alias("_words"), F.sort_array(F.collect_list(row), asc=False).alias("_docs")
+        )
 
+    left = chunks(dealt.where("_chunk = -1"), []).select(
+        F.col("source").alias("_s"), rounded(F.col("_docs"), F.col("_chance"), F.col("source_size"), F.lit(True), seed)["chance"].alias("_left")
+    )
+    left = staged(left, "mix-chances")
+    large = F.col("_chunk") == -1
+    chance = F.when(large, F.col("_chance")).otherwise(F.coalesce("_left", "_chance"))
+    words = F.when(large, F.col("source_size")).otherwise(F.col("_words"))
     most = F.lit(int(cap))
-    first = F.aggregate("_docs", start, take)
-    paired = F.transform("_docs", lambda d, i: F.struct(d["size"].alias("size"), (whole + F.element_at(F.col("_first.extra"), i + 1)).cast("int").alias("copies"), d.alias("doc")))
-
-    def fill(acc, d):
-        size = d["size"].cast("double")
-        more = (size > 0) & (size <= acc["left"] + 0.5) & (d["copies"] < most)
-        return F.struct((acc["left"] - F.when(more, size).otherwise(0.0)).alias("left"), F.concat(acc["extra"], F.array(more.cast("int"))).alias("extra"))
-
-    rest = F.struct(F.col("_first.left").alias("left"), F.array().cast("array<int>").alias("extra"))
     return (
-        chunked.withColumn("_first", first)
-        .withColumn("_paired", F.sort_array(paired, asc=False))
-        .withColumn("_more", F.aggregate("_paired", rest, fill, lambda acc: acc["extra"]))
-        .select("source", "source_size", "target", "rate", F.explode(F.arrays_zip("_paired", "_more")).alias("_d"))
+        chunks(dealt, kept)
+        .join(left, F.col("source").eqNullSafe(F.col("_s")), "left")
+        .withColumn("_walk", rounded(F.col("_docs"), chance, words, large, seed))
+        .withColumn("_copies", F.transform("_walk.extra", lambda x: (F.col("_whole") + x).cast("int")))
+        .withColumn("_more", filled(F.col("_docs"), F.col("_copies"), F.when(large & (F.col("_words") == F.col("source_size")), F.col("_walk.left")).otherwise(0.0), most))
+        .select("source", "source_size", "target", "rate", F.explode(F.arrays_zip("_docs", "_copies", "_more")).alias("_d"))
         .select(
-            F.col("_d._paired.doc.id").alias(id_col),
-            *[F.col(f"_d._paired.doc.{c}").alias(c) for c in kept],
+            F.col("_d._docs.id").alias(id_col),
+            *[F.col(f"_d._docs.{c}").alias(c) for c in kept],
             "source",
-            F.col("_d._paired.size").alias("size"),
+            F.col("_d._docs.size").alias("size"),
             "source_size",
             "target",
             "rate",
-            F.when(F.col("_d._paired.size") > 0, F.least(F.col("_d._paired.copies") + F.col("_d._more"), most)).otherwise(0).cast("int").alias("copies"),
+            F.when(F.col("_d._docs.size") > 0, F.least(F.col("_d._copies") + F.col("_d._more"), most)).otherwise(0).cast("int").alias("copies"),
         )
         .withColumn("taken", (F.col("copies") * F.col("size")).cast("long"))
     )

@@ -50,6 +50,29 @@ def test_mixing_edge_cases(spark):
     assert mixing.mix(df.drop("size").limit(0)).count() == 0
 
 
+def test_mixing_takes_long_texts_as_often_as_short_ones(spark):
+    # 40 sources of 2000 texts, 40 of them long; at a rate of 0.05 a chunk of 512 has less than one long text to give
+    docs = spark.range(80000).selectExpr("id AS doc_id", "repeat('w ', IF(id % 50 = 7, 600, 10)) AS text", "CAST(1000 + id DIV 2000 AS STRING) AS source")
+    rows = mixing.mix(docs, weights=(1, 39)).groupBy("rate", "size", "copies").count().collect()
+    assert sum(r["count"] for r in rows) == 80000
+    for rate, whole in ((0.05, 0), (1.95, 1)):
+        these = [r for r in rows if abs(r["rate"] - rate) < 1e-6]
+        assert {r["copies"] for r in these} == {whole, whole + 1}
+        for size, n, spread in ((10, 39200, 0.01), (600, 800, 0.025)):
+            extra = sum((r["copies"] - whole) * r["count"] for r in these if r["size"] == size)
+            assert sum(r["count"] for r in these if r["size"] == size) == n
+            assert abs(extra / n - (rate - whole)) < spread
+
+
+def test_mixing_of_many_chunks_meets_targets(spark):
+    docs = spark.range(6000).selectExpr("id AS doc_id", "repeat('w ', CAST(IF(id < 2, 5000, 5 + id % 50) AS INT)) AS text", "IF(id % 2 = 0, 'a', NULL) AS source")
+    rows = mixing.mix(docs, weights=(1, 9)).collect()
+    assert len(rows) == 6000
+    for source in ("a", None):
+        these = [r for r in rows if r["source"] == source]
+        assert abs(sum(r["taken"] for r in these) - these[0]["target"]) <= 0.01 * these[0]["target"]
+
+
 def test_sharding_is_a_permutation(spark):
     for n in (0, 1, 2, 7, 100, 1000):
         got = [r[0] for r in spark.range(n).select(sharding.permuted(__import__("pyspark").sql.functions.col("id"), n, 3)).collect()]
