@@ -35,7 +35,6 @@ CAPITALS = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 CUTS = [0.9, 0.8, 0.7, 0.6, 0.5, 0.45, 0.4, 0.35, 0.3, 0.25, 0.2, 0.15, 0.12, 0.1, 0.08, 0.06]
 RULES = ["symbol_share", "dup_line_share", "repeat_share", "capital_share"]
 RISK, LEVEL = 0.005, 0.05
-EXACT_UP_TO = 1_000_000
 BROADCAST_STRATA = 10_000
 
 
@@ -100,22 +99,30 @@ def shares(q: str = "_q") -> dict[str, Column]:
     return dict(zip(RULES, [part("n_symbols", "word_chars"), part("n_dup_lines", "n_lines"), part("n_repeat_words", "n_words"), part("n_capitals", "word_chars")], strict=True))
 
 
+def stirling_error(n: Column) -> Column:
+    """log(n!) less Stirling's n log n - n + log(2 pi n) / 2, for n >= 1."""
+    x = n.cast("double")
+    series = (F.lit(1 / 12) - (F.lit(1 / 360) - (F.lit(1 / 1260) - F.lit(1 / 1680) / (x * x)) / (x * x)) / (x * x)) / x
+    small = F.least(F.greatest(n, F.lit(1)), F.lit(20)).cast("int")
+    table = F.log(F.factorial(small).cast("double")) - (small * F.log(small) - small + 0.5 * F.log(2 * math.pi * small))
+    return F.when(n <= 20, table).otherwise(series)
+
+
 def lower_tail(k: Column, n: Column, p: float) -> Column:
-    """P(Binomial(n, p) <= k), exact up to EXACT_UP_TO trials, beyond them Chernoff's bound (never smaller)."""
-    odds = math.log(p / (1 - p))
+    """P(Binomial(n, p) <= k), exact at every size: the term of k, then downward until terms no longer count (about 10 sqrt(k) of them)."""
+    rest = n - k
+    off = k * F.log(k / (n * F.lit(p))) + rest * F.log(rest / (n * F.lit(1 - p)))
+    last = F.exp(stirling_error(n) - stirling_error(k) - stirling_error(rest) - off + 0.5 * F.log(n / (2 * math.pi * k * rest)))
 
     def add(acc, i):
-        term = acc["t"] + F.log((n - i + 1) / i) + F.lit(odds)
-        top = F.greatest(acc["m"], term)
-        return F.struct(term.alias("t"), top.alias("m"), (acc["s"] * F.exp(acc["m"] - top) + F.exp(term - top)).alias("s"))
-
-    none = n * F.lit(math.log1p(-p))
-    start = F.struct(none.alias("t"), none.alias("m"), F.lit(1.0).alias("s"))
-    steps = F.when(k > 0, F.sequence(F.lit(1).cast("long"), k)).otherwise(F.array().cast("array<bigint>"))
-    exact = F.aggregate(steps, start, add, lambda acc: F.exp(acc["m"] + F.log(acc["s"])))
-    share = k / n
-    entropy = F.when(share > 0, share * F.log(share / F.lit(p))).otherwise(0.0) + (1 - share) * F.log((1 - share) / F.lit(1 - p))
-    return F.when((n == 0) | (k >= n * F.lit(p)), F.lit(1.0)).when(n <= EXACT_UP_TO, exact).otherwise(F.exp(-n * entropy))
+        term = acc["t"] * (i * F.lit((1 - p) / p)) / (n - i + 1)
+        return F.struct(term.alias("t"), (acc["s"] + term).alias("s"))
+
+    # below n * p the i-th ratio is at most i / k, so after j steps a term is below exp(-j (j - 1) / 2k)
+    least = F.greatest(F.lit(1).cast("long"), k - F.ceil(10 * F.sqrt(k)) - 2)
+    one = F.lit(1.0)
+    terms = F.aggregate(F.sequence(k, least), F.struct(one.alias("t"), one.alias("s")), add, lambda acc: acc["s"])
+    return F.when((n == 0) | (k >= n * F.lit(p)), F.lit(1.0)).when(k == 0, F.exp(n * F.lit(math.log1p(-p)))).otherwise(last * terms)
 
 
 def least_labels(groups: int, risk: float = RISK, level: float = LEVEL) -> int:

@@ -56,6 +56,19 @@ def test_binomial_tail(spark):
         assert r["p"] == 1.0 if r["k"] >= r["n"] * 0.005 else abs(r["p"] - exact) < 1e-9
 
 
+def test_binomial_tail_is_exact_at_every_size(spark):
+    from pyspark.sql import functions as F
+
+    cases = [(0, 5_000_000), (1, 1200), (20, 6000), (21, 6000), (4850, 1_000_000), (4850, 1_000_001), (9780, 2_000_000)]
+    df = spark.createDataFrame(cases, "k long, n long")
+    for r in df.select("k", "n", quality_rules.lower_tail(F.col("k"), F.col("n"), 0.005).alias("p")).collect():
+        term, exact = r["n"] * math.log1p(-0.005), 0.0
+        for i in range(r["k"] + 1):
+            exact += math.exp(term)
+            term += math.log((r["n"] - i) / (i + 1) * 0.005 / 0.995)
+        assert abs(r["p"] - exact) <= 1e-7 * exact
+
+
 def test_certified_cut_separates_junk(spark):
     good = [(i, "word number %d of this text is %d " % (i, i) + " ".join(f"w{i}x{j}" for j in range(60)), "en") for i in range(3000)]
     junk = [(10000 + i, " ".join(f"w{i}x{j}***" for j in range(60)), "en") for i in range(50)]
