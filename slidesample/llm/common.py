@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 import uuid
 
@@ -17,23 +18,59 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share: `spark.checkpoint.dir`, or a local one where that is unset (tests)."""
+    """Folder that driver and executors share: `spark.checkpoint.dir`.  Where it is unset, a local master gets a temporary one; a cluster raises."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        folder = getattr(spark, "_slidesample_shared", None) or tempfile.mkdtemp(prefix="slidesample-")
-        spark._slidesample_shared = folder
-    return folder
+    if folder:
+        return folder
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+    if not getattr(spark, "_slidesample_shared", None):
+        spark._slidesample_shared = tempfile.mkdtemp(prefix="slidesample-")
+    return spark._slidesample_shared
+
+
+_MADE: list[str] = []
 
 
 def staged(df: DataFrame, tag: str) -> DataFrame:
     """Write `df` as Parquet below the shared folder and read it back: cuts lineage, survives lost executors.
 
-    Results read these files, so the folder's `staged` part may go only once the results have been written.
+    Whoever wrote the results that read these files deletes them with `dropped`, or makes them inside `scratch`.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/staged/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._staged_path = path
+    _MADE.append(path)
+    return out
+
+
+def dropped(spark: SparkSession, *paths: str) -> None:
+    """Delete staged tables."""
+    for path in paths:
+        where = spark._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+        if path in _MADE:
+            _MADE.remove(path)
+
+
+@contextlib.contextmanager
+def scratch(spark: SparkSession):
+    """Tables staged inside are deleted at the end; `keep(df)` exempts one."""
+    before, kept = set(_MADE), set()
+
+    def keep(df: DataFrame) -> DataFrame:
+        kept.add(df._staged_path)
+        return df
+
+    yield keep
+    dropped(spark, *[p for p in list(_MADE) if p not in before and p not in kept])
+
+
+def shuffled(df: DataFrame) -> DataFrame:
+    """`df` as a side of a join whose sides both grow: sorted and merged at every size, skewed keys split at run time."""
+    return df.hint("merge")
 
 
 def lower_ascii(c: Column) -> Column:
@@ -44,16 +81,3 @@ def lower_ascii(c: Column) -> Column:
 def let(value: Column, body) -> Column:
     """Evaluate `value` once and hand it to `body` as a variable (keeps lambdas from re-evaluating it)."""
     return F.element_at(F.transform(F.array(value), body), 1)
-
-
-#: A side of a join is broadcast only if it was measured and is no larger than this.
-BROADCAST_BYTES = 48 << 20
-
-
-def broadcast_if_small(df: DataFrame, row_bytes: Column | int) -> DataFrame:
-    """Hint a broadcast if the measured size allows one; otherwise leave the join to Spark (shuffle, skew splitting).
-
-    `df` should be staged, since measuring reads it.
-    """
-    size = df.agg(F.sum(row_bytes if isinstance(row_bytes, Column) else F.lit(row_bytes))).first()[0] or 0
-    return F.broadcast(df) if size <= BROADCAST_BYTES else df

@@ -11,14 +11,19 @@ t * max(sizes) members.  Stages:
    agree in size, and a parity bitmap of the set bounds the symmetric difference from below (of a group of several classes only the bits
    that all its sets agree on count); what passes is joined by a spanning forest, so a bucket of thousands gives thousands of edges and
    not millions.
-4. Connected candidates form families.  Families are expanded to their members, and the whole texts verified
-   exactly inside each family, in blocks of bounded size (block pairs for large families); links again leave as forests.
-5. Components of the links give the smallest reachable document.
+4. Connected candidates form families.  Families are expanded to the representatives of their classes, and their whole texts verified
+   exactly inside each family; links again leave as forests.
+5. Components of the links give the smallest reachable document; copies follow their class.
 
-Filters in 3 never lose a link.  No pair list of a group is ever written out; buckets and families of any size are split into blocks.
+Buckets and families of any size (`joined_up`): each is dealt into blocks of bounded size, and each row goes to one block.  What the blocks
+join has one label; a bucket or family that still has several is dealt anew with its rows in other company, twice.  What is open then is
+closed exactly: the rows outside the largest label travel to all blocks.  So a family of S near copies costs about S rows and not
+S * S / block, and no pair is left out.  Filters never lose a link.  Texts are shuffled once, to meet their families; all joins shuffle at
+every size.
 
 Defined cases: null or empty texts have empty sets, link with nothing and are their own component; texts of fewer than n words are one
-shingle; repeated rows are members of one class; ids must not be null; extra columns are ignored.
+shingle; repeated rows are members of one class; rows of one id and unlike texts count as one document; a null id gets a size, but no links and
+a null component; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -30,15 +35,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .common import broadcast_if_small, staged, table
+from .common import dropped, shuffled, staged, table
 from .repeats import gram_hashes, mixed, word_hashes
 
 #: Frequent shingles that are ordered last, at most (8 MB).
 HOT = 500_000
 #: From this document frequency on a shingle may count as frequent.
 FREQUENT = 24
-#: Rows of a bucket, and documents of a family, that meet in one block.
-BUCKET_BLOCK, FAMILY_BLOCK = 1500, 250
+#: Rows of a bucket, documents of a family and shingles of a family that meet in one block, at about.
+BUCKET_BLOCK, FAMILY_BLOCK, FAMILY_SHINGLES = 1500, 250, 2_000_000
 FLUSH = 2_000_000
 #: Bits of the bitmaps: a power of two, at least the size of the set, between these.
 LEAST_BITS, MOST_BITS = 256, 4096
@@ -53,8 +58,8 @@ def shingles(text: str | None, n: int) -> np.ndarray:
     return np.unique(gram_hashes(h, n, 7)) if len(h) >= n else gram_hashes(h, len(h), 100 + len(h))
 
 
-def texts_of(batch) -> tuple[np.ndarray, list]:
-    return batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_pylist()
+def texts_of(batch) -> tuple[list, list]:
+    return batch.column(0).to_pylist(), batch.column(1).to_pylist()
 
 
 # --- frequencies -----------------------------------------------------------------------------------------------------
@@ -139,27 +144,28 @@ def fingerprint(s: np.ndarray) -> tuple[int, int]:
 
 
 def profiled(batches, n: int, percent: int, hot):
-    """doc_id, text -> doc_id, size, fingerprint, prefix fingerprint, prefix, bitmap."""
+    """doc_id, text -> doc_id, size, fingerprint, prefix fingerprint, prefix, heat (log2 of the frequency of its frequent members, else 0), bitmap."""
     for batch in batches:
         bits, hot_tokens, hot_class = hot.value
-        cols = {k: [] for k in ("doc_id", "n", "f1", "f2", "pf", "prefix", "bits")}
+        cols = {k: [] for k in ("doc_id", "n", "f1", "f2", "pf", "prefix", "heat", "bits")}
         for doc, text in zip(*texts_of(batch), strict=True):
             s = shingles(text, n)
             size = len(s)
-            prefix = s
+            prefix, heat = s, np.zeros(len(s), np.uint8)
             if size:
                 length = size - int(needed(size, percent)) + max(1, size // 20)
                 if len(hot_tokens):
                     short = s >> np.uint64(32 - bits)
                     at = np.minimum(np.searchsorted(hot_tokens, short), len(hot_tokens) - 1)
                     order = np.where(hot_tokens[at] == short, hot_class[at], 0)
-                    prefix = s[np.argsort(order, kind="stable")[:length]]
+                    chosen = np.argsort(order, kind="stable")[:length]
+                    prefix, heat = s[chosen], order[chosen]
                 else:
-                    prefix = s[:length]
+                    prefix, heat = s[:length], heat[:length]
             f1, f2 = fingerprint(s)
-            for k, v in zip(cols, (doc, size, f1, f2, fingerprint(prefix)[0], prefix.view(np.int64), bitmap(s)), strict=True):
+            for k, v in zip(cols, (doc, size, f1, f2, fingerprint(prefix)[0], prefix.view(np.int64), heat.astype(np.int8), bitmap(s)), strict=True):
                 cols[k].append(v)
-        kinds = [pa.int64()] * 5 + [pa.list_(pa.int64()), pa.binary()]
+        kinds = [pa.int64()] * 5 + [pa.list_(pa.int64()), pa.list_(pa.int8()), pa.binary()]
         yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(cols.values(), kinds, strict=True)], list(cols))
 
 
@@ -235,10 +241,10 @@ SHORT = 6
 
 
 def candidate_edges(batches, percent: int):
-    """token, i, j, gid, n, bits, known (sorted by token, i, j) -> edges a < b."""
+    """g, i, j, v, n, bits, known (sorted by g, i, j) -> edges a < b."""
 
     def edges(table: pa.Table):
-        gid, n = table["gid"].to_numpy(), table["n"].to_numpy()
+        gid, n = table["v"].to_numpy(), table["n"].to_numpy()
         run = run_numbers(table)
         maps = Bitmaps(*(table[c].combine_chunks() if table[c].num_chunks != 1 else table[c].chunk(0) for c in ("bits", "known")))
 
@@ -285,25 +291,48 @@ def candidate_edges(batches, percent: int):
 
 
 def run_numbers(table: pa.Table) -> np.ndarray:
-    """0, 1, … for consecutive rows of equal (token, i, j)."""
+    """0, 1, … for consecutive rows of equal (g, i, j)."""
     change = np.zeros(len(table), bool)
-    for k in ("token", "i", "j"):
+    for k in ("g", "i", "j"):
         v = table[k].to_numpy()
         change[1:] |= v[1:] != v[:-1]
     return np.cumsum(change)
 
 
-def in_blocks(rows: DataFrame, count: str, limit: int, key: str) -> DataFrame:
-    """Add (i, j), i <= j: rows that must meet share one pair; a row of a group of `count` rows is in ceil(count / limit) of them."""
-    parts = F.greatest(F.lit(1), F.ceil(F.col(count) / limit)).cast("int")
-    mine = F.pmod(F.xxhash64(key, F.lit(3)), parts).cast("int")
-    return (
-        rows.withColumn("_mine", mine)
-        .withColumn("_other", F.explode(F.sequence(F.lit(0), parts - 1)))
-        .withColumn("i", F.least("_mine", "_other"))
-        .withColumn("j", F.greatest("_mine", "_other"))
-        .drop("_mine", "_other")
-    )
+def joined_up(narrow: DataFrame, payload: DataFrame, forest, tag: str, keep_payload: bool = False) -> DataFrame:
+    """Components of all pairs inside groups that `forest` accepts: v, label.
+
+    narrow(g, v, i, parts, w, …): a row of group g (weight w), dealt into its block i of `parts`.  payload(v, …) is what `forest` needs beside;
+    forest(rows with g, i, j) -> edges a, b.  With `keep_payload` the payload of groups of several blocks is kept in the shared folder.
+    """
+    meet = lambda rows: forest(rows.join(shuffled(payload), "v"))
+    edges = staged(meet(narrow.withColumn("j", F.lit(0))), f"{tag}-edges")
+    labels = components(edges)
+    big = narrow.where("parts > 1")
+    if big.isEmpty():
+        return labels
+    if keep_payload:
+        payload = staged(payload.join(shuffled(big.select("v").distinct()), "v"), f"{tag}-payload")
+    for again in (11, 12, None):
+        labelled = big.join(shuffled(labels), "v", "left").withColumn("label", F.coalesce("label", "v"))
+        several = labelled.groupBy("g").agg(F.min("label").alias("_a"), F.max("label").alias("_z"), F.max("parts").alias("_parts"), F.sum("w").alias("_w")).where("_a < _z")
+        several = staged(several.select("g", "_parts", "_w"), f"{tag}-open")
+        if several.isEmpty():
+            return labels
+        rows = labelled.drop("parts", "i").withColumnRenamed("g", "_g").join(shuffled(several), F.col("_g") == F.col("g")).drop("_g")
+        if again is not None:  # other company
+            rows = rows.withColumn("i", F.pmod(F.xxhash64("v", F.lit(again)), "_parts")).withColumn("j", F.lit(0))
+        else:  # all rows outside the largest label meet all others
+            largest = rows.groupBy("g", "label").agg(F.sum("w").alias("_lw")).groupBy("g").agg(F.max(F.struct("_lw", "label")).alias("_top"))
+            rows = rows.join(shuffled(largest), "g").withColumn("_travels", F.col("label") != F.col("_top.label"))
+            rows = rows.withColumn("_tparts", F.greatest(F.lit(1), F.ceil(F.col("_parts") * (F.col("_w") - F.col("_top._lw")) / F.col("_w"))).cast("long"))
+            own_i, own_j = F.pmod(F.xxhash64("v", F.lit(13)), "_parts"), F.pmod(F.xxhash64("v", F.lit(14)), "_tparts")
+            across = rows.withColumn("i", own_i).withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_tparts") - 1)))
+            along = rows.where("_travels").withColumn("i", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_parts") - 1))).withColumn("j", own_j)
+            rows = across.unionByName(along).drop("_travels", "_tparts", "_top").distinct()
+        edges = edges.unionByName(staged(meet(rows.drop("_parts", "_w", "label")), f"{tag}-edges"))
+        labels = components(edges)
+    return labels
 
 
 def agreed_bits(sets: DataFrame) -> DataFrame:
@@ -321,18 +350,21 @@ def agreed_bits(sets: DataFrame) -> DataFrame:
 
 def components(edges: DataFrame) -> DataFrame:
     """Edges a, b -> v, label: the smallest vertex that v reaches, for every vertex of an edge."""
+    spark = edges.sparkSession
     both = staged(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "cc-edges")
     labels = staged(both.groupBy(F.col("a").alias("v")).agg(F.min("b").alias("m")).select("v", F.least("v", "m").alias("label")), "cc-labels")
     while True:
         other = labels.select(F.col("v").alias("b"), F.col("label").alias("_l"))
-        best = both.join(other, "b").groupBy(F.col("a").alias("v")).agg(F.min("_l").alias("_m"))
-        step = labels.join(best, "v").select("v", F.col("label").alias("_was"), F.least("label", "_m").alias("label"))
-        step = staged(step, "cc-step")
-        jump = step.select(F.col("v").alias("label"), F.col("label").alias("_far"))
-        step = staged(step.join(jump, "label", "left").select("v", "_was", F.least("label", F.coalesce("_far", "label")).alias("label")), "cc-step")
-        labels = step.select("v", "label")
-        if step.where("label <> _was").isEmpty():
-            return labels
+        best = both.join(shuffled(other), "b").groupBy(F.col("a").alias("v")).agg(F.min("_l").alias("_m"))
+        near = staged(labels.join(shuffled(best), "v").select("v", F.col("label").alias("_was"), F.least("label", "_m").alias("label")), "cc-step")
+        jump = near.select(F.col("v").alias("label"), F.col("label").alias("_far"))
+        step = staged(near.join(shuffled(jump), "label", "left").select("v", "_was", F.least("label", F.coalesce("_far", "label")).alias("label")), "cc-step")
+        done = step.where("label <> _was").isEmpty()
+        dropped(spark, labels._staged_path, near._staged_path)
+        labels = step
+        if done:
+            dropped(spark, both._staged_path)
+            return labels.select("v", "label")
 
 
 # --- verification ----------------------------------------------------------------------------------------------------
@@ -365,10 +397,10 @@ def links_of(ids: list[int], sets: list[np.ndarray], percent: int) -> list[tuple
 
 
 def verified(batches, n: int, percent: int):
-    """family, i, j, rep, f1, text (sorted by family, i, j) -> links a, b."""
-    for run in runs_of(batches, ["family", "i", "j"]):
+    """g, i, j, v, f1, text (sorted by g, i, j) -> links a, b."""
+    for run in runs_of(batches, ["g", "i", "j"]):
         ids, sets = [], []
-        for rep, f1, text in zip(run["rep"], run["f1"], run["text"], strict=True):
+        for rep, f1, text in zip(run["v"], run["f1"], run["text"], strict=True):
             s = shingles(text, n)
             if len(s) and fingerprint(s)[0] == f1:
                 ids.append(int(rep))
@@ -382,50 +414,61 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, id_co
     spark = docs.sparkSession
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     hot = spark.sparkContext.broadcast(frequent_shingles(texts, words))  # HOT entries at most
-    schema = "doc_id long, n long, f1 long, f2 long, pf long, prefix array<bigint>, bits binary"
+    schema = "doc_id long, n long, f1 long, f2 long, pf long, prefix array<bigint>, heat array<tinyint>, bits binary"
     profiles = staged(texts.mapInArrow(lambda it: profiled(it, words, percent, hot), schema), "jaccard-profiles")
-    full = profiles.where("n > 0")
+    full = profiles.where("n > 0 AND doc_id IS NOT NULL")
 
     # classes of equal sets; groups of equal prefix and size
     classes = staged(full.groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.first("pf").alias("pf")), "jaccard-classes")
-    groups = full.groupBy("n", "pf").agg(F.min("doc_id").alias("gid"), F.first("prefix").alias("prefix"), F.first("bits").alias("bits"))
+    groups = full.groupBy("n", "pf").agg(F.min("doc_id").alias("gid"), *[F.first(c).alias(c) for c in ("prefix", "heat", "bits")])
     groups = staged(groups, "jaccard-groups")
     several = staged(classes.groupBy("n", "pf").agg(F.count("*").alias("k")).where("k > 1").select("n", "pf"), "jaccard-several")
-    agreed = staged(agreed_bits(full.join(broadcast_if_small(several, 16), ["n", "pf"]).select("n", "pf", "bits")), "jaccard-agreed")
-    agreed = agreed.withColumnRenamed("bits", "any")
-
-    # members that several groups share, and groups that share enough of them
-    member = groups.select("gid", "n", F.explode("prefix").alias("token"))
-    member = staged(member.withColumn("c", F.count("*").over(Window.partitionBy("token"))).where("c > 1"), "jaccard-members")
+    agreed = agreed_bits(full.select("n", "pf", "bits").join(shuffled(several), ["n", "pf"]))
+    agreed = staged(agreed.withColumnRenamed("bits", "any"), "jaccard-agreed")
+
+    # members that several groups share, and groups that share enough of them; the rows of a frequent member never meet in one task
+    member = groups.select("gid", "n", F.explode(F.arrays_zip("prefix", "heat")).alias("m")).select("gid", "n", F.col("m.prefix").alias("g"), F.col("m.heat").alias("heat"))
+    spread = F.greatest(F.lit(1), F.ceil(F.pow(F.lit(2.0), F.col("heat") + 1) / BUCKET_BLOCK)).cast("long")
+    member = member.withColumn("spread", spread).withColumn("b", F.pmod(F.xxhash64("gid", F.lit(3)), "spread"))
+    member = member.withColumn("c", F.count("*").over(Window.partitionBy("g", "b"))).where("c > 1 OR spread > 1")
+    split = F.ceil(F.col("c") / BUCKET_BLOCK)
+    member = staged(
+        member.select("gid", "n", "g", (F.col("b") + F.col("spread") * F.pmod(F.xxhash64("gid", F.lit(4)), split)).alias("i"), (F.col("spread") * split).alias("parts")), "jaccard-members"
+    )
     least = F.greatest(F.lit(1), F.floor(F.ceil(F.col("n") * percent / 100) / 20))
     alive = member.groupBy("gid", "n").agg(F.count("*").alias("k")).where(F.col("k") >= least).select("gid")
-    alive = alive.join(groups.select("gid", "n", "pf", "bits"), "gid").join(broadcast_if_small(agreed, 2 * F.octet_length("any") + 48), ["n", "pf"], "left")
-    alive = staged(alive.select("gid", F.coalesce("any", "bits").alias("bits"), "known"), "jaccard-alive")
-    meeting = member.join(broadcast_if_small(alive, F.octet_length("bits") + F.coalesce(F.octet_length("known"), F.lit(0)) + 48), "gid")
-    meeting = in_blocks(meeting, "c", BUCKET_BLOCK, "gid").select("token", "i", "j", "gid", "n", "bits", "known")
-    buckets = meeting.repartition("token", "i", "j").sortWithinPartitions("token", "i", "j")
-    edges = staged(buckets.mapInArrow(lambda it: candidate_edges(it, percent), "a long, b long").distinct(), "jaccard-candidates")
+    alive = groups.select("gid", "n", "pf", "bits").join(shuffled(alive), "gid").join(shuffled(agreed), ["n", "pf"], "left")
+    alive = staged(alive.select(F.col("gid").alias("v"), F.coalesce("any", "bits").alias("bits"), "known"), "jaccard-alive")
+
+    def candidates(rows: DataFrame) -> DataFrame:
+        rows = rows.select("g", "i", "j", "v", "n", "bits", "known").repartition("g", "i", "j").sortWithinPartitions("g", "i", "j")
+        return rows.mapInArrow(lambda it: candidate_edges(it, percent), "a long, b long").distinct()
+
+    family = joined_up(member.withColumnRenamed("gid", "v").withColumn("w", F.lit(1)), alive, candidates, "jaccard-candidates")
 
     # families of groups, expanded to classes
-    family = components(edges).withColumnRenamed("v", "gid")
-    named = classes.join(groups.select("n", "pf", "gid"), ["n", "pf"])
-    alone = named.join(several, ["n", "pf"], "left_semi").select("gid").distinct()
-    families = family.join(alone, "gid", "full_outer").select("gid", F.coalesce("label", "gid").alias("family"))
-    members = staged(named.join(families, "gid").select("rep", "f1", "family"), "jaccard-families")
-    sizes = members.groupBy("family").agg(F.count("*").alias("s"))
-    members = staged(members.join(sizes, "family").where("s > 1"), "jaccard-members-of-families")
-    chosen = texts.join(broadcast_if_small(members, 48), F.col("doc_id") == F.col("rep")).select("family", "s", "rep", "f1", "text")
-    blocks = in_blocks(chosen, "s", FAMILY_BLOCK, "rep").select("family", "i", "j", "rep", "f1", "text")
-    blocks = blocks.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j")
-    links = staged(blocks.mapInPandas(lambda it: verified(it, words, percent), "a long, b long").distinct(), "jaccard-links")
+    named = classes.join(shuffled(groups.select("n", "pf", "gid")), ["n", "pf"])
+    alone = named.join(shuffled(several), ["n", "pf"], "left_semi").select("gid").distinct()
+    families = family.withColumnRenamed("v", "gid").join(shuffled(alone), "gid", "full_outer").select("gid", F.coalesce("label", "gid").alias("g"))
+    members = staged(named.join(shuffled(families), "gid").select(F.col("rep").alias("v"), "f1", F.col("n").alias("w"), "g"), "jaccard-families")
+    sizes = members.groupBy("g").agg(F.count("*").alias("s"), F.sum("w").alias("sw")).where("s > 1")
+    parts = F.greatest(F.ceil(F.col("s") / FAMILY_BLOCK), F.ceil(F.col("sw") / FAMILY_SHINGLES))
+    members = members.join(shuffled(sizes), "g").withColumn("parts", parts).withColumn("i", F.pmod(F.xxhash64("v", F.lit(3)), "parts"))
+    members = staged(members.drop("s", "sw"), "jaccard-members-of-families")
+
+    def verify(rows: DataFrame) -> DataFrame:
+        rows = rows.select("g", "i", "j", "v", "f1", "text").repartition("g", "i", "j").sortWithinPartitions("g", "i", "j")
+        return rows.mapInPandas(lambda it: verified(it, words, percent), "a long, b long").distinct()
+
+    whole = texts.where("doc_id IS NOT NULL").withColumnRenamed("doc_id", "v")
+    label = joined_up(members, whole, verify, "jaccard-links", keep_payload=True)
 
     # smallest document of each component
-    label = broadcast_if_small(components(links), 16).withColumnRenamed("v", "rep")
-    named = classes.join(label, "rep", "left").select("n", "f1", "f2", F.coalesce("label", "rep").alias("component_id"))
-    named = broadcast_if_small(staged(named, "jaccard-named"), 40)
-    return profiles.select("doc_id", "n", "f1", "f2").join(named, ["n", "f1", "f2"], "left").select(
-        "doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id")
-    )
+    label = label.withColumnRenamed("v", "rep")
+    named = classes.join(shuffled(label), "rep", "left").select("n", "f1", "f2", F.coalesce("label", "rep").alias("component_id"))
+    named = staged(named, "jaccard-named")
+    out = profiles.select("doc_id", "n", "f1", "f2").join(shuffled(named), ["n", "f1", "f2"], "left")
+    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,16 +2,21 @@
 
 Seeds: every document's word k-grams are hashed and winnowed, so each window of `length` words holds exactly one chosen
 anchor (the smallest hash, rightmost of equals), and equal windows choose equal anchors at equal offsets.  Documents meet on anchors that
-occur in more than one document.  Extension: around a shared anchor all windows that chose it are compared, both ways at
-once, by a second hash of the whole window; a window is a repeat when a smaller document starts an equal one.
-Overlapping repeated windows merge into maximal repeats, whose words are removed.
+occur in more than one document.  Join and extension: around a shared anchor every way to extend it to `length` words, so many to the left and
+the rest to the right, is one window; each is joined to the smallest document with the same anchor and the same window.  Joined
+windows that follow each other on one diagonal of the two documents extend to a maximal repeat (`maximal_repeats`: begin, end, partner and
+the partner's begin).  The words of all maximal repeats are removed.
 
-Anchors are about 1/16 of all words.  Frequent anchors are never paired: one aggregation gives the smallest document of each
-anchor, another that of each window, so thousands of copies cost as much as thousands of other texts.  Documents with
-equal texts collapse first: all but the first are repeats as a whole, and only the first goes on.
+No pairs of documents are written out: thousands of copies of a passage are each joined to its first one only, which is all
+that the removal needs, so frequent anchors cost as much as others.  Documents of equal words collapse first: all but
+the first are repeats as a whole, and only the first goes on.
+
+Whole texts are shuffled once, by document, to meet their shared anchors; those with any are kept in the shared folder and meet their ranges
+there.  What the other documents need is known from the first scan.  All joins shuffle at every size.
 
 Defined cases: null text has no words; documents under `length` words keep everything; of repeated rows (equal doc_id and text) each is
-judged alike, since only a strictly smaller doc_id counts; ids must not be null; extra columns are ignored.
+judged alike, since only a strictly smaller doc_id counts; rows of equal doc_id and unlike texts are judged each; a null doc_id is
+neither smaller nor larger than any, such rows keep everything and repeat nobody; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -22,10 +27,10 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import broadcast_if_small, staged, table
+from .common import shuffled, staged, table
 
 LENGTH = 50
 GRAM = 20
@@ -89,25 +94,26 @@ def windows_of(text: str | None, length: int, gram: int):
     return words, (g[chosen], chosen, h)
 
 
-def anchors(batches, length: int, gram: int):
-    """doc_id, text -> doc_id, anchor (each chosen anchor hash of a document once)."""
+def profiles(batches, length: int, gram: int):
+    """doc_id, key, text -> doc_id, key, n_words, sha256 of the words, anchors (each chosen hash once; null under `length` words)."""
     for batch in batches:
-        ids, out = [], []
-        for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            _, found = windows_of(text, length, gram)
-            if found is not None:
-                a = np.unique(found[0])
-                ids.append(np.full(len(a), doc, np.int64))
-                out.append(a.view(np.int64))
-        if ids:
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(ids)), pa.array(np.concatenate(out))], ["doc_id", "anchor"])
+        counts, shas, found = [], [], []
+        for text in batch.column(2).to_pylist():
+            words, windows = windows_of(text, length, gram)
+            counts.append(len(words))
+            shas.append(hashlib.sha256(b" ".join(words)).digest())
+            found.append(None if windows is None else np.unique(windows[0]).view(np.int64))
+        yield pa.RecordBatch.from_arrays(
+            [batch.column(0), batch.column(1), pa.array(counts, pa.int64()), pa.array(shas, pa.binary()), pa.array(found, pa.list_(pa.int64()))],
+            ["doc_id", "key", "n_words", "sha", "anchors"],
+        )
 
 
 def shared_windows(batches, length: int, gram: int):
-    """doc_id, text, shared (list of shared anchors) -> doc_id, start, window hash pair of the windows on shared anchors."""
+    """doc_id, key, text, shared (list of shared anchors) -> doc_id, key, start, window, anchor of the windows on shared anchors."""
     for batch in batches:
-        cols = [[], [], [], []]
-        for doc, text, shared in zip(*(batch.column(i).to_pylist() for i in range(2)), batch.column(2), strict=True):
+        cols = [[], [], [], [], []]
+        for doc, key, text, shared in zip(*(batch.column(i).to_pylist() for i in range(3)), batch.column(3), strict=True):
             _, found = windows_of(text, length, gram)
             if found is None:
                 continue
@@ -115,15 +121,16 @@ def shared_windows(batches, length: int, gram: int):
             keep = np.flatnonzero(np.isin(a, np.asarray(shared.values, np.int64).view(np.uint64)))
             if len(keep):
                 cols[0].append(np.full(len(keep), doc, np.int64))
-                cols[1].append(keep.astype(np.int32))
-                cols[2].append(gram_hashes(h, length, 2)[keep].view(np.int64))
-                cols[3].append(a[keep].view(np.int64))
+                cols[1].append(np.full(len(keep), key, np.int64))
+                cols[2].append(keep.astype(np.int32))
+                cols[3].append(gram_hashes(h, length, 2)[keep].view(np.int64))
+                cols[4].append(a[keep].view(np.int64))
         if cols[0]:
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], ["doc_id", "start", "window", "anchor"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], ["doc_id", "key", "start", "window", "anchor"])
 
 
 def cut(text: str | None, ranges, length: int):
-    """Words of `text`, and those outside the ranges (begin, end).  A text under `length` words keeps all."""
+    """Words of `text`, and those outside the ranges (begin, end), which are sorted by begin.  A text under `length` words keeps all."""
     words = (text or "").encode("utf-8", "surrogatepass").split()
     kept, at = [], 0
     for begin, end in ranges if len(words) >= length else ():
@@ -132,46 +139,74 @@ def cut(text: str | None, ranges, length: int):
     return words, kept + words[at:]
 
 
-def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
-    """One row per document: doc_id, n_words, n_removed, kept_sha256 (and kept_text if asked)."""
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    # Copies: smallest id of each text, known by a 128-bit digest.
-    digest = F.unhex(F.md5(F.encode("text", "UTF-8")))
-    ids = staged(texts.select("doc_id", digest.alias("digest")), "repeat-digests")
-    first = staged(ids.groupBy("digest").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).where("n > 1 and digest is not null").drop("n"), "repeat-firsts")
-    later = ids.join(broadcast_if_small(first, 40), "digest").where("doc_id > first").select(F.col("doc_id").alias("copy")).distinct()
-    later = staged(later, "repeat-copies")
-    originals = texts.join(broadcast_if_small(later, 16), F.col("doc_id") == F.col("copy"), "left_anti")
-    found = staged(originals.mapInArrow(lambda it: anchors(it, length, gram), "doc_id long, anchor long"), "repeat-anchors")
-    frequent = staged(found.groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor"), "repeat-frequent")
-    wanted = found.join(broadcast_if_small(frequent, 16), "anchor").groupBy("doc_id").agg(F.collect_list("anchor").alias("shared")).withColumnRenamed("doc_id", "_id")
-    wanted = broadcast_if_small(staged(wanted, "repeat-shared"), F.size("shared") * 8 + 40)
-    met = texts.join(wanted, F.col("doc_id") == F.col("_id")).select("doc_id", "text", "shared")
-    windows = met.mapInArrow(lambda it: shared_windows(it, length, gram), "doc_id long, start int, window long, anchor long")
+def keyed_texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """doc_id, key (a hash of id and text: tells rows of one id apart), text."""
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.col(id_col).cast("long"), text_col).alias("key"), F.col(text_col).alias("text"))
+
+
+def repeats_of(texts: DataFrame, length: int, gram: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """(profiles, copies doc_id key, texts of documents that share anchors, maximal repeats doc_id key begin end partner partner_begin)."""
+    schema = "doc_id long, key long, n_words long, sha binary, anchors array<bigint>"
+    first_scan = staged(texts.mapInArrow(lambda it: profiles(it, length, gram), schema), "repeat-profiles")
+    # Copies: the smallest id of each sequence of words.
+    long = first_scan.where((F.col("n_words") >= length) & F.col("doc_id").isNotNull())
+    first = long.groupBy("sha").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("sha", "lo")
+    marked = long.join(shuffled(first), "sha", "left").withColumn("copy", F.coalesce(F.col("doc_id") > F.col("lo"), F.lit(False)))
+    marked = staged(marked.select("doc_id", "key", "copy", F.when(~F.col("copy"), F.col("anchors")).alias("anchors")), "repeat-marked")
+    copies = marked.where("copy").select("doc_id", "key").distinct()
+    # Seeds: anchors of several documents, and the texts that have any.
+    seeds = marked.where("NOT copy").select("doc_id", "key", F.explode("anchors").alias("anchor"))
+    common = seeds.groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor")
+    wanted = seeds.select("key", "anchor").join(shuffled(common), "anchor").groupBy("key").agg(F.collect_set("anchor").alias("shared"))
+    met = staged(texts.join(shuffled(wanted), "key").select("doc_id", "key", "text", "shared").where("doc_id IS NOT NULL"), "repeat-texts")
+    # Extension: every window on a shared anchor finds its smallest document, and runs on a diagonal join.
+    windows = met.mapInArrow(lambda it: shared_windows(it, length, gram), "doc_id long, key long, start int, window long, anchor long")
     windows = staged(windows, "repeat-windows")
-    least = windows.groupBy("window", "anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").drop("hi")
-    least = staged(least, "repeat-least")  # narrow rows on both sides: shuffled at every size
-    starts = windows.join(least, ["window", "anchor"]).where("doc_id > lo").groupBy("doc_id").agg(F.sort_array(F.collect_set("start")).alias("starts"))
-    # Maximal repeats: windows that touch or overlap join into one range of words.
-    begins = F.filter("starts", lambda x, i: (i == 0) | (x - F.element_at("starts", F.greatest(i, F.lit(1))) > length))
-    ends = F.filter("starts", lambda x, i: (i + 1 == F.size("starts")) | (F.element_at("starts", F.least(i + 2, F.size("starts"))) - x > length))
-    repeated = starts.select(F.col("doc_id").alias("_id"), begins.alias("begins"), F.transform(ends, lambda x: x + length).alias("ends"))
-    whole = later.select(F.col("copy").alias("_id"), F.array(F.lit(0)).alias("begins"), F.array(F.lit(2**31 - 1)).alias("ends"))
-    ranges = staged(repeated.unionByName(whole), "repeat-ranges")
-    judged = texts.join(broadcast_if_small(ranges, F.size("begins") * 8 + 60), F.col("doc_id") == F.col("_id"), "left")
-    schema = "doc_id long, n_words long, n_removed long, kept_sha256 string" + (", kept_text string" if with_text else "")
+    least = windows.groupBy("window", "anchor").agg(F.min(F.struct("doc_id", "start")).alias("source"), F.max("doc_id").alias("hi"))
+    least = least.where("source.doc_id < hi").select("window", "anchor", F.col("source.doc_id").alias("partner"), F.col("source.start").alias("there"))
+    hits = windows.join(shuffled(least), ["window", "anchor"]).where("doc_id > partner").select("doc_id", "key", "start", "partner", "there").distinct()
+    diagonal = Window.partitionBy("doc_id", "key", "partner", F.col("start") - F.col("there")).orderBy("start")
+    runs = hits.withColumn("run", F.col("start") - F.row_number().over(diagonal))
+    extended = runs.groupBy("doc_id", "key", "partner", (F.col("start") - F.col("there")).alias("shift"), "run").agg(
+        F.min("start").alias("begin"), (F.max("start") + length).alias("end"), F.min("there").alias("partner_begin")
+    )
+    return first_scan, copies, met, staged(extended.drop("shift", "run"), "repeat-maximal")
+
+
+def maximal_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per maximal repeat: doc_id, begin, end (words), partner (the smallest document that has it), partner_begin.  Whole copies are not listed."""
+    return repeats_of(keyed_texts(docs, id_col, text_col), length, gram)[3].select("doc_id", "begin", "end", "partner", "partner_begin").distinct()
+
+
+def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
+    """One row per document: doc_id, n_words, n_removed, kept_sha256 (and kept_text if asked, for which all texts are shuffled once more)."""
+    texts = keyed_texts(docs, id_col, text_col)
+    first_scan, copies, met, maximal = repeats_of(texts, length, gram)
+    ranges = maximal.groupBy("doc_id", "key").agg(F.sort_array(F.collect_set(F.struct("begin", "end"))).alias("ranges"))
+    whole = copies.withColumn("ranges", F.array(F.struct(F.lit(0).alias("begin"), F.lit(2**31 - 1).alias("end"))))
+    schema = "doc_id long, key long, n_words long, n_removed long, kept_sha256 string" + (", kept_text string" if with_text else "")
 
     def finish(batches):
         for pdf in batches:
             rows = []
-            for doc, text, begins, ends in zip(pdf["doc_id"], pdf["text"], pdf["begins"], pdf["ends"], strict=True):
-                words, kept = cut(text if isinstance(text, str) else None, () if begins is None else zip(begins, ends, strict=True), length)
+            for doc, key, text, ranges in zip(pdf["doc_id"], pdf["key"], pdf["text"], pdf["ranges"], strict=True):
+                words, kept = cut(text if isinstance(text, str) else None, () if ranges is None else [(r["begin"], r["end"]) for r in ranges], length)
                 body = b" ".join(kept)
-                row = (doc, len(words), len(words) - len(kept), hashlib.sha256(body).hexdigest())
+                row = (None if pd.isna(doc) else int(doc), key, len(words), len(words) - len(kept), hashlib.sha256(body).hexdigest())
                 rows.append((*row, body.decode("utf-8", "surrogatepass")) if with_text else row)
-            yield pd.DataFrame(rows, columns=["doc_id", "n_words", "n_removed", "kept_sha256"] + ["kept_text"] * with_text)
-
-    return judged.select("doc_id", "text", "begins", "ends").mapInPandas(finish, schema)
+            yield pd.DataFrame(rows, columns=["doc_id", "key", "n_words", "n_removed", "kept_sha256"] + ["kept_text"] * with_text).astype({"doc_id": "Int64"})
+
+    if with_text:
+        judged = texts.join(shuffled(ranges.unionByName(whole)), ["doc_id", "key"], "left")
+        return judged.select("doc_id", "key", "text", "ranges").mapInPandas(finish, schema).drop("key")
+    cuts = met.join(shuffled(ranges), ["doc_id", "key"]).select("doc_id", "key", "text", "ranges").mapInPandas(finish, schema)
+    cuts = cuts.select("doc_id", "key", F.col("n_removed").alias("gone"), F.col("kept_sha256").alias("sha_left"))
+    emptied = copies.select("doc_id", "key", F.lit(None).cast("long").alias("gone"), F.lit(hashlib.sha256(b"").hexdigest()).alias("sha_left"))
+    changes = staged(cuts.unionByName(emptied).distinct(), "repeat-changes")
+    gone = F.when(F.col("sha_left").isNull(), F.lit(0).cast("long")).otherwise(F.coalesce("gone", "n_words"))
+    return first_scan.join(shuffled(changes), ["doc_id", "key"], "left").select(
+        "doc_id", "n_words", gone.alias("n_removed"), F.coalesce("sha_left", F.lower(F.hex("sha"))).alias("kept_sha256")
+    )
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -53,13 +53,23 @@ def test_repeats_against_brute_force(spark):
     assert kept[71] == "" and kept[3] == "few words"
 
 
-def test_repeats_when_nothing_fits_a_broadcast(spark, monkeypatch):
-    from slidesample.llm import common
-
-    monkeypatch.setattr(common, "BROADCAST_BYTES", -1)
+def test_repeats_with_odd_ids(spark):
+    """A null id repeats nobody; rows of one id and unlike texts are judged each."""
     rows = passages()
-    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
-    assert sorted(tuple(r) for r in repeats.remove_repeats(df).collect()) == brute_repeats(rows)
+    a, b = rows[20][1], rows[21][1]
+    df = spark.createDataFrame([(None, a), (None, b), (20, a), (20, b), (19, b), (None, None), (3, None)], "doc_id long, text string")
+    got = sorted(((-1 if r[0] is None else r[0]), r[1], r[2]) for r in repeats.remove_repeats(df).collect())
+    n, m = len(a.split()), len(b.split())
+    gone = dict((x[0], x[2]) for x in brute_repeats([(19, b), (20, a)]))[20]
+    assert got == sorted([(-1, n, 0), (-1, m, 0), (20, n, gone), (20, m, m), (19, m, 0), (-1, 0, 0), (3, 0, 0)])
+
+
+def test_maximal_repeats_extend_both_ways(spark):
+    own = lambda i: " ".join(f"d{i}x{j}" for j in range(30))
+    shared = [f"s{j}" for j in range(140)]
+    rows = [(1, own(1) + " " + " ".join(shared)), (2, " ".join(shared[10:]) + " " + own(2)), (3, own(3) + " " + " ".join(shared[40:100]) + " " + own(4)), (4, " ".join(shared[:49]))]
+    got = sorted(tuple(r) for r in repeats.maximal_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == [(2, 0, 130, 1, 40), (3, 30, 90, 1, 70)]
 
 
 # --- Jaccard ---------------------------------------------------------------------------------------------------------
@@ -95,10 +105,7 @@ def test_jaccard_against_brute_force(spark, n, percent, monkeypatch):
     assert jaccard.jaccard_components(df.limit(0), n, percent).count() == 0
 
 
-def test_jaccard_in_small_blocks_without_broadcasts(spark, monkeypatch):
-    from slidesample.llm import common
-
-    monkeypatch.setattr(common, "BROADCAST_BYTES", -1)
+def test_jaccard_in_small_blocks(spark, monkeypatch):
     monkeypatch.setattr(jaccard, "BUCKET_BLOCK", 7)
     monkeypatch.setattr(jaccard, "FAMILY_BLOCK", 9)
     rows = near_copies(30, 8)
@@ -122,6 +129,43 @@ def test_jaccard_keeps_links_of_unlike_sets_with_equal_prefixes(spark):
     assert sorted(tuple(r) for r in jaccard.jaccard_components(df, 4, 85).collect()) == want
 
 
+def test_jaccard_of_a_family_that_first_blocks_do_not_join(spark, monkeypatch):
+    """A long chain of similar sets: few rows of a block are linked, so rows must travel; frequent members are spread."""
+    monkeypatch.setattr(jaccard, "BUCKET_BLOCK", 5)
+    monkeypatch.setattr(jaccard, "FAMILY_BLOCK", 4)
+    monkeypatch.setattr(jaccard, "FREQUENT", 3)
+    words = [f"w{i}" for i in range(400)]
+    rows = [(k, " ".join(words[3 * k : 3 * k + 60])) for k in range(100)] + [(None, " ".join(words[:60])), (None, None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    got = [tuple(r) for r in jaccard.jaccard_components(df, 4, 85).collect()]
+    assert sorted(r for r in got if r[0] is not None) == brute_components(rows[:100], 4, 85)
+    assert sorted(r[1:] for r in got if r[0] is None) == [(0, None), (57, None)]
+
+
+def test_jaccard_rows_of_a_large_family_grow_in_proportion(spark, monkeypatch):
+    """Texts sent to blocks: about one for each member, not one for each member and block."""
+    rnd = random.Random(1)
+    base = [f"b{i}" for i in range(60)]
+    rows = [(k, " ".join([*base[: rnd.randrange(55, 60)], f"own{k}"])) for k in range(3000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(8)
+    monkeypatch.setattr(jaccard, "FAMILY_BLOCK", 50)
+    seen = spark.sparkContext.accumulator(0)
+    original = jaccard.verified
+
+    def counting(batches, n, percent):
+        def counted():
+            for b in batches:
+                seen.add(len(b))
+                yield b
+
+        return original(counted(), n, percent)
+
+    monkeypatch.setattr(jaccard, "verified", counting)
+    out = jaccard.jaccard_components(df, 4, 85).collect()
+    assert {r["component_id"] for r in out} == {0}
+    assert seen.value <= 4 * 3000
+
+
 # --- tiling ----------------------------------------------------------------------------------------------------------
 
 
