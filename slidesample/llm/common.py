@@ -73,6 +73,17 @@ def shuffled(df: DataFrame) -> DataFrame:
     return df.hint("merge")
 
 
+def row_keys(*cols: str) -> list[Column]:
+    """Two 64-bit hashes of these columns (nulls count), `_k1` and `_k2`: an identity for rows whose ids may be null or repeated."""
+    flagged = [x for c in cols for x in (F.col(c).isNull(), F.col(c))]
+    return [F.xxhash64(*flagged).alias("_k1"), F.xxhash64(F.lit(7), *flagged[::-1]).alias("_k2")]
+
+
+def keyed_rows(docs: DataFrame, *cols: str) -> DataFrame:
+    """`_row` (all columns of `docs` in one struct, so that no name can clash) and its keys over `cols`."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), *row_keys(*cols))
+
+
 def lower_ascii(c: Column) -> Column:
     """Lower-case A-Z and nothing else."""
     return F.translate(c, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")

@@ -1,41 +1,43 @@
 """Mixing sources to target weights by entropy balancing.  Native.
 
-Words of a source are the constraint: the mix shall take `target` words of it.  Among all rates that meet the
-constraints, entropy balancing takes those closest (in relative entropy, every word counting alike) to the corpus as it
-is; they are exp(multiplier of the source), where the multipliers solve a convex dual.  Newton steps on the dual run over
-the sources' sums, aggregated once over all documents; a column expression iterates them, so nothing is collected.
-
-Rates become whole copies: floor(rate) copies for everyone, and one more for some, for every document of a source with the
-same probability (the rest of the rate), whatever its size.  Documents are looked at one after the other from the largest down; what one of
-them takes too much or too little moves the probability of those that follow, so that the mean over both outcomes is unchanged
-and the words taken stay at the share.  The `CHUNK` largest documents of a source are rounded against the whole source's
-share.  All others, dealt by hash into chunks of about `CHUNK` rows, start from the probability that these leave and are rounded inside
-their chunk, where no document is refused for its size.  A hot source has many chunks.
-
-Targets go first where both cannot hold: a document longer than what is left of the whole source's share is not taken, and one that the
-shorter ones cannot replace is.  If all documents of a source are among the largest, what is left then goes to further copies up to the cap.
+Words of a source are the constraint: the mix shall take `target` words of it.  Among all document rates w in [0, cap] that meet the
+constraints, entropy balancing takes those with the least sum of w log w - w + 1, the ones closest to taking every document once.
+They are min(cap, exp(m * size)) with one multiplier m per source, tilted towards long documents where a source must
+grow and towards short ones where it must shrink.  The multipliers solve the convex dual, whose gradient is the words that the tilted
+rates take less the target.  Newton steps run on all sources at once, each an aggregation over the histogram of (source, size, documents), into
+which all documents were counted before; a step that leaves its bracket is replaced by the middle of it, so the iteration always ends.
+
+Rates become whole copies: documents of a source are dealt by hash into chunks of about `CHUNK`, walked from the longest to
+the shortest, and each gets the whole number next to its rate that keeps the words taken nearest to the words due so far.
+What is left at the end of a chunk is at most half of its shortest text, and copies follow each document's own rate in the mean.
+A hot source has many chunks.  Repeated rows (equal id, source and text) are counted once with their number, so they never meet in one list.
 
 Targets: the corpus size is shared by weight; a target stops at `cap` times its source's size and the rest goes to the
 others by weight (solved exactly by one sweep over sources in order of cap / weight).
 
 Defined cases: null text counts no words; a null source is a source, last in order; sources without words get target 0;
-no words at all gives targets of 0; documents without words take 0; repeated rows are documents of their own; no rows, no result.
+no words at all gives targets of 0; documents without words take 0; repeated rows share the copies of all of them evenly; ids may be null;
+no rows, no result; extra columns are ignored (`mix`) or kept (`mixed_documents`).
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, staged, table
+from .common import WORD, dropped, keyed_rows, row_keys, shuffled, staged, table
 
 CHUNK = 512
-NEWTON_STEPS = 60
+#: The dual is solved when the words taken are this near to the target, relatively.
+TOLERANCE = 1e-10
+MOST_STEPS = 200
 
 
 def source_targets(sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: float = 3.0) -> DataFrame:
-    """sizes(source, size) -> one row per source: docs, source_size, weight, target, rate (of the tilted mix)."""
-    sums = sizes.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("docs"))
+    """sizes(source, size, n documents) -> one row per source: docs, source_size, weight, target."""
+    sums = sizes.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).alias("source_size"), F.sum("n").alias("docs"))
     place = F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1
     weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.pmod(place, F.lit(len(weights))) + 1).cast("int"))
     limit = F.col("source_size") * F.lit(cap)
@@ -55,117 +57,94 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap:
     final = F.first(F.when(F.col("_free"), F.col("_level")), ignorenulls=True).over(order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
     level_all = F.coalesce(final, F.col("_level"))
     target = F.least(F.col("limit"), level_all * F.col("weight"))
-    return (
-        swept.withColumn("target", F.when(F.col("total") > 0, target).otherwise(F.lit(0.0)))
-        .withColumn("rate", tilted_rate(F.col("source_size").cast("double"), F.col("target"), cap))
-        .select("source", "docs", "source_size", "weight", "target", "rate")
+    swept = swept.withColumn("target", F.when(F.col("total") > 0, target).otherwise(F.lit(0.0)))
+    return swept.select("source", "docs", "source_size", "weight", "target")
+
+
+def multipliers(sizes: DataFrame, targets: DataFrame, cap: float) -> DataFrame:
+    """sizes(source, size, n) + targets -> source, `mean` (words of a document), `m`: rates are min(cap, exp(m * size / mean)); null where all rates are 0 or the cap."""
+    spark = sizes.sparkSession
+    mean = F.col("source_size") / F.col("docs")
+    # at the ends of the bracket even the shortest text (1 word) is beyond the target
+    low, high = F.least(F.log(F.col("target") / F.col("source_size")), F.lit(0.0)) * mean, F.lit(math.log(cap)) * mean
+    solvable = (F.col("target") > 0) & (F.col("target") < F.col("source_size") * (cap - 1e-9))
+    state = targets.where(solvable).select("source", "target", mean.alias("mean"), F.lit(0.0).alias("m"), low.alias("low"), high.alias("high"), F.lit(1e300).alias("off"))
+    state = staged(state, "mix-multipliers")
+    x = F.col("size") / F.col("mean")
+    tilt = F.exp(F.least(F.col("m") * x, F.lit(math.log(cap))))
+    words = F.col("n") * F.col("size") * tilt
+    for _ in range(MOST_STEPS):
+        here = sizes.where("size > 0").withColumnRenamed("source", "_s").join(state, F.col("_s").eqNullSafe(F.col("source")))
+        sums = here.groupBy("source", "target", "mean", "m", "low", "high", "off").agg(
+            F.sum(words).alias("taken"), F.sum(F.when(F.col("m") * x < math.log(cap), words * x).otherwise(0.0)).alias("slope")
+        )
+        gap = F.log(F.col("taken") / F.col("target"))
+        low, high = F.when(gap < 0, F.col("m")).otherwise(F.col("low")), F.when(gap > 0, F.col("m")).otherwise(F.col("high"))
+        newton = F.col("m") - gap * F.col("taken") / F.col("slope")
+        use = (F.col("slope") > 0) & (newton > low) & (newton < high) & (F.abs(gap) <= 0.7 * F.col("off"))
+        moved = F.when(F.abs(gap) <= TOLERANCE, F.col("m")).when(use, newton).otherwise((low + high) / 2)
+        after = staged(sums.select("source", "target", "mean", moved.alias("m"), low.alias("low"), high.alias("high"), F.abs(gap).alias("off")), "mix-multipliers")
+        dropped(spark, state._staged_path)
+        state = after
+        worst = state.agg(F.max(F.least("off", (F.col("high") - F.col("low")) / F.greatest(F.abs("m"), F.lit(1e-6))))).first()[0]
+        if worst is None or worst <= TOLERANCE:
+            return state.select("source", F.col("mean"), F.round("m", 9).alias("m"))
+    raise RuntimeError("the dual of the mix was not solved")
+
+
+def planned(docs: DataFrame, weights: tuple[int, ...], cap: float, seed: int, id_col: str) -> DataFrame:
+    """One row per distinct document: `_k1`, `_k2`, id, source, size, rows (how often it is there), source_size, target, rate, copies (of all its rows)."""
+    size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
+    sized = docs.select(F.col(id_col).alias("id"), "source", size.alias("size"), *row_keys(id_col, "source", "text"))
+    sized = staged(sized.groupBy("_k1", "_k2").agg(*[F.first(c).alias(c) for c in ("id", "source", "size")], F.count("*").alias("rows")), "mix-sizes")
+    sizes = staged(sized.groupBy("source", "size").agg(F.sum("rows").alias("n"), F.count("*").alias("distinct")), "mix-histogram")
+    targets = staged(source_targets(sizes, weights, cap), "mix-targets")
+    solved = multipliers(sizes, targets, cap).withColumnRenamed("source", "_m_source")
+    chunks = sizes.groupBy(F.col("source").alias("_c_source")).agg(F.ceil(F.sum("distinct") / CHUNK).alias("_chunks"))
+    targets = targets.join(solved, F.col("source").eqNullSafe(F.col("_m_source")), "left").join(chunks, F.col("source").eqNullSafe(F.col("_c_source")))
+    targets = staged(targets.select(F.col("source").alias("_s"), "source_size", "target", "mean", "m", "_chunks"), "mix-rates")
+    tilted = F.round(F.least(F.lit(float(cap)), F.exp(F.col("m") * F.col("size") / F.col("mean"))), 9)
+    flat = F.when(F.col("target") > 0, F.lit(float(cap))).otherwise(F.lit(0.0))
+    dealt = (
+        sized.join(targets, F.col("source").eqNullSafe(F.col("_s")))
+        .withColumn("rate", F.when(F.col("size") == 0, F.lit(0.0)).when(F.col("m").isNull(), flat).otherwise(tilted))
+        .withColumn("_chunk", F.pmod(F.xxhash64("_k1", F.lit(seed)), "_chunks"))
     )
-
-
-def tilted_rate(mass, target, cap: float):
-    """exp(m) for the m that minimises mass * exp(m) - target * m, by damped Newton steps from m = 0."""
-    def step(m, _):
-        gradient, curvature = mass * F.exp(m) - target, mass * F.exp(m)
-        return m - F.greatest(F.lit(-2.0), F.least(F.lit(2.0), gradient / curvature))
-
-    solved = F.exp(F.aggregate(F.sequence(F.lit(1), F.lit(NEWTON_STEPS)), F.lit(0.0), step))
-    return F.when((mass <= 0) | (target <= 0), F.lit(0.0)).otherwise(F.least(F.lit(cap), solved))
-
-
-def rounded(docs, chance, words, strict, seed: int):
-    """Walk through `docs` (array of structs with size and id, largest first) -> struct of `extra` (0 or 1 for each), the `chance` and the words `left` for others.
-
-    `words` counts the words of `docs` and of all others that the chance holds for.  Where `strict`, the share is not exceeded.
-    """
-    tiny, none, one = F.lit(1e-300), F.lit(0.0), F.lit(1.0)
+    order = F.struct(F.col("size"), F.xxhash64("_k1", F.lit(seed + 1)).alias("h"), *[F.col(c) for c in ("_k1", "_k2", "id", "rows", "rate")])
+    lists = dealt.groupBy("source", "source_size", "target", "_chunk").agg(F.sort_array(F.collect_list(order.alias("d")), asc=False).alias("_docs"))
 
     def step(acc, d):
-        p, left, size = acc["chance"], acc["left"], d["size"].cast("double")
-        after = acc["words"] - size
-        draw = F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.lit("extra"), d["id"], F.size(acc["extra"])), 11) * F.lit(2.0**-53)
-        more = (size > 0) & F.when(strict, (size <= left + 0.5) & ((left > after + 0.5) | (draw < p))).otherwise(draw < p)
-        left = left - F.when(more, size).otherwise(0.0)
-        # p_taken * p + p_not * (1 - p) = p; both within [0, 1]
-        if_taken = F.greatest((p * acc["words"] - size) / F.greatest(after, tiny), (2 * p - 1) / F.greatest(p, tiny), none)
-        if_not = p * (1 - if_taken) / F.greatest(1 - p, tiny)
-        moved = F.when(strict, left / F.greatest(after, tiny)).when(more, if_taken).otherwise(if_not)
-        return F.struct(
-            F.when((size > 0) & (after > 0.5), F.greatest(none, F.least(one, moved))).otherwise(p).alias("chance"),
-            after.alias("words"),
-            left.alias("left"),
-            F.concat(acc["extra"], F.array(more.cast("int"))).alias("extra"),
-        )
+        size = F.greatest(d["size"], F.lit(1)).cast("double")
+        due = acc["due"] + d["rows"] * d["rate"] * size
+        most = F.least(d["rows"] * F.ceil(d["rate"]), F.greatest(d["rows"] * F.floor(d["rate"]), F.round(due / size).cast("long"))).cast("long")
+        return F.struct((due - most * size).alias("due"), F.concat(acc["copies"], F.array(most)).alias("copies"))
 
-    chance, words = chance.cast("double"), words.cast("double")
-    start = F.struct(chance.alias("chance"), words.alias("words"), (chance * words).alias("left"), F.array().cast("array<int>").alias("extra"))
-    return F.aggregate(docs, start, step)
+    start = F.struct(F.lit(0.0).alias("due"), F.array().cast("array<bigint>").alias("copies"))
+    walked = lists.withColumn("_copies", F.aggregate("_docs", start, step, lambda acc: acc["copies"]))
+    one = walked.select("source", "source_size", "target", F.explode(F.arrays_zip("_docs", "_copies")).alias("_d"))
+    fields = [F.col(f"_d._docs.{c}").alias(c) for c in ("_k1", "_k2", "id", "size", "rows", "rate")]
+    return one.select("source", "source_size", "target", *fields, F.col("_d._copies").alias("copies"))
 
 
-def filled(docs, copies, left, most):
-    """Further copies (0 or 1 for each of `docs`, largest first) that fit into the words `left`."""
+def of_row(nth):
+    """Copies of the nth (from 0) of the rows of a distinct document."""
+    return (F.floor(F.col("copies") / F.col("rows")) + (nth < F.col("copies") % F.col("rows")).cast("int")).cast("int")
 
-    def step(acc, d):
-        size = d["size"].cast("double")
-        more = (size > 0) & (size <= acc["left"] + 0.5) & (F.element_at(copies, F.size(acc["more"]) + 1) < most)
-        return F.struct((acc["left"] - F.when(more, size).otherwise(0.0)).alias("left"), F.concat(acc["more"], F.array(more.cast("int"))).alias("more"))
-
-    return F.aggregate(docs, F.struct(left.alias("left"), F.array().cast("array<int>").alias("more")), step, lambda acc: acc["more"])
-
-
-def mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: float = 3.0, seed: int = 5, id_col: str = "doc_id", keep: tuple[str, ...] = ()) -> DataFrame:
-    """One row per document: id, `keep`, source, size, source_size, target, rate, copies, taken."""
-    sized = docs.select(F.col(id_col), *[c for c in keep if c not in (id_col, "source")], "source", F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"))
-    sized = staged(sized, "mix-sizes")
-    kept = [c for c in sized.columns if c not in (id_col, "source", "size")]
-    rank = F.struct(F.col("size"), F.xxhash64(F.lit(seed), id_col).alias("h"))
-    nth = Window.partitionBy("source").orderBy(rank.desc())
-    last = sized.select("source", rank.alias("_last"), F.row_number().over(nth).alias("_nth")).where(F.col("_nth") == CHUNK)
-    targets = source_targets(sized, weights, cap).withColumn("_whole", F.floor(F.col("rate") + F.lit(1e-9)))
-    targets = targets.withColumn("_chance", F.greatest(F.col("rate") - F.col("_whole"), F.lit(0.0)))
-    last = last.select(F.col("source").alias("_s"), "_last")
-    targets = staged(targets.join(last, F.col("source").eqNullSafe(F.col("_s")), "left").drop("_s"), "mix-targets")
-    large = F.col("_last").isNull() | (rank > F.col("_last"))
-    rest = F.greatest(F.lit(1), F.ceil((F.col("docs") - CHUNK + 1) / CHUNK))
-    dealt = (
-        sized.withColumnRenamed("source", "_s")
-        .join(targets, F.col("_s").eqNullSafe(F.col("source")))
-        .withColumn("_chunk", F.when(large, F.lit(-1).cast("long")).otherwise(F.pmod(F.xxhash64(id_col, "size", F.lit(seed)), rest)))
-    )
-    first = ("source_size", "target", "rate", "_whole", "_chance")
 
-    def chunks(rows: DataFrame, also: list[str]) -> DataFrame:
-        row = F.struct(F.col("size"), F.xxhash64(F.lit(seed), id_col).alias("h"), F.col(id_col).alias("id"), *also)
-        return rows.groupBy("source", "_chunk").agg(
-            *[F.first(c).alias(c) for c in first], F.sum("size").alias("_words"), F.sort_array(F.collect_list(row), asc=False).alias("_docs")
-        )
+def mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: float = 3.0, seed: int = 5, id_col: str = "doc_id") -> DataFrame:
+    """One row per document: id, source, size, source_size, target, rate, copies, taken."""
+    each = planned(docs, weights, cap, seed, id_col).withColumn("_nth", F.explode(F.sequence(F.lit(0).cast("long"), F.col("rows") - 1)))
+    out = each.select(F.col("id").alias(id_col), "source", "size", "source_size", "target", "rate", of_row(F.col("_nth")).alias("copies"))
+    return out.withColumn("taken", (F.col("copies") * F.col("size")).cast("long"))
 
-    left = chunks(dealt.where("_chunk = -1"), []).select(
-        F.col("source").alias("_s"), rounded(F.col("_docs"), F.col("_chance"), F.col("source_size"), F.lit(True), seed)["chance"].alias("_left")
-    )
-    left = staged(left, "mix-chances")
-    large = F.col("_chunk") == -1
-    chance = F.when(large, F.col("_chance")).otherwise(F.coalesce("_left", "_chance"))
-    words = F.when(large, F.col("source_size")).otherwise(F.col("_words"))
-    most = F.lit(int(cap))
-    return (
-        chunks(dealt, kept)
-        .join(left, F.col("source").eqNullSafe(F.col("_s")), "left")
-        .withColumn("_walk", rounded(F.col("_docs"), chance, words, large, seed))
-        .withColumn("_copies", F.transform("_walk.extra", lambda x: (F.col("_whole") + x).cast("int")))
-        .withColumn("_more", filled(F.col("_docs"), F.col("_copies"), F.when(large & (F.col("_words") == F.col("source_size")), F.col("_walk.left")).otherwise(0.0), most))
-        .select("source", "source_size", "target", "rate", F.explode(F.arrays_zip("_docs", "_copies", "_more")).alias("_d"))
-        .select(
-            F.col("_d._docs.id").alias(id_col),
-            *[F.col(f"_d._docs.{c}").alias(c) for c in kept],
-            "source",
-            F.col("_d._docs.size").alias("size"),
-            "source_size",
-            "target",
-            "rate",
-            F.when(F.col("_d._docs.size") > 0, F.least(F.col("_d._copies") + F.col("_d._more"), most)).otherwise(0).cast("int").alias("copies"),
-        )
-        .withColumn("taken", (F.col("copies") * F.col("size")).cast("long"))
-    )
+
+def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: float = 3.0, seed: int = 5, id_col: str = "doc_id") -> DataFrame:
+    """Each row of `docs`, with all its columns, as often as the mix takes it.  Texts are shuffled once, to meet their number of copies."""
+    plan = planned(docs, weights, cap, seed, id_col).where("copies > 0").select("_k1", "_k2", "rows", "copies")
+    met = keyed_rows(docs, id_col, "source", "text").join(shuffled(plan), ["_k1", "_k2"])
+    nth = F.row_number().over(Window.partitionBy("_k1", "_k2").orderBy("_k1")) - 1
+    met = met.withColumn("_times", of_row(nth)).where("_times > 0")
+    return met.withColumn("_time", F.explode(F.sequence(F.lit(1), F.col("_times")))).select("_row.*")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,19 +2,22 @@
 
 Base rules reject short and repetitive texts.  Further rules reject a text when a share (symbols, repeated lines, repeated
 words, capitals) reaches a cutoff.  Cutoffs are chosen per stratum (language) from labelled documents: going from the loosest
-cutoff to stricter ones, a cutoff is certified while an exact binomial test still shows that fewer than `risk` of the good
-documents are rejected; the first failure ends the walk (fixed-sequence testing), and the level is divided by the
-number of rules and tested groups (Bonferroni).  So with probability 1 - `level` no rule rejects more than `risk` of a
-group's good documents.  A group is a stratum with labels enough for a test to succeed at all, or the pool of all other strata (of
+cutoff to stricter ones, a cutoff is certified while an exact binomial test still shows that the rule rejects fewer than `risk` / 4 of the
+good documents; the first failure ends the walk (fixed-sequence testing), and the level is divided by the
+number of rules and tested groups (Bonferroni).  So with probability 1 - `level` the verdict, all four rules together, rejects at most
+`risk` of each group's good documents that pass the base rules.  A trial of the test is a distinct text: repeated labels, repeated rows and
+exact copies count once (near copies count each).
+A group is a stratum with labels enough for a test to succeed at all, or the pool of all other strata (of
 all labelled documents, if the others alone are too few).  Pooled strata share the pool's cutoffs, its promise is about the pool as
-a whole; a pooled stratum stays at the last cutoff that rejects at most `risk` of its own good documents.  Only where
+a whole; a pooled stratum stays at the last cutoff that rejects at most `risk` / 4 of its own good documents.  Only where
 all labelled documents together are too few is there no cutoff, and base rules act alone.
 
 Counts come from array expressions inside each row: hashed 3-word windows are sorted with their positions, equal
-neighbours mark repeats.  Work per text is n log n, so very long texts are no special case.
+neighbours mark repeats.  Work per text is n log n, so very long texts are no special case.  Every text is measured once; cutoffs,
+verdicts and their joins see narrow rows only.
 
 Defined cases: null or empty text has no words and fails the base rules; null language is the stratum ''; labels without a
-document, with null quality or doubled are ignored, ignored and counted per row; extra columns are untouched.
+document or with null quality are ignored, a document labelled both good and bad counts as good; extra columns are untouched.
 """
 
 from __future__ import annotations
@@ -24,8 +27,7 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from . import common
-from .common import let, staged, table
+from .common import keyed_rows, let, row_keys, shuffled, staged, table
 
 SPACE = r"[\x20\x09-\x0D]+"
 SPACES = " \t\n\x0b\f\r"
@@ -34,8 +36,10 @@ CAPITALS = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 #: Cutoffs from loose to strict; a share at or above the cutoff is rejected.
 CUTS = [0.9, 0.8, 0.7, 0.6, 0.5, 0.45, 0.4, 0.35, 0.3, 0.25, 0.2, 0.15, 0.12, 0.1, 0.08, 0.06]
 RULES = ["symbol_share", "dup_line_share", "repeat_share", "capital_share"]
-RISK, LEVEL = 0.005, 0.05
-BROADCAST_STRATA = 10_000
+#: Share of good documents that the verdict may reject, and the chance that it rejects more.
+RISK, LEVEL = 0.02, 0.05
+#: Strata with cutoffs of their own, those with most labels; all others use those of strata without labels.  Bounds the broadcast.
+MOST_STRATA = 10_000
 
 
 def repeated_words(words: Column) -> Column:
@@ -127,18 +131,26 @@ def lower_tail(k: Column, n: Column, p: float) -> Column:
 
 def least_labels(groups: int, risk: float = RISK, level: float = LEVEL) -> int:
     """Good documents that a group needs for a cutoff which rejects none of them."""
-    return math.ceil(math.log(level / (groups * len(RULES))) / math.log1p(-risk))
+    return math.ceil(math.log(level / (groups * len(RULES))) / math.log1p(-risk / len(RULES)))
 
 
 def certified_cuts(measured: DataFrame, labels: DataFrame, risk: float = RISK, level: float = LEVEL, id_col: str = "doc_id") -> DataFrame:
-    """measured(id, stratum, base_failed, the shares) + labels(id, quality) -> one row per stratum with a cutoff (or null) per rule.
+    """measured(id, stratum, base_failed, the shares, _text) + labels(id, quality) -> one row per stratum with a cutoff (or null) per rule.
 
     The row of a null stratum holds for all strata without a row.  Who is pooled depends on the numbers of labels only.
+    Rows of one stratum with equal `_text` (a hash; the id where there is none) are one trial.
     """
-    good = labels.where("quality = 1").select(F.col(id_col).alias("_id"))
+    risk = risk / len(RULES)
+    good = labels.where("quality = 1").select(F.col(id_col).alias("_id")).distinct()
+    same = "_text" if "_text" in measured.columns else id_col
     reached = [F.sum((F.col(r) >= c).cast("long")).alias(f"{r}_{i}") for r in RULES for i, c in enumerate(CUTS)]
     counts = (
-        measured.where(~F.col("base_failed")).join(good, F.col(id_col) == F.col("_id")).groupBy("stratum").agg(F.count("*").alias("n"), *reached)
+        measured.where(~F.col("base_failed"))
+        .select(id_col, "stratum", same, *RULES)
+        .join(shuffled(good), F.col(id_col) == F.col("_id"))
+        .dropDuplicates(["stratum", same])
+        .groupBy("stratum")
+        .agg(F.count("*").alias("n"), *reached)
     )
     fields = ["n", *[f"{r}_{i}" for r in RULES for i in range(len(CUTS))]]
     unseen = measured.sparkSession.range(1).select(F.lit(None).cast("string").alias("stratum"), *[F.lit(0).cast("long").alias(c) for c in fields])
@@ -147,7 +159,7 @@ def certified_cuts(measured: DataFrame, labels: DataFrame, risk: float = RISK, l
     enough = lambda n, groups: n * F.lit(math.log1p(-risk)) <= F.log(alpha(groups))
     # the j-th largest stratum stands alone if it has labels enough for j groups and the pool
     place = F.row_number().over(Window.orderBy(F.col("n").desc(), F.col("stratum").asc_nulls_last()))
-    placed = counts.unionByName(unseen).withColumn("_own", enough(F.col("n"), place + 1))
+    placed = counts.unionByName(unseen).withColumn("_place", place).withColumn("_own", enough(F.col("n"), F.col("_place") + 1) & (F.col("_place") <= MOST_STRATA))
     placed = placed.withColumn("_groups", F.sum(F.col("_own").cast("int")).over(everyone) + 1)
     rest = F.coalesce(F.sum(F.when(~F.col("_own"), F.col("n"))).over(everyone), F.lit(0))
     placed = placed.withColumn("_rest", enough(rest, F.col("_groups")))
@@ -164,52 +176,47 @@ def certified_cuts(measured: DataFrame, labels: DataFrame, risk: float = RISK, l
 
         return F.aggregate(ladder, start, step, lambda acc: acc["cut"])
 
-    return tests.select(F.col("stratum").alias("_stratum"), *[walk(r).alias(f"{r}_cut") for r in RULES])
+    listed = tests.where((F.col("_place") <= MOST_STRATA) | F.col("stratum").isNull())
+    return listed.select(F.col("stratum").alias("_stratum"), *[walk(r).alias(f"{r}_cut") for r in RULES])
 
 
 def measured_rows(docs: DataFrame, id_col: str = "doc_id", stratum_col: str = "lang") -> DataFrame:
-    return with_statistics(docs.select(id_col, "text", stratum_col)).select(
-        id_col, F.coalesce(stratum_col, F.lit("")).alias("stratum"), "_q", base_failed().alias("base_failed"), *[c.alias(r) for r, c in shares().items()]
+    """One narrow row per document: id, keys, stratum, `_text` (hash), `_q`, base_failed, shares."""
+    chosen = docs.select(id_col, "text", stratum_col, *row_keys(id_col, "text", stratum_col))
+    return with_statistics(chosen).select(
+        id_col,
+        "_k1",
+        "_k2",
+        F.coalesce(stratum_col, F.lit("")).alias("stratum"),
+        F.xxhash64("text").alias("_text"),
+        "_q",
+        base_failed().alias("base_failed"),
+        *[c.alias(r) for r, c in shares().items()],
     )
 
 
 def with_cuts(rows: DataFrame, cuts: DataFrame) -> DataFrame:
-    """Join the cutoffs to rows that have `stratum`; add `kept`."""
+    """Join the cutoffs (MOST_STRATA rows and one at most) to rows that have `stratum`; add `kept`."""
     cuts = staged(cuts, "quality-cuts")
     unseen = cuts.where("_stratum IS NULL").first()
-    cuts = cuts.where("_stratum IS NOT NULL")
-    if cuts.count() <= BROADCAST_STRATA:
-        cuts = F.broadcast(cuts)
-    joined = rows.join(cuts, F.col("stratum") == F.col("_stratum"), "left")
+    joined = rows.join(F.broadcast(cuts.where("_stratum IS NOT NULL")), F.col("stratum") == F.col("_stratum"), "left")
     rejected = F.lit(False)
     for r in RULES:
         joined = joined.withColumn(f"{r}_cut", F.when(F.col("_stratum").isNull(), F.lit(unseen[f"{r}_cut"]).cast("double")).otherwise(F.col(f"{r}_cut")))
         rejected = rejected | F.coalesce(F.col(r) >= F.col(f"{r}_cut"), F.lit(False))
-    return joined.withColumn("kept", F.greatest(F.col("base_failed").cast("int"), rejected.cast("int")) == 0).drop("_stratum")  # no conjunction: parts of it would be pushed below the join and measured twice
+    return joined.withColumn("kept", ~F.col("base_failed") & ~rejected).drop("_stratum")
 
 
 def judge(docs: DataFrame, labels: DataFrame, risk: float = RISK, level: float = LEVEL) -> DataFrame:
-    """One row per document: doc_id, stratum, `_q`, base_failed, shares, cutoffs, kept."""
+    """One row per document: doc_id, keys, stratum, `_q`, base_failed, shares, cutoffs, kept."""
     measured = staged(measured_rows(docs), "quality-measures")
     return with_cuts(measured, certified_cuts(measured, labels, risk, level))
 
 
 def kept_documents(docs: DataFrame, labels: DataFrame, risk: float = RISK, level: float = LEVEL) -> DataFrame:
-    """The rows of `docs` that pass, with their columns.  Texts are measured again rather than shuffled.
-
-    Cutoffs look only at documents labelled good.  If those ids fit a broadcast, no other text is measured for them; if not, all
-    are measured and the narrow measures are joined.
-    """
-    good = staged(labels.where("quality = 1").select("doc_id", "quality"), "quality-good")
-    seen = docs
-    if good.count() * 16 <= common.BROADCAST_BYTES:
-        seen = docs.join(F.broadcast(good.select(F.col("doc_id").alias("_good"))), F.col("doc_id") == F.col("_good"), "left_semi")
-    measured = staged(measured_rows(seen), "quality-measures")  # a filter pushed below would measure each text twice
-    cuts = certified_cuts(measured, good, risk, level)
-    row = F.struct(*[F.col(c) for c in docs.columns]).alias("_doc")
-    again = with_statistics(docs.select(row, F.col("text"), F.coalesce("lang", F.lit("")).alias("stratum")))
-    again = again.select("_doc", "stratum", base_failed().alias("base_failed"), *[c.alias(r) for r, c in shares().items()])
-    return with_cuts(again, cuts).where("kept").select("_doc.*")
+    """The rows of `docs` that pass, with their columns.  Texts are shuffled once, to meet their verdicts."""
+    kept = judge(docs, labels, risk, level).where("kept").select("_k1", "_k2").distinct()
+    return keyed_rows(docs, "doc_id", "text", "lang").join(shuffled(kept), ["_k1", "_k2"], "left_semi").select("_row.*")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

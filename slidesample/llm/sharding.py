@@ -22,12 +22,10 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import let, staged, table
+from .common import let, shuffled, staged, table
 
 ROUNDS = 6
 ROWS_PER_BUCKET = 20_000
-#: Buckets at most, so that the broadcast table of offsets has a fixed bound.
-MOST_BUCKETS = 65_536
 
 
 def feistel(x: Column, n: int, seed: int) -> Column:
@@ -68,14 +66,14 @@ def permuted(x: Column, n: int, seed: int) -> Column:
 
 def numbered(rows: DataFrame, key: list[str], n: int) -> DataFrame:
     """Add `row_no`, 0 … n-1, reproducible: hash buckets, ranks inside, offsets of the buckets before."""
-    buckets = min(MOST_BUCKETS, max(64, -(-n // ROWS_PER_BUCKET)))
+    buckets = max(64, -(-n // ROWS_PER_BUCKET))
     dealt = rows.withColumn("_bucket", F.pmod(F.xxhash64(*key), F.lit(buckets)))
     counts = dealt.groupBy("_bucket").agg(F.count("*").alias("_n"))
     offsets = counts.select("_bucket", (F.sum("_n").over(Window.orderBy("_bucket")) - F.col("_n")).alias("_offset"))
     rank = F.row_number().over(Window.partitionBy("_bucket").orderBy(*key)) - 1
     return (
         dealt.withColumn("_rank", rank)
-        .join(F.broadcast(offsets), "_bucket")  # MOST_BUCKETS rows at most
+        .join(shuffled(offsets), "_bucket")  # rows are dealt by bucket already, so only the offsets move
         .withColumn("row_no", (F.col("_rank") + F.col("_offset")).cast("long"))
         .drop("_bucket", "_rank", "_offset")
     )

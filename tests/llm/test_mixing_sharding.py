@@ -1,4 +1,5 @@
-from collections import defaultdict
+import math
+from collections import Counter, defaultdict
 
 import pytest
 
@@ -50,18 +51,47 @@ def test_mixing_edge_cases(spark):
     assert mixing.mix(df.drop("size").limit(0)).count() == 0
 
 
-def test_mixing_takes_long_texts_as_often_as_short_ones(spark):
-    # 40 sources of 2000 texts, 40 of them long; at a rate of 0.05 a chunk of 512 has less than one long text to give
-    docs = spark.range(80000).selectExpr("id AS doc_id", "repeat('w ', IF(id % 50 = 7, 600, 10)) AS text", "CAST(1000 + id DIV 2000 AS STRING) AS source")
-    rows = mixing.mix(docs, weights=(1, 39)).groupBy("rate", "size", "copies").count().collect()
-    assert sum(r["count"] for r in rows) == 80000
-    for rate, whole in ((0.05, 0), (1.95, 1)):
-        these = [r for r in rows if abs(r["rate"] - rate) < 1e-6]
-        assert {r["copies"] for r in these} == {whole, whole + 1}
-        for size, n, spread in ((10, 39200, 0.01), (600, 800, 0.025)):
-            extra = sum((r["copies"] - whole) * r["count"] for r in these if r["size"] == size)
-            assert sum(r["count"] for r in these if r["size"] == size) == n
-            assert abs(extra / n - (rate - whole)) < spread
+def brute_multiplier(sizes, target, cap=3.0):
+    """m with sum(size * min(cap, exp(m * size))) = target, by bisection."""
+    words = lambda m: sum(x * min(cap, math.exp(min(m * x, 5))) for x in sizes)
+    low, high = -50.0, 50.0
+    for _ in range(300):
+        mid = (low + high) / 2
+        low, high = (mid, high) if words(mid) < target else (low, mid)
+    return low
+
+
+def test_rates_are_tilted_by_document_and_copies_follow_them(spark):
+    """Rates solve the dual found by bisection, differ between documents of a source, and are met in the mean by texts of each size."""
+    docs = spark.range(24000).selectExpr("id AS doc_id", "repeat('w ', CAST(IF(id % 50 = 7, 90, 10 + id % 3) AS INT)) AS text", "CAST(1000 + id % 4 AS STRING) AS source")
+    rows = mixing.mix(docs, weights=(1, 2, 4, 9)).groupBy("source", "target", "rate", "size", "copies").count().collect()
+    assert sum(r["count"] for r in rows) == 24000
+    for source in {r["source"] for r in rows}:
+        these = [r for r in rows if r["source"] == source]
+        sizes = [r["size"] for r in these for _ in range(r["count"])]
+        m = brute_multiplier(sizes, these[0]["target"])
+        assert sum(r["size"] * r["copies"] * r["count"] for r in these) == pytest.approx(these[0]["target"], rel=0.002)
+        assert len({r["rate"] for r in these}) > 1 or these[0]["rate"] in (0.0, 3.0)
+        for size in set(sizes):
+            mine = [r for r in these if r["size"] == size]
+            n, rate = sum(r["count"] for r in mine), mine[0]["rate"]
+            assert rate == pytest.approx(min(3.0, math.exp(m * size)), abs=1e-6) or these[0]["target"] >= 3 * sum(sizes) * (1 - 1e-9)
+            assert abs(sum(r["copies"] * r["count"] for r in mine) / n - rate) < 0.03
+
+
+def test_mixing_shares_copies_among_repeated_rows(spark):
+    docs = spark.createDataFrame([(1, "a b c", "x")] * 300 + [(2, "d e", "x")] * 100 + [(None, "f g h i", "y")] * 50 + [(None, None, None)], "doc_id long, text string, source string")
+    rows = mixing.mix(docs).collect()
+    assert len(rows) == 451
+    out = mixing.mixed_documents(docs.selectExpr("*", "1 AS _copies", "2 AS _id", "3 AS _k1", "4 AS size", "5 AS _row"))
+    assert out.columns == ["doc_id", "text", "source", "_copies", "_id", "_k1", "size", "_row"]
+    got = Counter(r["text"] for r in out.collect())
+    want = Counter()
+    for r in rows:
+        want[{3: "a b c", 2: "d e", 4: "f g h i", 0: None}[r["size"]]] += r["copies"]
+    assert got == +want
+    for r in rows:
+        assert r["copies"] in (math.floor(r["rate"]), math.ceil(r["rate"]))
 
 
 def test_mixing_of_many_chunks_meets_targets(spark):

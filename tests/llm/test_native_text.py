@@ -109,6 +109,61 @@ def test_a_pooled_stratum_keeps_its_good_documents(spark):
     assert cuts == {"de": 0.06, "fr": 0.06, None: 0.06, "xx": 0.25}
 
 
+def test_repeated_labels_and_copies_are_one_trial(spark):
+    text = lambda i: " ".join(f"w{i}x{j}" for j in range(60))
+    docs = spark.createDataFrame([(i, text(i % 300), "en") for i in range(3000)], "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(i, 1) for i in range(3000) for _ in range(4)] + [(None, 1), (5, None)], "doc_id long, quality int")
+    cuts = quality_rules.judge(docs, labels).select("symbol_share_cut").distinct().collect()
+    assert [r[0] for r in cuts] == [None]
+
+
+def brute_cuts(trials, risk=quality_rules.RISK, level=quality_rules.LEVEL):
+    """{stratum: {rule: cutoff}} of strata that stand alone, from {stratum: [shares of good documents]}, exactly by fractions of integers."""
+    per, rules = risk / 4, quality_rules.RULES
+
+    def tail(k, n):
+        return sum(math.comb(n, i) * per**i * (1 - per) ** (n - i) for i in range(k + 1))
+
+    out = {}
+    for stratum, rows in trials.items():
+        out[stratum] = {}
+        for r in rules:
+            cut = None
+            for c in quality_rules.CUTS:
+                k = sum(x[r] >= c for x in rows)
+                if tail(k, len(rows)) > level / (4 * (len(trials) + 1)) or k > len(rows) * per:
+                    break
+                cut = c
+            out[stratum][r] = cut
+    return out
+
+
+def test_cuts_and_verdicts_against_brute_force(spark):
+    import random
+
+    rnd = random.Random(6)
+    rows = []
+    for lang, n in (("aa", 1600), ("bb", 1400)):
+        for _ in range(n):
+            i = len(rows)
+            odd = rnd.random()
+            text = " ".join(f"w{i}x{j}" for j in range(60)) + ("*" * rnd.randrange(20, 300) if odd < 0.003 else "") + ("\nAB CD EF" * rnd.randrange(1, 5) if odd > 0.996 else "")
+            rows.append((i, text, lang))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(i, 1) for i, *_ in rows], "doc_id long, quality int")
+    out = quality_rules.judge(docs, labels).collect()
+    trials = {}
+    for r in out:
+        if not r["base_failed"]:
+            trials.setdefault(r["stratum"], []).append({k: r[k] for k in quality_rules.RULES})
+    want = brute_cuts(trials)
+    for r in out:
+        cuts = want[r["stratum"]]
+        assert {k: r[f"{k}_cut"] for k in quality_rules.RULES} == cuts
+        assert r["kept"] == (not r["base_failed"] and not any(c is not None and r[k] >= c for k, c in cuts.items()))
+    assert any(not r["kept"] and not r["base_failed"] for r in out)
+
+
 def brute_license(text):
     low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in (text or ""))
     w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
