@@ -196,6 +196,61 @@ def test_license_scan(spark):
     assert license_scan.scan(df.limit(0)).count() == 0
 
 
+def brute_placements(words, idf, templates, enough):
+    """(label, score) of every template at every offset that its index words vote for twice, straight from the definition."""
+    chosen = {w for _, t, _ in templates for w in sorted(set(t.split()), key=lambda w: (-idf[w], w))[: license_scan.RAREST]}
+    rare = set(sorted(chosen & set(words), key=lambda w: (-idf[w], w))[: license_scan.LOOKED_UP])
+    out = []
+    for label, text, keys in templates:
+        t = text.split()
+        total = sum(max(idf[w], 1e-6) for w in t)
+        for off in range(-len(t) + 1, len(words)):
+            same = [i for i in range(len(t)) if 0 <= off + i < len(words) and words[off + i] == t[i]]
+            if sum(t[i] in rare for i in same) < 2:
+                continue
+            if all(any(t[i : i + len(k.split())] == k.split() == words[off + i : off + i + len(k.split())] and off + i >= 0 for i in range(len(t))) for k in keys):
+                score = sum(max(idf[t[i]], 1e-6) for i in same) / total
+                if score >= enough:
+                    out.append((label, score))
+    return out
+
+
+def test_license_labels_against_brute_force(spark):
+    import random
+
+    rnd = random.Random(9)
+    fill = lambda n: " ".join(rnd.choice(["alpha", "beta", "the", "software", "license", "free", "of"]) for _ in range(n))
+    gpl = next(t for x, t, _ in license_scan.TEMPLATES if x == "gpl-3")
+    texts = {
+        "gpl header": "/* " + gpl.capitalize() + ". */ " + fill(300),
+        "title": "                    GNU GENERAL PUBLIC LICENSE\n   Version 3, 29 June 2007\n" + fill(50),
+        "identifier": "// SPDX-License-Identifier: GPL-3.0-only\n" + fill(20),
+        "scattered": "the gnu general public license version 3 " + fill(300) + " this work is licensed under",
+        "mention": "a review of the gnu general public license version 3 and others",
+        "mit": fill(90) + " " + license_scan.TEMPLATES[1][1].replace("files the", "files (the") + " " + fill(9),
+        "edited": "Redistribution and use in source and binary forms, with or without any modification, are permitted",
+        "two": "SPDX-License-Identifier: MIT OR x " + next(t for x, t, _ in license_scan.TEMPLATES if x == "isc"),
+    }
+    for k in range(25):
+        t = rnd.choice(license_scan.TEMPLATES)[1].split()
+        texts[f"noise {k}"] = fill(rnd.randrange(30)) + " " + " ".join(w for w in t if rnd.random() < 0.93) + " " + fill(rnd.randrange(30))
+    texts.update({f"plain {k}": fill(40) for k in range(30)})
+    names = list(texts)
+    df = spark.createDataFrame([(i, texts[n], "x") for i, n in enumerate(names)], "doc_id long, text string, _words string")
+    split = {n: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", texts[n].lower()) for n in names}
+    vocabulary = {w for t in license_scan.TEMPLATES for w in t[1].split()}
+    idf = {w: math.log((len(names) + 1) / (sum(w in s for s in split.values()) + 0.5)) for w in vocabulary}
+    labels = {}
+    for r in license_scan.scan(df).collect():
+        name = names[r["doc_id"]]
+        placed = brute_placements(split[name], idf, license_scan.TEMPLATES, license_scan.ENOUGH)
+        base = set(filter(None, r["base_labels"].split(",")))
+        assert r["labels"] == ",".join(sorted(base | {x for x, _ in placed})), name
+        assert abs(r["score"] - max([s for _, s in placed] + [license_scan.ENOUGH if base else 0.0])) < 2e-6
+        labels[name] = r["labels"]
+    assert [labels[n] for n in ("gpl header", "title", "identifier", "scattered", "mention", "mit", "edited", "two")] == ["gpl-3", "gpl-3", "gpl-3", "", "", "mit", "bsd", "isc,mit"]
+
+
 def test_license_scan_on_documents(spark):
     texts = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
     for r in license_scan.query(spark, SF).collect():
