@@ -194,11 +194,24 @@ def test_tiling_against_brute_force():
     for _ in range(150):
         item = [str(rnd.randrange(6)) for _ in range(rnd.randrange(3, 30))]
         doc = [str(rnd.randrange(6)) for _ in range(rnd.randrange(0, 40))] + item[rnd.randrange(3) :] + item[: rnd.randrange(8)]
-        index = tiling.SeedIndex([(1, " ".join(item))], 3)
-        h = tiling.tokens(" ".join(doc))
-        got = list(tiling.contaminations(h, index, 0.0001))
-        want = brute_tiling(doc, item, min(3, len(item)))
-        assert (got[0][2] if got else 0) == want
+        tiles = tiling.tile(tiling.tokens(" ".join(doc)), tiling.tokens(" ".join(item)), min(3, len(item)))
+        assert sum(t[0] for t in tiles) == brute_tiling(doc, item, min(3, len(item)))
+        parts = [x for x in (doc[:9], doc[9:12], doc[12:]) if x]  # no tile crosses from one part to the next
+        tiles = tiling.tile(tiling.tokens(" ".join(doc)), tiling.tokens(" ".join(item)), min(3, len(item)), [len(x) for x in parts])
+        barred = [w for x in parts for w in [*x, object()]]
+        assert sum(t[0] for t in tiles) == brute_tiling(barred, item, min(3, len(item)))
+
+
+def test_tiling_of_one_repeated_word_needs_no_pairs():
+    import time
+    import tracemalloc
+
+    doc, item = tiling.tokens("word " * 60000), tiling.tokens("word " * 1000)
+    tracemalloc.start()
+    begin = time.time()
+    assert tiling.tile(doc, item, 5) == [(1000, 0, 0)]
+    assert time.time() - begin < 10 and tracemalloc.get_traced_memory()[1] < 50 << 20
+    tracemalloc.stop()
 
 
 def test_decontamination(spark):
@@ -208,12 +221,13 @@ def test_decontamination(spark):
         (1, item.upper()), (2, "before " + " ".join(w[8:]) + " and then " + " ".join(w[:8])), (3, " ".join(w[:5]) + " nothing else of it"),
         (4, None), (5, ""), (6, "word " * 30000), (7, "x " * 9000 + item), (7, "clean text"), (8, "two words"),
     ]
-    docs = spark.createDataFrame([(i, t, 0.5) for i, t in rows], "doc_id long, text string, covered double").repartition(3)
+    rows += [(None, "so " + item), (None, None)]
+    docs = spark.createDataFrame([(i, t, 0.5, 1, 2) for i, t in rows], "doc_id long, text string, covered double, _k1 int, row int").repartition(3)
     bench = spark.createDataFrame([(1, item), (2, None), (3, ""), (4, item), (5, "two words")], "item_id long, text string")
     found = {(r["doc_id"], r["item_id"]) for r in tiling.find_leaks(docs, bench).collect()}
-    assert found == {(d, i) for d in (1, 2, 7) for i in (1, 4)} | {(8, 5)}
+    assert found == {(d, i) for d in (1, 2, 7, None) for i in (1, 4)} | {(8, 5)}
     kept = tiling.without_leaks(docs, bench)
-    assert kept.columns == docs.columns and sorted(r["doc_id"] for r in kept.collect()) == [3, 4, 5, 6, 7]
+    assert kept.columns == docs.columns and sorted(r["doc_id"] or 0 for r in kept.collect()) == [0, 3, 4, 5, 6, 7]
     assert tiling.find_leaks(docs, bench.limit(0)).count() == 0 and tiling.without_leaks(docs.limit(0), bench).count() == 0
 
 
