@@ -281,3 +281,34 @@ def test_extraction_edge_cases(spark):
     assert [got[i] for i in range(len(cases))] == list(cases.values())
     assert html_text.extract_pages(df.limit(0)).count() == 0
     assert len(html_text.extract("<article>" + "<p>some words here.</p>" * 20000 + "</article>")) > 300000
+
+
+def test_names_inside_text_are_outvoted_and_comments_are_not():
+    long = "This paragraph tells a long story about the town, its market and the people who lived there in those years."
+    page = "<article><h1>Markets</h1><p>%s</p><div class='share-price'><p>The share price fell by a third in the first week of trading.</p></div><p>%s</p></article>" % (long, long)
+    assert "The share price fell" in html_text.extract(page)
+    page = "<div><h2>A dispute</h2><p>%s</p><p id='legal'>The legal dispute started in 1990 and lasted for seven years.</p></div>" % long
+    assert "The legal dispute started" in html_text.extract(page)
+    for wrap in ("<article><p>%s</p><section class='comments'>%s</section></article>", "<article><p>%s</p></article><div id='comment-list'>%s</div>", "<main><p>%s</p><div class='ad'>%s</div></main>"):
+        text = html_text.extract(wrap % (long, "<p>" + "I have read this and I think that it is wrong. " * 8 + "</p>"))
+        assert text == long
+
+
+def test_long_and_deep_pages_cost_in_proportion():
+    import time
+
+    begin = time.time()
+    html_text.extract("<div>" * 20000 + "<b>x</b>" * 20000)
+    html_text.extract("".join(f"<div><p>Some words here{'.' * (i % 2)}</p></div><li><a href=x>w{i}</a></li>" for i in range(20000)))
+    assert time.time() - begin < 20
+
+
+def test_weights_are_fitted_to_examples(spark):
+    import pandas as pd
+
+    shapes = [(2 ** (k / 2), 0.0, 1, 4, 1, 50) for k in range(8, 14)] + [(2 ** (k / 2), 0.0, 1, 4, 0, 50) for k in range(1, 6)]
+    w = html_text.fitted(pd.DataFrame(shapes, columns=["words", "share", "ends", "kind", "label", "n"]))
+    assert w[1] > html_text.PRIOR[1] and html_text.log_odds(w, 40, 0.0, 1, 4) > 0 > html_text.log_odds(w, 1, 0.0, 1, 4)
+    pages = spark.read.parquet(f"{SF}/pages.parquet")
+    assert abs(html_text.fit_weights(pages) - html_text.fit_weights(pages.repartition(7))).max() == 0
+    assert (html_text.fit_weights(pages.limit(0)) == html_text.PRIOR).all()
