@@ -1,7 +1,11 @@
-"""From a query budget to a sample size: tiny aggregates, one number to the driver."""
+"""From a query budget to a sample size: tiny aggregates, one number to the driver.
+
+`sample_size` is the one entry point that a run asks before every window; the functions below it answer for many windows at once.
+"""
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -12,11 +16,75 @@ from slidesample.functions.tscore import corrections
 
 @dataclass(frozen=True)
 class Budget:
-    """kind: 'fraction', 'size', 'tokens', 'latency' or 'accuracy'; amount in that unit; confidence for accuracy."""
+    """kind: 'fraction' (of the window), 'size' (items), 'tokens' (`per_item` for each item), 'latency' (seconds) or 'accuracy' (margin at `confidence`).
+
+    `start` is the share of the window to sample while there is no history to predict from.
+    """
 
     kind: str
     amount: float
     confidence: float = 0.95
+    per_item: float = 1.0
+    start: float = 0.1
+
+
+@dataclass(frozen=True)
+class Past:
+    """What one window really cost: items sampled, seconds, whether it went over budget, and (for accuracy) the sum of B s^2 over strata."""
+
+    n: int
+    seconds: float
+    over: bool = False
+    spread: float | None = None
+
+
+def sample_size(budget: Budget, history: list[Past], seen: int) -> int:
+    """Items that the next window may sample out of `seen`; never more than those, never below one if there are any.
+
+    Latency: seconds = a + b n fitted to the last windows; after a violation the size shrinks by what was over and a tenth more.
+    Accuracy: the size whose margin is the amount, from the spread of the last window.
+    """
+    first = int(seen * budget.start)
+    last = history[-1] if history else None
+    if budget.kind == "fraction":
+        size = int(seen * budget.amount + 1e-9)
+    elif budget.kind == "size":
+        size = int(budget.amount)
+    elif budget.kind == "tokens":
+        size = int(budget.amount / budget.per_item + 1e-9)
+    elif budget.kind == "latency":
+        if last is None:
+            size = first
+        elif last.over:
+            size = int(last.n * 0.9 * budget.amount / last.seconds)
+        else:
+            size = _by_fit(history[-20:], budget.amount, first)
+    elif budget.kind == "accuracy":
+        z = corrections(1 - (1 - budget.confidence) / 2)[0]
+        q = None if last is None else last.spread
+        size = first if q is None else math.ceil(seen * q / (q + (budget.amount / z) ** 2)) if q > 0 else 1
+    else:
+        raise ValueError(f"unknown kind of budget: {budget.kind}")
+    return max(min(1, seen), min(seen, size))
+
+
+def _by_fit(history: list[Past], seconds: float, first: int) -> int:
+    n, t = [h.n for h in history], [h.seconds for h in history]
+    mean_n, mean_t = sum(n) / len(n), sum(t) / len(t)
+    spread = sum((x - mean_n) ** 2 for x in n)
+    slope = sum((x - mean_n) * (y - mean_t) for x, y in zip(n, t, strict=True)) / spread if spread else 0.0
+    if slope <= 0:  # no size has told yet what an item costs: try a little more while there is room
+        return max(first, int(n[-1] * min(1.1, seconds / max(t[-1], 1e-9))))
+    return int((seconds - (mean_t - slope * mean_n)) / slope)
+
+
+def exceeded(budget: Budget, n: int, seconds: float, margin: float | None) -> bool:
+    """Did a window go over its budget?"""
+    if budget.kind == "latency":
+        return seconds > budget.amount
+    if budget.kind == "accuracy":
+        return margin is None or margin > budget.amount
+    return budget.kind == "tokens" and n * budget.per_item > budget.amount
 
 
 def fraction_size(seen: Column, fraction: float) -> Column:

@@ -37,18 +37,26 @@ def carry_over(sample: DataFrame, memo: DataFrame, quotas: DataFrame, carry: str
     return once.withColumn("_r", F.row_number().over(order)).join(quotas.select("window_id", "stratum", "quota"), ["window_id", "stratum"]).where("_r <= quota").select(*columns, "from_memo")
 
 
-def carry_chain(fresh: DataFrame, seed: str, carry: str = "biased", refill: str = "hash", pane: int = 1) -> DataFrame:
+def carry_chain(fresh: DataFrame, seed: str, carry: str = "biased", refill: str = "hash", pane: int = 1, changes: bool = False) -> DataFrame:
     """fresh(window_id, lo, stratum, item_id, seq, value, u) -> all biased samples with `from_memo`.
 
+    With `changes` only what changes from one sample to the next leaves: window_id, stratum, item_id, value, sign (1 enters, -1 leaves).
+
     Memo items are ranked by their priority in the window at hand; refill order is 'hash', 'sample_order' or 'newest_first'
     (newest pane of `pane` positions first, hash inside).
     """
 
+    def moved(w, s, entering, leaving):
+        rows = [(w, s, o[0], o[2], 1) for o in entering] + [(w, s, i, v, -1) for i, (_, v) in leaving]
+        return pd.DataFrame(rows, columns=["window_id", "stratum", "item_id", "value", "sign"])
+
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         stratum, last_window, memo = None, None, {}
         for part in window_runs(batches):
             w, s, lo = int(part["window_id"].iloc[0]), part["stratum"].iloc[0], int(part["lo"].iloc[0])
             if s != stratum or last_window is None or w != last_window + 1:
+                if changes and memo:  # the stratum is not in the next window
+                    yield moved(last_window + 1, stratum, [], memo.items())
                 memo = {}
             stratum, last_window = s, w
             rows = {r[0]: r for r in zip(part["item_id"], part["seq"], part["value"], part["u"], strict=True)}
@@ -61,15 +69,22 @@ def carry_chain(fresh: DataFrame, seed: str, carry: str = "biased", refill: str
             order = {"hash": lambda r: (r[3], str(r[0])), "sample_order": lambda r: (r[1], str(r[0])), "newest_first": lambda r: (-(r[1] // pane), r[3], str(r[0]))}[refill]
             rest = sorted((r for i, r in rows.items() if i not in taken), key=order)
             out += [(*r, False) for r in (rest if carry == "all" else rest[: quota - len(out)])]
-            memo = {o[0]: (o[1], o[2]) for o in out}
+            before, memo = memo, {o[0]: (o[1], o[2]) for o in out}
+            if changes:
+                yield moved(w, s, [o for o in out if o[0] not in before], [(i, qv) for i, qv in before.items() if i not in memo])
+                continue
             frame = pd.DataFrame(out, columns=["item_id", "seq", "value", "u", "from_memo"])
             frame.insert(0, "stratum", s)
             frame.insert(0, "lo", lo)
             frame.insert(0, "window_id", w)
             yield frame
+        if changes and memo:
+            yield moved(last_window + 1, stratum, [], memo.items())
 
     kind = dict(fresh.dtypes)["item_id"]
     dealt = fresh.select("window_id", "lo", "stratum", "item_id", "seq", "value", "u").repartition("stratum").sortWithinPartitions("stratum", "window_id", "u")
+    if changes:
+        return dealt.mapInPandas(run, f"window_id long, stratum string, item_id {kind}, value decimal(18,2), sign int")
     return dealt.mapInPandas(run, f"window_id long, lo long, stratum string, item_id {kind}, seq long, value decimal(18,2), u long, from_memo boolean")
 
 

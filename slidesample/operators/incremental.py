@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from slidesample.functions.hashing import priority
+from slidesample.operators.memo import checkpointed
 
 
 def fingerprints(sample: DataFrame, *by: str) -> DataFrame:
@@ -31,22 +32,26 @@ def split_reused(chunks: DataFrame, memo: DataFrame, keys: list[str]) -> DataFra
     return both.withColumn("state", F.when(F.col("n").isNull(), "removed").when(same, "reused").otherwise("fresh")).drop("_n", "_h")
 
 
-def dirty_reducers(edges: DataFrame, changed: DataFrame, stages: int = 16) -> DataFrame:
-    """edges(src, dst), changed(node) -> all nodes downstream of a change.  Stops when a stage adds nothing; at most `stages` stages (the DAG's depth)."""
-    dirty = edges.join(changed.select(F.col("node").alias("src")), "src", "left_semi").select(F.col("dst").alias("node")).distinct()
-    frontier = dirty
-    for _ in range(stages - 1):
-        frontier = edges.join(frontier.select(F.col("node").alias("src")), "src", "left_semi").select(F.col("dst").alias("node")).distinct().join(dirty, "node", "left_anti")
+def dirty_reducers(edges: DataFrame, changed: DataFrame) -> DataFrame:
+    """edges(src, dst), changed(node) -> all nodes downstream of a change, however many stages the graph has: goes on until a stage adds nothing."""
+    down = lambda nodes: edges.join(nodes.select(F.col("node").alias("src")), "src", "left_semi").select(F.col("dst").alias("node")).distinct()
+    dirty = frontier = down(changed)
+    stage = 0
+    while True:
+        frontier = down(frontier).join(dirty, "node", "left_anti")
+        stage += 1
+        if stage % 8 == 0:  # plans of deep graphs are cut
+            frontier, dirty = checkpointed(frontier), checkpointed(dirty)
         if frontier.isEmpty():
-            break
+            return dirty
         dirty = dirty.unionByName(frontier)
-    return dirty
 
 
 def slide_invertible(panes: DataFrame, per_window: int, step: int, columns: list[str], by: tuple[str, ...] = ()) -> DataFrame:
     """Sliding sums over pane partials by un-reducing: running totals minus the running totals `per_window` panes before.
 
-    panes(pane, columns…) must have every pane of the stream, empty ones with zeros.  A window ends at each pane with enough panes before it.
+    panes(pane, columns…) must have every pane of the stream (for each group of `by`; see `every_pane`), empty ones with zeros.  A window ends at
+    each pane with enough panes before it.  Rows are one per pane and group, whatever the number of items; without `by` one task walks the panes.
     """
     run = Window.partitionBy(*by).orderBy("pane").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     back = Window.partitionBy(*by).orderBy("pane")
@@ -59,6 +64,16 @@ def slide_invertible(panes: DataFrame, per_window: int, step: int, columns: list
     return out.where((first >= 0) & (first % step == 0)).select(*by, F.call_function("div", first, F.lit(step).cast("long")).alias("window_id"), *columns)
 
 
+def every_pane(panes: DataFrame, count: int, by: tuple[str, ...] = ()) -> DataFrame:
+    """Add the missing panes of 0 … count - 1 (for each group of `by`) with zeros."""
+    grid = panes.sparkSession.range(count).select(F.col("id").alias("pane"))
+    if by:
+        grid = panes.select(*by).distinct().withColumn("pane", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(count - 1).cast("long"))))
+    kinds = dict(panes.dtypes)
+    rest = [c for c in panes.columns if c not in (*by, "pane")]
+    return grid.join(panes, [*by, "pane"], "left").select(*by, "pane", *[F.coalesce(c, F.lit(0).cast(kinds[c])).alias(c) for c in rest])
+
+
 def slide_mergeable(panes: DataFrame, per_window: int, step: int, aggregates: dict[str, Column], by: tuple[str, ...] = ()) -> DataFrame:
     """Sliding aggregates without an inverse (minimum, maximum): merge the panes of each window again."""
     frame = Window.partitionBy(*by).orderBy("pane").rowsBetween(-(per_window - 1), 0)
@@ -79,6 +94,14 @@ def signed_delta(samples: DataFrame) -> DataFrame:
     return entering.unionByName(leaving)
 
 
+def running_partials(changes: DataFrame, counts: DataFrame) -> DataFrame:
+    """changes(window_id, stratum, signed b, sv, svv) + counts(window_id, stratum, n_seen) -> partials of every window, accumulated: nothing that stayed is read again."""
+    run = Window.partitionBy("stratum").orderBy("window_id")
+    both = counts.join(changes, ["window_id", "stratum"], "full_outer")
+    summed = [F.sum(F.coalesce(c, F.lit(0).cast(t))).over(run).alias(c) for c, t in (("b", "long"), ("sv", "decimal(38,2)"), ("svv", "decimal(38,4)"))]
+    return both.select("window_id", "stratum", F.col("n_seen").alias("n_all"), *summed).where("n_all IS NOT NULL")
+
+
 def totals_from_deltas(deltas: DataFrame, windows: DataFrame, by: tuple[str, ...] = ("stratum",)) -> DataFrame:
     """Per-window partials (b, sv) accumulated from signed deltas alone."""
     step = deltas.groupBy("window_id", *by).agg(F.sum("sign").alias("b"), F.sum(F.col("sign") * F.col("value")).alias("sv"))

@@ -6,8 +6,6 @@ and merges: the sample of a window is the bottom of the union of its panes' bott
 
 from __future__ import annotations
 
-import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -35,15 +33,20 @@ def merge_bottom_k(candidates: DataFrame, panes: DataFrame, quotas: DataFrame, m
     return fixed_size_sample(candidates.join(panes, "pane"), quotas, most)
 
 
-def threshold_filter(items: DataFrame, quotas: DataFrame, span: float) -> DataFrame:
-    """Items whose permanent priority is small enough for some window: u / span below the largest sampling fraction of the stratum plus slack.
+def priority_cuts(panes: DataFrame, edges: DataFrame, quotas: DataFrame, span: int = SPAN, levels: int = 4096) -> DataFrame:
+    """pane, stratum, `cut`: no item of the pane with a permanent priority above the cut is in any window's sample.
 
-    A plain predicate above the scan.  The slack of eight standard deviations makes a shortfall practically impossible; a window that still lacks
-    items shows as n_sampled below its quota.
+    panes(pane, stratum, u).  Priorities are counted by level (partial sums before the shuffle, `levels` rows a cell at most); a window's cut is the
+    first level at which its panes hold its quota together, a pane's cut the largest of its windows'.  Exact, no slack needed.
     """
-    slack = F.col("quota") / F.col("n_seen") * (1 + 8 / F.sqrt(F.greatest(F.lit(1), F.col("quota"))))
-    bounds = quotas.groupBy("stratum").agg(F.max(F.when(F.col("quota") > 0, slack).otherwise(0.0)).alias("_bound"))
-    return items.join(F.broadcast(bounds), "stratum").where(F.col("u") / F.lit(span) < F.col("_bound")).drop("_bound")  # one row per stratum
+    level = F.least(F.lit(levels - 1), F.floor(F.col("u") / F.lit(span / levels))).cast("int")
+    counted = panes.groupBy("pane", "stratum", level.alias("level")).agg(F.count("*").alias("n"))
+    merged = counted.join(edges, "pane").groupBy("window_id", "stratum", "level").agg(F.sum("n").alias("n"))
+    upto = F.sum("n").over(Window.partitionBy("window_id", "stratum").orderBy("level"))
+    held = merged.withColumn("_upto", upto).join(quotas.select("window_id", "stratum", "quota"), ["window_id", "stratum"]).where(F.col("_upto") - F.col("n") < F.col("quota"))
+    last = held.groupBy("window_id", "stratum").agg(F.max("level").alias("level"))
+    cut = F.when(F.max("level") == levels - 1, F.lit(float(span))).otherwise((F.max("level") + 1) * F.lit(span / levels))
+    return last.join(edges, "window_id").groupBy("pane", "stratum").agg(cut.alias("cut"))
 
 
 def bernoulli_by_stratum(items: DataFrame, fractions: DataFrame, seed: int | str) -> DataFrame:
@@ -64,13 +67,16 @@ def global_sample(assigned: DataFrame, size: int, by: tuple[str, ...] = ("window
 
 
 def merge_reservoirs(a: DataFrame, seen_a: int, b: DataFrame, seen_b: int, size: int, seed: int) -> DataFrame:
-    """One reservoir of two: how many come from each is hypergeometric, which ones is a random draw of each side."""
-    take_a = int(np.random.default_rng(seed).hypergeometric(seen_a, seen_b, min(size, seen_a + seen_b))) if size else 0
-    draw = lambda df, n, salt: df.withColumn("_u", priority(f"{seed}{salt}", F.col("item_id"))).orderBy("_u", "item_id").limit(n).drop("_u")
-    return draw(a, take_a, "a").unionByName(draw(b, min(size, seen_a + seen_b) - take_a, "b"))
+    """One reservoir of two: the smallest of all priorities that the two populations would have had.
 
+    A reservoir of m out of n stands for the m smallest of n uniform priorities; these are drawn for its items in a random order by their spacings
+    (the j-th adds an exponential over n - j + 1).  So how many come from each side is hypergeometric, as it must be.
+    """
+
+    def drawn(df, seen, salt):
+        order = Window.partitionBy("_side").orderBy(priority(f"{seed}{salt}", F.col("item_id")), "item_id")
+        u = priority(f"{seed}{salt}gap", F.col("item_id")).cast("double") / F.lit(float(SPAN))
+        rows = df.withColumn("_side", F.lit(salt)).withColumn("_j", F.row_number().over(order))
+        return rows.withColumn("_at", F.sum(-F.log(1 - u) / (F.lit(seen) - F.col("_j") + 1)).over(order)).drop("_side", "_j")  # sample-sized
 
-def poisson_weights(pdf: pd.DataFrame, reps: int, seed: int) -> np.ndarray:
-    """Bootstrap weights (rows x replicates), reproducible per item."""
-    rng = np.random.default_rng([seed, len(pdf)])
-    return rng.poisson(1.0, size=(len(pdf), reps))
+    return drawn(a, seen_a, "a").unionByName(drawn(b, seen_b, "b")).orderBy("_at", "item_id").limit(min(size, seen_a + seen_b)).drop("_at")

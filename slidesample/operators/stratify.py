@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from slidesample.functions.hashing import priority
+from slidesample.operators.memo import checkpointed
 
 
 def stratify_by(df: DataFrame, *columns: str) -> DataFrame:
@@ -19,18 +20,19 @@ def stratum_statistics(items: DataFrame) -> DataFrame:
     return items.groupBy("stratum").agg(F.count("*").alias("n"), F.avg(v).alias("mean"), F.var_samp(v).alias("variance"))
 
 
-def merge_similar(stats: DataFrame, tolerance: float, rounds: int = 16) -> DataFrame:
-    """Join strata whose means differ by less than `tolerance` standard errors: label = smallest name reachable.  Strata are few."""
+def merge_similar(stats: DataFrame, tolerance: float) -> DataFrame:
+    """Join strata whose means differ by less than `tolerance` standard errors: label = smallest name reachable, through chains of any length."""
     a, b = stats.alias("a"), stats.alias("b")
     error = F.sqrt(F.col("a.variance") / F.col("a.n") + F.col("b.variance") / F.col("b.n"))
     close = a.join(b, F.abs(F.col("a.mean") - F.col("b.mean")) <= tolerance * error).select(F.col("a.stratum").alias("x"), F.col("b.stratum").alias("y"))
     label = stats.select("stratum", F.col("stratum").alias("merged"))
-    for _ in range(rounds):
+    close, label = checkpointed(close), checkpointed(label)
+    while True:
         step = close.join(label, close.y == label.stratum).groupBy("x").agg(F.min("merged").alias("merged")).select(F.col("x").alias("stratum"), "merged")
+        step = checkpointed(step)
         if step.join(label.withColumnRenamed("merged", "was"), "stratum").where("merged <> was").isEmpty():
-            break
+            return step
         label = step
-    return label
 
 
 def fit_bootstrap_strata(sample: DataFrame, classes: int = 4, reps: int = 100, seed: int = 3) -> DataFrame:

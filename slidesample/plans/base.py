@@ -18,14 +18,14 @@ SEED = "s1"
 
 @dataclass
 class EventRun:
-    """Count windows over `events`: length a tenth of the stream, step 4 % of it, sample 10 % of it (all adjustable as shares)."""
+    """Count windows over `events`: length one of `parts` of the stream, step 4 % of it, sample 10 % of it (all adjustable)."""
 
     spark: SparkSession
     sf_dir: str
-    share: float = 0.1
     step_pct: int = 4
     sample_pct: int = 10
     sub_streams: bool = False
+    parts: int = 10
 
     @cached_property
     def total(self) -> int:
@@ -33,7 +33,7 @@ class EventRun:
 
     @cached_property
     def slide(self) -> windows.Slide:
-        length = self.total // 10
+        length = self.total // self.parts
         return windows.Slide(length, max(1, length * self.step_pct // 100), self.total)
 
     @property
@@ -71,15 +71,20 @@ class EventRun:
 
     @cached_property
     def coordinated(self) -> DataFrame:
-        """Samples by permanent priorities, merged from pane candidates: every item is hashed once."""
+        """Samples by permanent priorities: items above their pane's cut never leave the scan, the others meet their windows."""
         panes = self.items.withColumn("u", priority(SEED, F.col("item_id"))).withColumn("pane", windows.pane_of(self.slide))
-        return sampling.merge_bottom_k(sampling.pane_bottom_k(panes, self.size), windows.panes_of_windows(self.spark, self.slide), self.quotas, self.size).withColumn(
-            "lo", F.col("window_id") * self.slide.step
-        )
+        edges = windows.panes_of_windows(self.spark, self.slide)
+        cuts = sampling.priority_cuts(panes.select("pane", "stratum", "u"), edges, self.quotas)
+        candidates = panes.join(cuts, ["pane", "stratum"]).where("u <= cut").drop("cut")
+        return sampling.merge_bottom_k(candidates, edges, self.quotas, self.size).withColumn("lo", F.col("window_id") * self.slide.step)
 
     def chain(self, carry: str = "biased", refill: str = "hash") -> DataFrame:
         return carryover.carry_chain(self.sample, SEED, carry, refill, self.slide.pane)
 
+    def changes(self, carry: str = "biased", refill: str = "hash") -> DataFrame:
+        """Items that enter and leave the chain's samples; nothing that stays."""
+        return carryover.carry_chain(self.sample, SEED, carry, refill, self.slide.pane, changes=True)
+
 
 # --- the same as SQL text --------------------------------------------------------------------------------------------
 
@@ -91,14 +96,14 @@ FROM (SELECT *, row_number() OVER (PARTITION BY {by} ORDER BY rest DESC, stratum
     SELECT {by}, stratum, n_seen, ({size}) AS sz, sum(n_seen) OVER (PARTITION BY {by}) AS k FROM {counts})))"""
 
 
-def events_sql(step_pct: int = 4, sample_pct: int = 10, sub_streams: bool = False, seed: str = SEED, stratum: str | None = None, win: str | None = None, size: str = "SELECT ns FROM p") -> str:
+def events_sql(step_pct: int = 4, sample_pct: int = 10, sub_streams: bool = False, seed: str = SEED, stratum: str | None = None, win: str | None = None, size: str = "SELECT ns FROM p", parts: int = 10) -> str:
     """CTEs p, items, win, assigned, counts, quota, sample (fresh) and csample (permanent priorities)."""
     stratum = stratum or "event_type"
     if sub_streams:
         at = f"{priority_sql(chr(39) + 'sub' + chr(39), 'event_id')} % 12"
         stratum = f"CASE WHEN {at} < 3 THEN 'S1' WHEN {at} < 7 THEN 'S2' ELSE 'S3' END"
     s = f"'{seed}'"
-    return f"""p AS (SELECT count(*) AS n, count(*) // 10 AS w, greatest(1, (count(*) // 10) * {step_pct} // 100) AS d, (count(*) // 10) * {sample_pct} // 100 AS ns FROM events),
+    return f"""p AS (SELECT count(*) AS n, count(*) // {parts} AS w, greatest(1, (count(*) // {parts}) * {step_pct} // 100) AS d, (count(*) // {parts}) * {sample_pct} // 100 AS ns FROM events),
 items AS (SELECT event_id AS item_id, event_id AS seq, ts, {stratum} AS stratum, CAST(value AS DECIMAL(18,2)) AS value, user_id, props FROM events),
 win AS ({win or "SELECT window_id, window_id * d AS lo, window_id * d + w AS hi FROM (SELECT unnest(range((n - w) // d + 1)) AS window_id, d, w FROM p)"}),
 assigned AS (SELECT window_id, lo, items.*, {priority_sql(s, 'item_id', 'window_id')} AS u, {priority_sql(s, 'item_id')} AS u0 FROM win JOIN items ON seq >= lo AND seq < hi),

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from slidesample.plans import q_estimates, q_runs, q_sampling, q_surface
+from slidesample.plans import q_estimates, q_loop, q_runs, q_sampling, q_surface
 
-_MODULES = [q_sampling, q_estimates, q_runs, q_surface]
+_MODULES = [q_sampling, q_estimates, q_runs, q_loop, q_surface]
 
 
 def flagship(spark, sf_dir):

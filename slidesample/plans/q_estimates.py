@@ -142,10 +142,14 @@ def bound_edge_cases(spark, sf):
     return estimate.with_margin(estimate.total_terms(parts, ("window_id",))).select(*FIELDS)
 
 
-@query()
+@query(f"WITH {E_} SELECT window_id, TRUE AS centred, TRUE AS as_wide FROM win")
 def bootstrap_total(spark, sf):
+    """Percentile intervals by resampling beside the margins: same centre (within half a margin) and like width (within a half of it)."""
     run = EventRun(spark, sf)
-    return estimate.bootstrap_total(run.sample, run.counts)
+    boot = estimate.bootstrap_total(run.sample, run.counts)
+    margins = estimate.estimate_total(run.sample, run.counts, F.col("value")).select("window_id", "estimate", "margin")
+    half = (F.col("upper") - F.col("lower")) / 2
+    return boot.join(margins, "window_id").select("window_id", (F.abs(F.col("mean") - F.col("estimate")) <= 0.5 * F.col("margin")).alias("centred"), half.between(0.5 * F.col("margin"), 1.5 * F.col("margin")).alias("as_wide"))
 
 
 # --- carry-over ------------------------------------------------------------------------------------------------------

@@ -64,11 +64,19 @@ def sampled_sum_by_window(spark, sf):
 
 @query(f"WITH RECURSIVE {E_}, {chain_sql('newest_first')} SELECT window_id, n_sampled, estimate, margin, n_known FROM ({total_sql('chain')}) JOIN (SELECT window_id, count(*) FILTER (from_memo) AS n_known FROM chain GROUP BY 1) USING (window_id)")
 def combined_sum_by_window(spark, sf):
-    """Approximate and incremental: samples biased towards known items, with margins."""
+    """Approximate and incremental: samples biased towards known items; totals accumulate what enters and leaves, and no item that stays is read again."""
     run = EventRun(spark, sf)
-    chain = run.chain("biased", "newest_first")
-    known = chain.groupBy("window_id").agg(F.count_if("from_memo").alias("n_known"))
-    return estimate.estimate_total(chain, run.counts, F.col("value")).select("window_id", "n_sampled", "estimate", "margin").join(known, "window_id")
+    changes = run.changes("biased", "newest_first")
+    v = F.col("value")
+    delta = changes.groupBy("window_id", "stratum").agg(
+        F.sum("sign").alias("b"), F.sum(F.col("sign") * v).cast("decimal(38,2)").alias("sv"), F.sum(F.col("sign") * v * v).cast("decimal(38,4)").alias("svv"), F.count_if(F.col("sign") == 1).alias("entering")
+    )
+    parts = incremental.running_partials(delta.drop("entering"), run.counts)
+    doubles = parts.withColumn("sv", F.col("sv").cast("double")).withColumn("svv", F.col("svv").cast("double"))
+    answers = estimate.with_margin(estimate.total_terms(doubles, ("window_id",)))
+    entered = delta.groupBy("window_id").agg(F.sum("entering").alias("entering"))
+    out = answers.join(entered, "window_id", "left")
+    return out.select("window_id", "n_sampled", "estimate", "margin", (F.col("n_sampled") - F.coalesce("entering", F.lit(0))).alias("n_known"))
 
 
 @query(f"WITH {E_} SELECT window_id, n_sampled, estimate, margin FROM ({total_sql('csample')})")
@@ -109,24 +117,34 @@ def scheduled(spark, sf, plan, sample_share=10, sub_streams=True):
     return assigned, quotas, sampling.fixed_size_sample(assigned, quotas, max(h - lo for _, lo, h in plan) // sample_share)
 
 
-def needed_and_known(chain):
-    return chain.groupBy("window_id").agg(F.count("*").alias("needed"), F.count_if("from_memo").alias("known"))
+def needed_and_memoized(chain, plan):
+    """Per window: items needed, memoized items that are still inside it (however many are needed), and those reused."""
+    bounds = chain.sparkSession.createDataFrame(plan, "window_id long, lo long, hi long").withColumnRenamed("window_id", "_w")
+    alive = chain.join(F.broadcast(bounds), F.col("window_id") + 1 == F.col("_w")).where((F.col("seq") >= bounds["lo"]) & (F.col("seq") < F.col("hi")))  # one row per window of the plan
+    held = alive.groupBy(F.col("_w").alias("window_id")).agg(F.count("*").alias("memoized"))
+    needed = chain.groupBy("window_id").agg(F.count("*").alias("needed"), F.count_if("from_memo").alias("reused"))
+    return needed.join(held, "window_id", "left").fillna(0, ["memoized"])
 
 
 _VS = events_sql(sub_streams=True, win="SELECT * FROM v", size="(SELECT (hi - lo) // 10 FROM win z WHERE z.window_id = counts.window_id)")
+_NM = """nm AS (SELECT window_id, count(*) AS needed, count(*) FILTER (from_memo) AS reused, any_value(memoized) AS memoized FROM chain JOIN (
+  SELECT x.window_id, count(c.item_id) AS memoized FROM win x LEFT JOIN chain c ON c.window_id + 1 = x.window_id AND c.seq >= x.lo AND c.seq < x.hi GROUP BY 1) USING (window_id) GROUP BY 1)"""
 
 
-@query(f"WITH RECURSIVE {_V}, {_VS}, {chain_sql()} SELECT window_id, count(*) AS needed, count(*) FILTER (from_memo) AS known FROM chain GROUP BY 1")
+@query(f"WITH RECURSIVE {_V}, {_VS}, {chain_sql()}, {_NM} SELECT window_id, needed, memoized, reused FROM nm")
 def needed_vs_memoized(spark, sf):
-    total = tables.load(spark, sf, "events").count()
-    _, _, sample = scheduled(spark, sf, varying_rows(total))
-    return needed_and_known(carryover.carry_chain(sample, SEED))
+    """Items that the sample needs beside those that the memo holds; more held than needed means full reuse."""
+    plan = varying_rows(tables.load(spark, sf, "events").count())
+    _, _, sample = scheduled(spark, sf, plan)
+    return needed_and_memoized(carryover.carry_chain(sample, SEED), plan)
 
 
-@query(f"WITH RECURSIVE {E_}, {_CH}, {_ST}, i AS (SELECT window_id, count(*) AS sampled, count(*) FILTER (from_memo) AS reused FROM chain GROUP BY 1), c AS (SELECT window_id, count(*) FILTER (state = 'fresh') AS fresh_chunks, count(*) FILTER (state = 'reused') AS reused_chunks FROM st GROUP BY 1), s AS (SELECT window_id, CAST(sum(n_seen) AS BIGINT) AS seen FROM counts GROUP BY 1) SELECT * FROM s JOIN i USING (window_id) JOIN c USING (window_id)")
+@query(f"WITH RECURSIVE {E_}, {_CH}, {_ST}, i AS (SELECT *, sampled - reused + coalesce(lag(sampled) OVER (ORDER BY window_id) - reused, 0) AS values_read FROM (SELECT window_id, count(*) AS sampled, count(*) FILTER (from_memo) AS reused FROM chain GROUP BY 1)), c AS (SELECT window_id, count(*) FILTER (state = 'fresh') AS fresh_chunks, count(*) FILTER (state = 'reused') AS reused_chunks FROM st GROUP BY 1), s AS (SELECT window_id, CAST(sum(n_seen) AS BIGINT) AS seen FROM counts GROUP BY 1) SELECT * FROM s JOIN i USING (window_id) JOIN c USING (window_id)")
 def work_counters(spark, sf):
     run, chain, chunk = chunks(spark, sf)
     i = chain.groupBy("window_id").agg(F.count("*").alias("sampled"), F.count_if("from_memo").alias("reused"))
+    read = run.changes("biased", "newest_first").groupBy("window_id").agg(F.count("*").alias("values_read"))
+    i = i.join(read, "window_id", "left").fillna(0, ["values_read"])
     c = states(chunk).groupBy("window_id").agg(F.count_if(F.col("state") == "fresh").alias("fresh_chunks"), F.count_if(F.col("state") == "reused").alias("reused_chunks"))
     return run.counts.groupBy("window_id").agg(F.sum("n_seen").alias("seen")).join(i, "window_id").join(c, "window_id")
 
@@ -294,9 +312,14 @@ def budget_changes(spark, sf):
     return allocate.proportional_quota(plan, F.col("_size")).select("window_id", "stratum", "quota")
 
 
-@query()
+_COST = "n * CASE WHEN window_id < 10 THEN 0.001::DOUBLE ELSE 0.002::DOUBLE END"
+
+
+@query(f"""WITH RECURSIVE r(window_id, n, violations) AS (SELECT 0, 1000, 0 UNION ALL
+  SELECT window_id + 1, CAST(greatest(1, floor(n * CASE WHEN {_COST} > 1 THEN 0.9::DOUBLE / ({_COST}) ELSE least(1.1::DOUBLE, 1 / ({_COST})) END)) AS INTEGER), violations + CASE WHEN {_COST} > 1 THEN 1 ELSE 0 END FROM r WHERE window_id < 29)
+SELECT window_id, n AS sample_size, round({_COST}, 4) AS cost, {_COST} > 1 AS "over", violations + CASE WHEN {_COST} > 1 THEN 1 ELSE 0 END AS violations FROM r""")
 def budget_feedback(spark, sf):
-    """A cost that doubles in window 10: the sample shrinks once the violation is seen."""
+    """A cost that doubles in window 10: the sample shrinks once the violation is seen.  (`window_loop_latency` does the same on measured costs.)"""
     rows = budget.feedback([0.0] * 30, 1.0, 1000, lambda n, i: n * (0.001 if i < 10 else 0.002))
     return spark.createDataFrame(rows, "window_id int, sample_size int, cost double, over boolean, violations int")
 
@@ -457,14 +480,15 @@ _CV = f"""v AS (WITH RECURSIVE s(window_id, lo, hi) AS (SELECT 0, CAST(0 AS BIGI
   FROM s WHERE window_id < {len(_CHANGES)}) SELECT CAST(window_id AS BIGINT) AS window_id, lo, hi FROM s)"""
 
 
-@query(f"WITH RECURSIVE {_CV}, {_VS}, {chain_sql('newest_first').replace('(SELECT gcd(w, d) FROM p)', '1')} SELECT ({[0, *_CHANGES]})[window_id + 1] AS change_pct, count(DISTINCT window_id) AS windows, count(*) AS needed, count(*) FILTER (from_memo) AS known FROM chain WHERE window_id > 2 GROUP BY 1")
+@query(f"WITH RECURSIVE {_CV}, {_VS}, {chain_sql('newest_first').replace('(SELECT gcd(w, d) FROM p)', '1')}, {_NM} SELECT ({[0, *_CHANGES]})[window_id + 1] AS change_pct, count(*) AS windows, CAST(sum(needed) AS BIGINT) AS needed, CAST(sum(memoized) AS BIGINT) AS memoized, CAST(sum(reused) AS BIGINT) AS reused, count(*) FILTER (memoized >= needed) AS windows_with_enough FROM nm WHERE window_id > 2 GROUP BY 1")
 def exp_window_change(spark, sf):
-    """Windows that grow or shrink by 1, 2, 4 %: shrinking helps reuse, growing hurts, more so the more it grows."""
-    total = tables.load(spark, sf, "events").count()
-    _, _, sample = scheduled(spark, sf, changing_rows(total))
-    chain = carryover.carry_chain(sample, SEED, "biased", "newest_first", 1)
+    """Windows that grow or shrink by 1, 2, 4 %: shrinking helps reuse, growing hurts, more so the more it grows; the memo may hold more than is needed."""
+    plan = changing_rows(tables.load(spark, sf, "events").count())
+    _, _, sample = scheduled(spark, sf, plan)
+    per = needed_and_memoized(carryover.carry_chain(sample, SEED, "biased", "newest_first", 1), plan).where("window_id > 2")
     label = F.element_at(F.array(*[F.lit(c) for c in [0, *_CHANGES]]), (F.col("window_id") + 1).cast("int"))
-    return chain.where("window_id > 2").groupBy(label.alias("change_pct")).agg(F.countDistinct("window_id").alias("windows"), F.count("*").alias("needed"), F.count_if("from_memo").alias("known"))
+    sums = [F.sum(c).alias(c) for c in ("needed", "memoized", "reused")]
+    return per.groupBy(label.alias("change_pct")).agg(F.count("*").alias("windows"), *sums, F.count_if(F.col("memoized") >= F.col("needed")).alias("windows_with_enough"))
 
 
 _R1, _R2, _R3 = [1, 3, 3, 2, 2, 2], [4, 3, 5, 4, 3, 4], 4

@@ -182,14 +182,24 @@ def ars_shrink(spark, sf):
     return reservoir.shrink(run.sample, F.col("quota") - F.call_function("div", F.col("quota"), F.lit(10).cast("long"))).select("window_id", "stratum", "item_id")
 
 
-@query()
+def _side_sql(salt, seen, src):
+    pr = lambda x: priority_sql(f"'{x}'", "item_id")
+    return f"SELECT stratum, item_id, sum(-ln(1 - CAST({pr('3' + salt + 'gap')} AS DOUBLE) / {float(16**15)!r}) / ({seen} - j + 1)) OVER (ORDER BY j) AS place FROM (SELECT *, row_number() OVER (ORDER BY {pr('3' + salt)}, item_id) AS j FROM {src})"
+
+
+_MR = f"""n AS (SELECT count(*) AS n FROM events), i AS (SELECT event_id AS item_id, event_type AS stratum FROM events),
+ra AS (SELECT * FROM i WHERE item_id < (SELECT n // 3 FROM n) ORDER BY {priority_sql("'1'", 'item_id')}, item_id LIMIT (SELECT n // 50 FROM n)),
+rb AS (SELECT * FROM i WHERE item_id >= (SELECT n // 3 FROM n) ORDER BY {priority_sql("'2'", 'item_id')}, item_id LIMIT (SELECT n // 50 FROM n))"""
+
+
+@query(f"WITH {_MR} SELECT stratum, item_id FROM ({_side_sql('a', '(SELECT n // 3 FROM n)', 'ra')} UNION ALL {_side_sql('b', '(SELECT n - n // 3 FROM n)', 'rb')}) ORDER BY place, item_id LIMIT (SELECT n // 50 FROM n)")
 def merged_reservoirs(spark, sf):
     """One fixed-size sample out of two reservoirs of unequal populations."""
     items = tables.event_items(spark, sf)
     n = items.count()
     first, rest = items.where(F.col("seq") < n // 3), items.where(F.col("seq") >= n // 3)
     a, b = sampling.simple_random_sample(first, n // 50, 1).drop("u"), sampling.simple_random_sample(rest, n // 50, 2).drop("u")
-    return sampling.merge_reservoirs(a, n // 3, b, n - n // 3, n // 50, 3)
+    return sampling.merge_reservoirs(a, n // 3, b, n - n // 3, n // 50, 3).select("stratum", "item_id")
 
 
 _B = f"WITH c AS (SELECT event_type, count(*) AS n FROM events GROUP BY 1), f AS (SELECT event_type, least(1.0, 0.02 * (SELECT count(*) FROM events) / (5 * n)) AS fraction FROM c) SELECT event_type AS stratum, event_id AS item_id FROM events JOIN f USING (event_type) WHERE CAST({priority_sql(chr(39) + 'bern' + chr(39), 'event_id')} AS DOUBLE) / {float(16**15)!r} < fraction"
@@ -210,11 +220,14 @@ def simple_random_sample(spark, sf):
     return sampling.simple_random_sample(items, items.count() // 100, "srs").select("stratum", "item_id")
 
 
-@query()
+@query("SELECT event_type AS stratum, sampler, count(*) AS n_all, TRUE AS near_a_tenth FROM events, (SELECT unnest(['sample', 'sample_by', 'tablesample']) AS sampler) GROUP BY ALL")
 def engine_samplers(spark, sf):
-    """Spark's own samplers side by side: Bernoulli rows, by-key fractions, TABLESAMPLE."""
+    """Spark's own samplers side by side: Bernoulli rows, by-key fractions, TABLESAMPLE; is each stratum within six deviations of a tenth?"""
     items = tables.event_items(spark, sf)
     items.createOrReplaceTempView("slidesample_items")
     keys = [r[0] for r in items.select("stratum").distinct().collect()]  # strata, few
     one = lambda df, name: df.groupBy("stratum").agg(F.count("*").alias("n")).withColumn("sampler", F.lit(name))
-    return one(items.sample(0.1, seed=1), "sample").unionByName(one(items.stat.sampleBy("stratum", dict.fromkeys(keys, 0.1), 1), "sample_by")).unionByName(one(spark.sql("SELECT * FROM slidesample_items TABLESAMPLE (10 PERCENT) REPEATABLE (1)"), "tablesample"))
+    found = one(items.sample(0.1, seed=1), "sample").unionByName(one(items.stat.sampleBy("stratum", dict.fromkeys(keys, 0.1), 1), "sample_by")).unionByName(one(spark.sql("SELECT * FROM slidesample_items TABLESAMPLE (10 PERCENT) REPEATABLE (1)"), "tablesample"))
+    n = F.col("n_all")
+    near = F.abs(F.col("n") - n * 0.1) <= 6 * F.sqrt(n * 0.09)
+    return found.join(items.groupBy("stratum").agg(F.count("*").alias("n_all")), "stratum").select("stratum", "sampler", "n_all", near.alias("near_a_tenth"))

@@ -113,14 +113,39 @@ def agg_suite(spark, sf):
     )
 
 
-@query()
+@query("SELECT count(DISTINCT user_id) AS users, round(quantile_cont(value, 0.5), 6) AS median, TRUE AS users_close, TRUE AS hll_close, TRUE AS median_close, TRUE AS kll_close FROM events")
 def sketch_suite(spark, sf):
-    """Sketches of the engine beside exact answers."""
+    """Sketches of the engine beside exact answers: are they within a tenth (a twentieth of the ranks for medians)?"""
     e = tables.load(spark, sf, "events")
-    return e.agg(
-        F.countDistinct("user_id").alias("users"), F.approx_count_distinct("user_id").alias("users_approx"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("users_hll"),
-        F.percentile_approx("value", 0.5, 10000).alias("median_approx"), F.expr("percentile(value, 0.5)").alias("median"), F.length(F.count_min_sketch("user_id", F.lit(0.01), F.lit(0.95), F.lit(7))).alias("cms_bytes"),
+    out = e.agg(
+        F.countDistinct("user_id").alias("users"), F.expr("percentile(value, 0.5)").alias("median"), F.expr("percentile(value, array(0.45, 0.55))").alias("_band"), F.approx_count_distinct("user_id").alias("_a"),
+        F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("_h"), F.percentile_approx("value", 0.5, 10000).alias("_m"), F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(value), 0.5D)").alias("_k"),
     )
+    close = lambda c: F.abs(F.col(c) - F.col("users")) <= 0.1 * F.col("users")
+    inside = lambda c: F.col(c).between(F.col("_band")[0], F.col("_band")[1])
+    return out.select("users", F.round("median", 6).alias("median"), close("_a").alias("users_close"), close("_h").alias("hll_close"), inside("_m").alias("median_close"), inside("_k").alias("kll_close"))
+
+
+@query("SELECT event_type, median(value) AS median, count(*) * 4 AS copies FROM events GROUP BY 1")
+def udf_suite(spark, sf):
+    """A grouped aggregate in pandas (Arrow batches) and a table function, for what built-in functions lack."""
+    def middle(v):
+        return float(v.median())
+
+    middle.__annotations__ = {"v": pd.Series, "return": float}
+    middle = F.pandas_udf(middle, "double")
+
+    @F.udtf(returnType="copy int")
+    class Copies:
+        def eval(self, n: int):
+            for i in range(n):
+                yield (i,)
+
+    spark.udtf.register("slidesample_copies", Copies)
+    e = tables.load(spark, sf, "events")
+    e.createOrReplaceTempView("slidesample_udf_events")
+    copies = spark.sql("SELECT event_type, count(*) AS copies FROM slidesample_udf_events, LATERAL slidesample_copies(4) GROUP BY event_type")
+    return e.groupBy("event_type").agg(middle("value").alias("median")).join(copies, "event_type")
 
 
 _W = "sum(CAST(n_seen AS DOUBLE) / quota * CAST(value AS DOUBLE))"

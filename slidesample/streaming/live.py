@@ -1,13 +1,14 @@
 """The live form: micro-batches fill pane summaries, and every window that the watermark has passed is answered once.
 
-State is two tables in a folder: per pane and stratum the count, and the bottom-k candidates by permanent priority; raw windows are never kept.
-Both are keyed by batch, so a replayed batch overwrites its own part and changes nothing.  Late rows within the watermark change their
-pane like any others; later ones are counted and dropped.
+State is two tables in a folder: per pane and stratum the count, and the bottom-k candidates by permanent priority; raw windows are never kept,
+and batches whose panes lie before all open windows are deleted.  Tables are keyed by batch, and a batch is judged by the batches before it, so a
+replayed batch overwrites its own part and changes nothing.  Late rows within the watermark change their
+pane like any others; later ones are counted (by batch) and dropped.  Answers are written together, and the next ones start behind the last.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -29,8 +30,6 @@ class LiveWindows:
     origin: int  # first hour (since the epoch)
     delay_hours: int = 1
     seed: str = "live"
-    dropped: int = 0
-    answered: set[int] = field(default_factory=set)
 
     @property
     def slide(self) -> windows.Slide:
@@ -40,9 +39,10 @@ class LiveWindows:
         """Pane summaries of one micro-batch, then the windows that are complete."""
         hour = F.floor(F.unix_seconds("ts") / 3600).cast("long")
         rows = batch.withColumn("seq", hour).withColumn("pane", windows.pane_of(self.slide, "seq")).withColumn("u", priority(self.seed, F.col("item_id")))
-        mark = self.watermark()
+        mark = self.watermark(batch_id)
         if mark is not None:
-            self.dropped += rows.where(F.col("seq") < mark).count()
+            late = rows.where(F.col("seq") < mark).agg(F.count("*").alias("n"))
+            late.write.mode("overwrite").parquet(f"{self.folder}/late/batch={batch_id}")
             rows = rows.where(F.col("seq") >= mark)
         rows = rows.persist()
         try:
@@ -62,12 +62,26 @@ class LiveWindows:
                 return None
             raise
 
-    def watermark(self) -> int | None:
-        """Hours before this one are closed."""
+    def watermark(self, before_batch: int | None = None) -> int | None:
+        """Hours before this one are closed (by the batches before `before_batch`)."""
         found = self.tables()
-        latest = found[0].agg(F.max("latest")).first()[0] if found else None
+        if not found:
+            return None
+        counts = found[0] if before_batch is None else found[0].where(F.col("batch") < before_batch)
+        latest = counts.agg(F.max("latest")).first()[0]
         return None if latest is None else latest - self.delay_hours
 
+    @property
+    def dropped(self) -> int:
+        """Rows that came too late."""
+        return sum(self.spark.read.parquet(f"{self.folder}/late/{name}").first()[0] for name in self.listed("late"))
+
+    def listed(self, kind: str) -> list[str]:
+        """Complete sub-folders of a table, by one listing."""
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{kind}")
+        files = path.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        return [f.getPath().getName() for f in files.listStatus(path) if f.isDirectory()] if files.exists(path) else []
+
     def answers(self, first: int, last: int) -> DataFrame:
         """Estimates of windows first … last from pane summaries."""
         counts, candidates = self.tables()
@@ -80,21 +94,20 @@ class LiveWindows:
         return estimate.estimate_total(sample, seen, F.col("value")).select("window_id", "estimate", "margin", "n_sampled", "n_seen")
 
     def answer_complete(self) -> None:
+        """Answer all windows between the last answered one and the watermark in one job, then drop batches that no open window needs."""
         mark = self.watermark()
         if mark is None:
             return
-        last = (mark - self.origin - self.length) // self.step
-        todo = [w for w in range(0, last + 1) if w not in self.answered and not self.is_answered(w)]
-        if todo:
-            out = self.answers(todo[0], todo[-1]).persist()
-            for w in todo:
-                out.where(F.col("window_id") == w).coalesce(1).write.mode("overwrite").parquet(f"{self.folder}/answers/w={w}")
-                self.answered.add(w)
-            out.unpersist()
-
-    def is_answered(self, window_id: int) -> bool:
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/answers/w={window_id}/_SUCCESS")
-        return path.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(path)
+        done = [int(name.split("-")[1]) for name in self.listed("answers") if name.startswith("w=")]
+        first, last = max(done, default=-1) + 1, (mark - self.origin - self.length) // self.step
+        if first > last:
+            return
+        self.answers(first, last).coalesce(1).write.mode("overwrite").parquet(f"{self.folder}/answers/w={first}-{last}")
+        need = (last + 1) * (self.step // self.slide.pane)
+        for row in self.tables()[0].groupBy("batch").agg(F.max("pane").alias("pane")).where(F.col("pane") < need).collect():  # one row per kept batch
+            for kind in ("counts", "candidates"):
+                path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{kind}/batch={row['batch']}")
+                path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
     def start(self, stream: DataFrame, checkpoint: str) -> StreamingQuery:
         return stream.writeStream.foreachBatch(self.on_batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()

@@ -6,6 +6,8 @@ from pyspark.sql import functions as F
 from slidesample.functions import tscore
 from slidesample.functions.hashing import priority, priority_value
 from slidesample.operators import allocate, budget, carryover, estimate, incremental, memo, reservoir, sampling, stratify, windows
+from slidesample.operators.loop import WindowLoop, run_windows
+from slidesample.operators.spec import AggregateSpec
 from slidesample.plans import catalog
 from slidesample.plans.base import SEED, EventRun
 
@@ -111,8 +113,10 @@ def test_experiments_move_as_described(spark):
     size = {(r["sample_pct"], r["stratum"]): r["memo_avg"] for r in q["exp_sample_size"](spark, MID).collect()}
     assert all(size[(p, "S1")] < size[(p, "S2")] < size[(p, "S3")] for p in (10, 20, 40, 60, 80))
     assert size[(80, "S3")] / size[(10, "S3")] == pytest.approx(8, rel=0.05)
-    change = {r["change_pct"]: r["known"] / r["needed"] for r in q["exp_window_change"](spark, MID).collect()}
+    rows = q["exp_window_change"](spark, MID).collect()
+    change = {r["change_pct"]: r["reused"] / r["needed"] for r in rows}
     assert change[-2] > change[1] > change[4] and change[-1] > change[2]
+    assert any(r["memoized"] > r["needed"] for r in rows if r["change_pct"] < 0) and all(r["memoized"] < r["needed"] for r in rows if r["change_pct"] > 0)
     designs = {r["design"]: r["spread_millions"] for r in q["variance_by_design"](spark, MID).collect()}
     assert designs["stratified"] < designs["unstratified"]
     bias = {r["policy"]: r["relative_bias"] for r in q["trend_bias"](spark, MID).collect()}
@@ -161,8 +165,14 @@ def test_memo_store_survives_losses(spark, tmp_path):
     store.write("items", 3, rows)
     store.replicate("items", 3)
     assert store.read("items", 3, rows.schema).count() == 1
-    store.forget("items", 3)
+    store.lose("items", 3)
     assert store.read("items", 3, rows.schema).count() == 1  # from the replica
+    store.replicate_later("items", 4)
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        store.settle()
+    store.pending.clear()
+    store.forget("items", 3)
+    assert store.read("items", 3, rows.schema).count() == 0
     assert store.read("items", 4, rows.schema).count() == 0  # cold
     with pytest.raises(FileNotFoundError):
         store.read("items", 4, rows.schema, on_loss="fail")
@@ -189,7 +199,97 @@ def test_learned_strata(spark):
 
 
 def test_merged_reservoirs(spark):
-    assert catalog.queries()["merged_reservoirs"](spark, MID).count() == 200
+    """How many come from each side follows the hypergeometric law; no item twice."""
+    a = spark.range(20).select(F.col("id").alias("item_id"))
+    b = spark.range(100, 120).select(F.col("id").alias("item_id"))
+    takes = []
+    for seed in range(40):
+        got = [r["item_id"] for r in sampling.merge_reservoirs(a, 100, b, 300, 20, seed).collect()]
+        assert len(got) == len(set(got)) == 20
+        takes.append(sum(i < 100 for i in got))
+    sd = (20 * 0.25 * 0.75 * (400 - 20) / 399) ** 0.5
+    assert abs(sum(takes) / 40 - 5) < 4 * sd / 40**0.5 and 0.5 * sd < (sum((t - 5) ** 2 for t in takes) / 40) ** 0.5 < 1.6 * sd
+
+
+def test_literal_reservoir_includes_uniformly(spark):
+    """Conventional steps alone (one stratum, no growth): every arrival is kept equally often; spread growth is less biased by arrival than next."""
+    import numpy as np
+
+    seqs, hits = np.arange(60), np.zeros(60)
+    for seed in range(1500):
+        for p in reservoir.replay(seqs, seqs < 10, 0, 1000, [], "next", np.random.default_rng(seed)):
+            hits[p] += 1
+    assert ((hits - 250) ** 2 / (250 * 50 / 60)).sum() < 110
+    late = {}
+    for grow in ("next", "spread"):
+        after = np.zeros(60)
+        for seed in range(600):
+            for p in reservoir.replay(seqs, seqs < 10, 0, 20, [(0, 20)], grow, np.random.default_rng(seed)):
+                after[p] += 1
+        late[grow] = after[20:30].sum() / after[20:].sum()
+    assert late["next"] > late["spread"] > 0.2
+
+
+def test_window_loop(spark, tmp_path):
+    """The loop's answers are those of the batch replay, also after a restart, from a replica, and without a memo."""
+    run = EventRun(spark, SMALL, step_pct=50, parts=3)
+    chain = run.chain("biased", "hash")
+    want = {r["window_id"]: (r["estimate"], r["margin"]) for r in estimate.estimate_total(chain, run.counts, F.col("value")).collect()}
+
+    def loop(folder, **more):
+        return WindowLoop(spark, f"{tmp_path}/{folder}", AggregateSpec("sum"), budget.Budget("size", run.size), run.slide.length, run.slide.step, run.slide.pane, seed=SEED, **more)
+
+    first = loop("a", replica=f"{tmp_path}/b")
+    run_windows(run.items, first, 2)
+    first.store.lose("items", 1)
+    first.store.lose("partials", 1)
+    again = loop("a", replica=f"{tmp_path}/b").resumed()
+    assert again.window_id == 2
+    answers, work = run_windows(run.items, again, run.slide.count - 2)
+    assert {r["window_id"]: (r["estimate"], r["margin"]) for r in answers.collect()} == want
+    assert all(r["values_read"] < r["n_sampled"] + r["n_known"] for r in work.collect())
+    cold = loop("c")
+    run_windows(run.items, cold, 1)
+    cold.store.lose("items", 0)
+    cold.store.lose("partials", 0)
+    row = cold.answer(run.items)
+    assert row[6] == 0 and row[7] == row[5] == run.size  # nothing known, everything read, the answer is there
+    assert spark.read.parquet(cold.store.path("answers", 1)).first()["n_sampled"] == run.size
+
+
+def test_budgets_of_the_loop():
+    b, past = budget.Budget, budget.Past
+    assert budget.sample_size(b("fraction", 0.25), [], 1000) == 250
+    assert budget.sample_size(b("size", 5000), [], 1000) == 1000 and budget.sample_size(b("size", 0), [], 1000) == 1
+    history, cost, size = [], 0.01, 0
+    for w in range(30):
+        size = budget.sample_size(b("latency", 2.0), history, 1000)
+        seconds = 0.5 + cost * size * (2 if w >= 15 else 1)
+        history.append(past(size, seconds, budget.exceeded(b("latency", 2.0), size, seconds, None)))
+    assert sum(h.over for h in history) <= 6 and not history[-1].over and size > 50
+    assert budget.exceeded(b("accuracy", 1.0), 10, 0.1, 2.0) and not budget.exceeded(b("accuracy", 1.0), 10, 0.1, 0.5)
+    assert budget.exceeded(b("tokens", 10, per_item=2.0), 6, 0.1, None)
+
+
+def test_similar_strata_merge_through_long_chains(spark):
+    stats = spark.createDataFrame([(f"s{i:02d}", 100, float(i), 50.0) for i in range(40)] + [("far", 100, 900.0, 50.0)], "stratum string, n long, mean double, variance double")
+    got = {r["stratum"]: r["merged"] for r in stratify.merge_similar(stats, 1.1).collect()}
+    assert got["far"] == "far" and {v for k, v in got.items() if k != "far"} == {"s00"}
+
+
+def test_deep_propagation(spark):
+    edges = spark.createDataFrame([(f"n{i}", f"n{i + 1}") for i in range(20)], "src string, dst string")
+    assert incremental.dirty_reducers(edges, spark.createDataFrame([("n0",)], "node string")).count() == 20
+
+
+def test_cuts_drop_items_before_windows(spark):
+    run = EventRun(spark, MID)
+    panes = run.items.withColumn("u", priority(SEED, F.col("item_id"))).withColumn("pane", windows.pane_of(run.slide))
+    cuts = sampling.priority_cuts(panes.select("pane", "stratum", "u"), windows.panes_of_windows(spark, run.slide), run.quotas)
+    left = panes.join(cuts, ["pane", "stratum"]).where("u <= cut").count()
+    assert left < 0.2 * run.total
+    direct = sampling.fixed_size_sample(run.permanent, run.quotas, run.size).select("window_id", "item_id")
+    assert direct.exceptAll(run.coordinated.select("window_id", "item_id")).count() == 0
 
 
 def test_plans(spark):
