@@ -424,6 +424,52 @@ def exp_sample_size(spark, sf):
     return union([memo_average(r, r.chain()).withColumn("sample_pct", F.lit(r.sample_pct)) for r in runs])
 
 
+def _poisson_events_sql():
+    """CTE pev: the simulated arrivals in the shape of `events`, as many as there are events, at about."""
+    parts = []
+    for at, (name, rate) in enumerate(_RATES.items()):
+        cdf, p, total = [], math.exp(-rate), 0.0
+        for k in range(int(rate + 12 * math.sqrt(rate) + 12)):
+            total += p
+            cdf.append(total)
+            p *= rate / (k + 1)
+        u = f"CAST({priority_sql(chr(39) + 'poisson1' + name + chr(39), 'id')} AS DOUBLE) / {float(16**15)!r}"
+        parts.append(f"SELECT '{name}' AS event_type, id * {len(_RATES)} + {at} AS cell, len(list_filter([{', '.join(map(repr, cdf))}], lambda c: u > c)) AS n FROM (SELECT id, {u} AS u FROM (SELECT unnest(range((SELECT count(*) // 12 FROM events))) AS id))")
+    item = "SELECT event_type, cell * 1000 + k AS item FROM (SELECT *, unnest(range(n)) AS k FROM (" + " UNION ALL ".join(parts) + "))"
+    value = f"({priority_sql(chr(39) + 'value' + chr(39), 'item')} % 10000) / 100.0"
+    return f"pev AS (SELECT row_number() OVER (ORDER BY item) - 1 AS event_id, item, event_type, NULL AS ts, NULL AS user_id, NULL AS props, {value} AS value FROM ({item}))"
+
+
+def poisson_sql(**options):
+    """`events_sql` over the simulated arrivals."""
+    over = events_sql(**options).replace("FROM events", "FROM pev").replace("SELECT event_id AS item_id, event_id AS seq", "SELECT item AS item_id, event_id AS seq")
+    return f"{_poisson_events_sql()}, {over}"
+
+
+def poisson_run(spark, sf, **options):
+    run = EventRun(spark, sf, **options)
+    run.items = tables.poisson_items(spark, tables.load(spark, sf, "events").count() // 12, _RATES)
+    run.total = run.items.count()
+    return run
+
+
+@query(" UNION ALL ".join(sub_sql(p, f"{poisson_sql(sample_pct=p)}, {chain_sql()}", _memo_sql(label=f"{p} AS sample_pct, ")) for p in (10, 40, 80)))
+def exp_poisson_sample_size(spark, sf):
+    """Memoized items against the sample size over simulated Poisson sub-streams of rates 3, 4 and 5."""
+    runs = [poisson_run(spark, sf, sample_pct=p) for p in (10, 40, 80)]
+    return union([memo_average(r, r.chain()).withColumn("sample_pct", F.lit(r.sample_pct)) for r in runs])
+
+
+@query(" UNION ALL ".join(sub_sql(d, f"{poisson_sql(step_pct=d)}, {chain_sql('newest_first')}", f"SELECT {d} AS slide_pct, count(*) AS needed, count(*) FILTER (from_memo) AS known, round(count(*) FILTER (from_memo) / CAST(count(*) AS DOUBLE), 4) AS reuse FROM chain WHERE window_id >= {100 // d}") for d in (2, 4, 16)))
+def exp_poisson_slide(spark, sf):
+    """Reuse against the slide over simulated Poisson sub-streams."""
+    out = []
+    for d in (2, 4, 16):
+        run = poisson_run(spark, sf, step_pct=d)
+        out.append(reuse_after_warmup(run.chain("biased", "newest_first"), 100 // d).withColumn("slide_pct", F.lit(d)))
+    return union(out)
+
+
 def reuse_after_warmup(chain, skip):
     return chain.where(F.col("window_id") >= skip).agg(F.count("*").alias("needed"), F.count_if("from_memo").alias("known")).withColumn("reuse", F.round(F.col("known") / F.col("needed"), 4))
 

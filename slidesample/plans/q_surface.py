@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -76,16 +77,20 @@ def range_join_windows(spark, sf):
     return out.groupBy("window_id").agg(F.count("*").alias("n"), F.sum("item_id").alias("id_sum"))
 
 
-@query("""WITH r AS (SELECT unnest(range(0, 30)) AS d), b AS (SELECT TIMESTAMP '2024-01-01' + to_days(CAST(d AS INTEGER)) AS ts, d * 10 AS rate FROM r)
+@query("""WITH r AS (SELECT unnest(range(0, 10)) AS d), b AS (SELECT TIMESTAMP '2024-01-01' + to_days(CAST(d * 3 AS INTEGER)) AS ts, d * 10 AS rate FROM r)
 SELECT e.event_id, b.rate FROM events e ASOF JOIN b ON e.ts >= b.ts""")
 def asof_rate(spark, sf):
-    """Every event with the latest row of a rate table: union of both, last known value along time."""
-    rates = spark.range(30).select((F.lit("2024-01-01").cast("timestamp") + F.make_dt_interval(F.col("id").cast("int"))).alias("ts"), (F.col("id") * 10).alias("rate"))
+    """Every event with the latest row of a rate table, however long ago: last known value along the day, or else that of the days before (carried by one row a day)."""
+    rates = spark.range(10).select((F.lit("2024-01-01").cast("timestamp") + F.make_dt_interval((F.col("id") * 3).cast("int"))).alias("ts"), (F.col("id") * 10).alias("rate"))
     e = tables.event_items(spark, sf).select("ts", F.col("item_id").alias("event_id"))
-    both = e.withColumn("rate", F.lit(None).cast("long")).unionByName(rates.withColumn("event_id", F.lit(None).cast("long")).select("ts", "event_id", "rate"))
-    # the rate table has a row a day, so the latest one lies in the same day
-    along = Window.partitionBy(F.to_date("ts")).orderBy("ts", F.col("event_id").asc_nulls_first())
-    return both.withColumn("rate", F.last("rate", ignorenulls=True).over(along)).where("event_id IS NOT NULL").select("event_id", "rate")
+    both = e.withColumn("rate", F.lit(None).cast("long")).unionByName(rates.withColumn("event_id", F.lit(None).cast("long")).select("ts", "event_id", "rate")).withColumn("day", F.to_date("ts"))
+    latest = F.max(F.when(F.col("rate").isNotNull(), F.struct("ts", "rate")))["rate"]
+    days = both.groupBy("day").agg(latest.alias("last"))
+    before = Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)
+    days = days.select("day", F.last("last", ignorenulls=True).over(before).alias("carried"))  # one row a day
+    along = Window.partitionBy("day").orderBy("ts", F.col("event_id").asc_nulls_first())
+    out = both.withColumn("rate", F.last("rate", ignorenulls=True).over(along)).where("event_id IS NOT NULL").join(days, "day")
+    return out.select("event_id", F.coalesce("rate", "carried").alias("rate"))
 
 
 @query("WITH s AS (SELECT DISTINCT event_type AS stratum FROM events), t AS (SELECT DISTINCT event_id // 1000 AS tick FROM events) SELECT tick, stratum, count(event_id) AS n FROM s CROSS JOIN t LEFT JOIN events ON event_type = stratum AND event_id // 1000 = tick GROUP BY ALL")
@@ -129,6 +134,7 @@ def sketch_suite(spark, sf):
 @query("SELECT event_type, median(value) AS median, count(*) * 4 AS copies FROM events GROUP BY 1")
 def udf_suite(spark, sf):
     """A grouped aggregate in pandas (Arrow batches) and a table function, for what built-in functions lack."""
+
     def middle(v):
         return float(v.median())
 
@@ -185,12 +191,15 @@ def top_users_sampled(spark, sf):
     return whole_sample(items, items.count() // 5).groupBy("user_id").agg(F.round(F.sum(F.col("n_seen") / F.col("quota")), 4).alias("estimated")).orderBy(F.desc("estimated"), "user_id").limit(10)
 
 
-@query(f"WITH {E_}, a AS (SELECT item_id FROM csample WHERE window_id = 10), b AS (SELECT item_id FROM csample WHERE window_id = 11) SELECT 'both' AS part, count(*) AS n FROM (SELECT * FROM a INTERSECT SELECT * FROM b) UNION ALL SELECT 'new', count(*) FROM (SELECT * FROM b EXCEPT SELECT * FROM a) UNION ALL SELECT 'gone', count(*) FROM (SELECT * FROM a EXCEPT SELECT * FROM b) UNION ALL SELECT 'all', count(*) FROM (SELECT * FROM a UNION ALL SELECT * FROM b)")
+@query(f"""WITH {E_}, a AS (SELECT window_id + 1 AS window_id, item_id FROM csample WHERE window_id < (SELECT max(window_id) FROM win)), b AS (SELECT window_id, item_id FROM csample WHERE window_id > 0)
+SELECT window_id, part, count(*) AS n FROM (SELECT *, 'both' AS part FROM (SELECT * FROM a INTERSECT SELECT * FROM b) UNION ALL SELECT *, 'new' FROM (SELECT * FROM b EXCEPT SELECT * FROM a)
+  UNION ALL SELECT *, 'gone' FROM (SELECT * FROM a EXCEPT SELECT * FROM b) UNION ALL SELECT *, 'all' FROM (SELECT * FROM a UNION ALL SELECT * FROM b)) GROUP BY ALL""")
 def set_ops_overlap(spark, sf):
-    """Known, new and expired items of two neighbouring samples by set operations."""
-    s = EventRun(spark, sf).coordinated.select("window_id", "item_id")
-    a, b = s.where("window_id = 10").select("item_id"), s.where("window_id = 11").select("item_id")
-    one = lambda df, name: df.agg(F.lit(name).alias("part"), F.count("*").alias("n"))
+    """Known, new and expired items of every two neighbouring samples, by set operations on (window, item)."""
+    run = EventRun(spark, sf)
+    s = run.coordinated.select("window_id", "item_id")
+    a, b = s.withColumn("window_id", F.col("window_id") + 1).where(F.col("window_id") < run.slide.count), s.where("window_id > 0")
+    one = lambda df, name: df.groupBy("window_id").agg(F.count("*").alias("n")).withColumn("part", F.lit(name))
     return union([one(a.intersect(b), "both"), one(b.exceptAll(a), "new"), one(a.subtract(b), "gone"), one(a.unionByName(b), "all")])
 
 

@@ -6,7 +6,7 @@ stream with a declared schema; `kafka_items` maps topics to strata and needs the
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -82,6 +82,25 @@ def poisson_arrivals(spark: SparkSession, ticks: int, rates: dict[str, float], s
     return out
 
 
+def poisson_items(spark: SparkSession, ticks: int, rates: dict[str, float], seed: int = 1) -> DataFrame:
+    """The same arrivals as items in order of tick, sub-stream and number within it; values are hashed, 0 to 99.99."""
+    per = poisson_arrivals(spark, ticks, rates, seed).withColumn("at", F.array_position(F.array(*[F.lit(r) for r in rates]), F.col("stratum")) - 1)
+    before = Window.orderBy("tick", "at").rowsBetween(Window.unboundedPreceding, -1)  # one row per tick and sub-stream
+    per = per.withColumn("first", F.coalesce(F.sum("n").over(before), F.lit(0)))
+    one = per.where("n > 0").withColumn("k", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)))
+    item = (F.col("tick") * len(rates) + F.col("at")) * 1000 + F.col("k")
+    value = F.pmod(priority("value", F.col("item_id")), F.lit(10000)) / 100
+    return one.select(item.alias("item_id"), (F.col("first") + F.col("k")).alias("seq"), "stratum").withColumn("value", value.cast(MONEY))
+
+
+def rate_stream(spark: SparkSession, rows_per_second: int, strata: int = 3) -> DataFrame:
+    """The engine's own generator as a stream of items, for load tests."""
+    raw = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    return raw.select(
+        F.col("value").alias("item_id"), F.col("value").alias("seq"), F.col("timestamp").alias("ts"), F.concat(F.lit("S"), F.pmod("value", F.lit(strata)) + 1).alias("stratum"), (F.pmod(F.xxhash64("value"), F.lit(10000)) / 100).cast(MONEY).alias("value")
+    )
+
+
 def event_stream(spark: SparkSession, folder: str, files_per_trigger: int = 1) -> DataFrame:
     """Files of a folder as a stream of items (time zone aware, so that watermarks accept them)."""
     raw = spark.readStream.schema(EVENT_SCHEMA).option("maxFilesPerTrigger", files_per_trigger).parquet(folder)
