@@ -66,3 +66,38 @@ def test_engine_windows_over_a_stream(spark, tmp_path):
     q = stream.writeStream.outputMode("complete").format("memory").queryName("slidesample_days").trigger(availableNow=True).start()
     q.awaitTermination()
     assert spark.sql("SELECT sum(n) FROM slidesample_days").first()[0] == spark.read.parquet(data).count()
+
+
+def test_running_totals_survive_a_restart(spark, tmp_path):
+    from slidesample.streaming import stateful
+
+    data = f"{tmp_path}/in"
+    seen = {}
+
+    def remember(batch, _):
+        for r in batch.collect():
+            seen[r["stratum"]] = (r["n"], round(r["total"], 2))
+
+    before = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+    stateful.use_rocksdb(spark)
+    try:
+        for days in ({0, 1, 2, 3}, {4, 5}):
+            write_days(spark, data, days)
+            totals = stateful.running_totals(tables.event_stream(spark, data, 2))
+            totals.writeStream.outputMode("update").foreachBatch(remember).option("checkpointLocation", f"{tmp_path}/cp").trigger(availableNow=True).start().awaitTermination()
+    finally:
+        spark.conf.set("spark.sql.streaming.stateStore.providerClass", before)
+    rows = spark.read.parquet(data).groupBy("event_type").agg(F.count("*").alias("n"), F.round(F.sum("value"), 2).alias("total")).collect()
+    assert seen == {r["event_type"]: (r["n"], r["total"]) for r in rows}
+
+
+def test_rate_stream_gives_items(spark, tmp_path):
+    q = tables.rate_stream(spark, 50).writeStream.format("memory").queryName("slidesample_rate").trigger(processingTime="1 second").start()
+    try:
+        for _ in range(30):
+            if q.lastProgress and spark.sql("SELECT count(*) FROM slidesample_rate").first()[0]:
+                break
+            __import__("time").sleep(1)
+    finally:
+        q.stop()
+    assert {r[0] for r in spark.sql("SELECT DISTINCT stratum FROM slidesample_rate").collect()} <= {"S1", "S2", "S3"} and spark.sql("SELECT count(*) FROM slidesample_rate").first()[0] > 0
