@@ -41,7 +41,7 @@ class Past:
 def sample_size(budget: Budget, history: list[Past], seen: int) -> int:
     """Items that the next window may sample out of `seen`; never more than those, never below one if there are any.
 
-    Latency: seconds = a + b n fitted to the last windows; after a violation the size shrinks by what was over and a tenth more.
+    Latency: seconds = a + b n fitted to the windows since the last violation, aiming at 95 %; right after a violation the size shrinks by what was over and a tenth more.
     Accuracy: the size whose margin is the amount, from the spread of the last window.
     """
     first = int(seen * budget.start)
@@ -58,7 +58,8 @@ def sample_size(budget: Budget, history: list[Past], seen: int) -> int:
         elif last.over:
             size = int(last.n * 0.9 * budget.amount / last.seconds)
         else:
-            size = _by_fit(history[-20:], budget.amount, first)
+            since = max((i for i, h in enumerate(history) if h.over), default=0)  # before a violation an item cost something else
+            size = _by_fit(history[since:][-20:], 0.95 * budget.amount, first)
     elif budget.kind == "accuracy":
         z = corrections(1 - (1 - budget.confidence) / 2)[0]
         q = None if last is None else last.spread

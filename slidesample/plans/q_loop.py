@@ -104,7 +104,7 @@ _KINDS = {
 _Z = corrections(0.975)[0]
 _H = "(VALUES (100, 1.1::DOUBLE), (200, 1.9::DOUBLE), (400, 4.2::DOUBLE), (800, 7.9::DOUBLE)) h(n, s)"
 _SIZES = {
-    "fraction": "k // 5", "size": "150", "tokens": "200", "latency": f"(SELECT floor((2.0 - regr_intercept(s, n)) / regr_slope(s, n)) FROM {_H})", "latency_over": "450",
+    "fraction": "k // 5", "size": "150", "tokens": "200", "latency": f"(SELECT floor((0.95::DOUBLE * 2.0 - regr_intercept(s, n)) / regr_slope(s, n)) FROM {_H})", "latency_over": "450",
     "accuracy": f"ceil(k * 250000.0::DOUBLE / (250000.0::DOUBLE + pow(900.0 / {_Z!r}, 2)))", "accuracy_first": "k // 10",
 }
 

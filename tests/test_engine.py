@@ -247,7 +247,7 @@ def test_window_loop(spark, tmp_path):
     assert again.window_id == 2
     answers, work = run_windows(run.items, again, run.slide.count - 2)
     assert {r["window_id"]: (r["estimate"], r["margin"]) for r in answers.collect()} == want
-    assert all(r["values_read"] < r["n_sampled"] + r["n_known"] for r in work.collect())
+    assert all(r["values_read"] == 2 * (r["n_sampled"] - r["n_known"]) and 0 < r["n_known"] for r in work.collect())  # what entered and what left, nothing else
     cold = loop("c")
     run_windows(run.items, cold, 1)
     cold.store.lose("items", 0)
