@@ -73,6 +73,25 @@ def shuffled(df: DataFrame) -> DataFrame:
     return df.hint("merge")
 
 
+#: A hot key of such a join is dealt to so many tasks (run-time splitting of skewed partitions goes on from there).
+SALTS = 64
+
+
+def salt(*cols: str) -> Column:
+    return F.pmod(F.xxhash64(*cols), F.lit(SALTS)).cast("int")
+
+
+def salts_seen(*cols: str) -> Column:
+    """Aggregate: a bit for every salt that occurs, so that the aggregate's row is repeated for these only."""
+    return F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), salt(*cols)))
+
+
+def per_salt(df: DataFrame, seen: str) -> DataFrame:
+    """A row for every salt in the column `seen`, as `_salt`."""
+    there = lambda i: F.call_function("shiftright", F.col(seen), i).bitwiseAND(1) == 1
+    return df.withColumn("_salt", F.explode(F.filter(F.sequence(F.lit(0), F.lit(SALTS - 1)), there))).drop(seen)
+
+
 def row_keys(*cols: str) -> list[Column]:
     """Two 64-bit hashes of these columns (nulls count), `_k1` and `_k2`: an identity for rows whose ids may be null or repeated."""
     flagged = [x for c in cols for x in (F.col(c).isNull(), F.col(c))]

@@ -9,17 +9,17 @@ t * max(sizes) members.  Stages:
    Equal sets are one class; classes of equal prefix and size are one group.
 3. Groups meet on prefix members.  Groups that share too few members with anybody leave.  In every bucket of a member, pairs must
    agree in size, and a parity bitmap of the set bounds the symmetric difference from below (of a group of several classes only the bits
-   that all its sets agree on count); what passes is joined by a spanning forest, so a bucket of thousands gives thousands of edges and
+   that all its sets agree on count); what passes is joined to the smallest of its company, so a bucket of thousands gives thousands of edges and
    not millions.
 4. Connected candidates form families.  Families are expanded to the representatives of their classes, and their whole texts verified
-   exactly inside each family; links again leave as forests.
+   exactly inside each family; links again leave as one edge for each document.
 5. Components of the links give the smallest reachable document; copies follow their class.
 
 Buckets and families of any size (`joined_up`): each is dealt into blocks of bounded size, and each row goes to one block.  What the blocks
-join has one label; a bucket or family that still has several is dealt anew with its rows in other company, twice.  What is open then is
+join has one label.  Where a bucket or family still has several, representatives of the labels meet in further blocks, as long as that joins labels; what is open then is
 closed exactly: the rows outside the largest label travel to all blocks.  So a family of S near copies costs about S rows and not
-S * S / block, and no pair is left out.  Filters never lose a link.  Texts are shuffled once, to meet their families; all joins shuffle at
-every size.
+S * S / block, and no pair is left out.  Filters never lose a link.  Texts are shuffled once, to meet their families, and again (those of
+families only) to meet each other.  Joins that grow with the texts shuffle at every size; those of edges and labels are left to Spark.
 
 Defined cases: null or empty texts have empty sets, link with nothing and are their own component; texts of fewer than n words are one
 shingle; repeated rows are members of one class; rows of one id and unlike texts count as one document; a null id gets a size, but no links and
@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .common import dropped, shuffled, staged, table
+from .common import dropped, per_salt, salt, salts_seen, shuffled, staged, table
 from .repeats import gram_hashes, mixed, word_hashes
 
 #: Frequent shingles that are ordered last, at most (8 MB).
@@ -43,8 +43,10 @@ HOT = 500_000
 #: From this document frequency on a shingle may count as frequent.
 FREQUENT = 24
 #: Rows of a bucket, documents of a family and shingles of a family that meet in one block, at about.
-BUCKET_BLOCK, FAMILY_BLOCK, FAMILY_SHINGLES = 1500, 250, 2_000_000
-FLUSH = 2_000_000
+BUCKET_BLOCK, FAMILY_BLOCK, FAMILY_SHINGLES = 1500, 1000, 2_000_000
+FLUSH = 4_000_000
+#: Bits of a shingle that are counted within a bucket.  Shingles that agree in these count together, which only moves them in the order.
+LOW_BITS = 24
 #: Bits of the bitmaps: a power of two, at least the size of the set, between these.
 LEAST_BITS, MOST_BITS = 256, 4096
 
@@ -66,18 +68,17 @@ def texts_of(batch) -> tuple[list, list]:
 
 
 def counted(batches, n: int, bits: int):
-    """doc_id, text -> bucket (leading bits), packed next 32 bits, packed counts; a flush every FLUSH shingles."""
+    """doc_id, text -> bucket (leading bits), steps between the next LOW_BITS bits in ascending order, counts; a flush every FLUSH shingles."""
 
     def flush(held):
-        tok, cnt = np.unique(np.concatenate(held) >> np.uint64(32 - bits), return_counts=True)
-        bucket = (tok >> np.uint64(32)).astype(np.int64)
+        tok, cnt = np.unique(np.concatenate(held) >> np.uint64(64 - LOW_BITS - bits), return_counts=True)
+        bucket = (tok >> np.uint64(LOW_BITS)).astype(np.int64)
         edges = np.flatnonzero(np.diff(bucket)) + 1
-        starts = np.concatenate([[0], edges])
-        low, cnt = tok.astype(np.uint32), np.minimum(cnt, 65535).astype(np.uint16)
-        ends = np.concatenate([edges, [len(tok)]])
+        starts, ends = np.concatenate([[0], edges]), np.concatenate([edges, [len(tok)]])
+        low, cnt = (tok & np.uint64((1 << LOW_BITS) - 1)).astype(np.int64), np.minimum(cnt, 65535).astype(np.uint16)
+        packed = [stepped(low[a:b], cnt[a:b]) for a, b in zip(starts, ends, strict=True)]
         return pa.RecordBatch.from_arrays(
-            [pa.array(bucket[starts].astype(np.int32)), pa.array([low[a:b].tobytes() for a, b in zip(starts, ends, strict=True)], pa.binary()), pa.array([cnt[a:b].tobytes() for a, b in zip(starts, ends, strict=True)], pa.binary())],
-            ["bucket", "tokens", "counts"],
+            [pa.array(bucket[starts].astype(np.int32)), pa.array([p[0] for p in packed], pa.binary()), pa.array([p[1] for p in packed], pa.binary())], ["bucket", "tokens", "counts"]
         )
 
     held, size = [], 0
@@ -94,15 +95,30 @@ def counted(batches, n: int, bits: int):
         yield flush(held)
 
 
+def stepped(low: np.ndarray, cnt: np.ndarray) -> tuple[bytes, bytes]:
+    """Steps between ascending numbers as 16-bit values; a longer step gets entries of count 0 on the way."""
+    steps = np.diff(low, prepend=0)
+    extra = steps >> 16
+    if extra.any():
+        at = np.repeat(np.arange(len(steps)), extra)
+        steps = np.insert(steps - extra * 65535, at, 65535)
+        cnt = np.insert(cnt, at, 0)
+        while (steps > 65535).any():  # 65536 * k is a little more than 65535 * k
+            at = np.flatnonzero(steps > 65535)
+            steps[at] -= 65535
+            steps, cnt = np.insert(steps, at, 65535), np.insert(cnt, at, 0)
+    return steps.astype(np.uint16).tobytes(), cnt.tobytes()
+
+
 def merged(key, pdf, least: int):
-    tok = np.concatenate([np.frombuffer(x, np.uint32) for x in pdf["tokens"]])
+    tok = np.concatenate([np.cumsum(np.frombuffer(x, np.uint16).astype(np.int64)) for x in pdf["tokens"]])
     cnt = np.concatenate([np.frombuffer(x, np.uint16) for x in pdf["counts"]]).astype(np.int64)
     order = np.argsort(tok, kind="stable")
     tok, cnt = tok[order], cnt[order]
     starts = np.concatenate([[0], np.flatnonzero(np.diff(tok)) + 1])
     total = np.add.reduceat(cnt, starts)
     keep = total >= least
-    return pd.DataFrame({"token": (np.int64(key[0]) << 32) + tok[starts][keep].astype(np.int64), "df": total[keep]})
+    return pd.DataFrame({"token": (np.int64(key[0]) << LOW_BITS) + tok[starts][keep], "df": total[keep]})
 
 
 def frequent_shingles(texts: DataFrame, n: int):
@@ -155,7 +171,7 @@ def profiled(batches, n: int, percent: int, hot):
             if size:
                 length = size - int(needed(size, percent)) + max(1, size // 20)
                 if len(hot_tokens):
-                    short = s >> np.uint64(32 - bits)
+                    short = s >> np.uint64(64 - LOW_BITS - bits)
                     at = np.minimum(np.searchsorted(hot_tokens, short), len(hot_tokens) - 1)
                     order = np.where(hot_tokens[at] == short, hot_class[at], 0)
                     chosen = np.argsort(order, kind="stable")[:length]
@@ -264,14 +280,16 @@ def candidate_edges(batches, percent: int):
         for r in np.flatnonzero(size > SHORT):
             left = np.arange(starts[r], starts[r + 1])
             while len(left):
-                stack, left = [left[0]], left[1:]
+                stack, left, company = [left[0]], left[1:], [int(gid[left[0]])]
                 while stack and len(left):
                     i = stack.pop()
                     near = may_link(np.full(len(left), i), left)
-                    found.append((np.full(int(near.sum()), gid[i]), gid[left[near]]))
+                    company += gid[left[near]].tolist()
                     stack += left[near].tolist()
                     left = left[~near]
+                found.append((np.full(len(company), min(company)), np.array(company)))
         a, b = np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
+        a, b = a[a != b], b[a != b]
         pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1) if len(a) else np.zeros((2, 0), np.int64)
         return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["a", "b"])
 
@@ -299,38 +317,41 @@ def run_numbers(table: pa.Table) -> np.ndarray:
     return np.cumsum(change)
 
 
-def joined_up(narrow: DataFrame, payload: DataFrame, forest, tag: str, keep_payload: bool = False) -> DataFrame:
-    """Components of all pairs inside groups that `forest` accepts: v, label.
+def joined_up(narrow: DataFrame, meet, tag: str) -> DataFrame:
+    """Components of all pairs inside groups that `meet` accepts: v, label.
 
-    narrow(g, v, i, parts, w, …): a row of group g (weight w), dealt into its block i of `parts`.  payload(v, …) is what `forest` needs beside;
-    forest(rows with g, i, j) -> edges a, b.  With `keep_payload` the payload of groups of several blocks is kept in the shared folder.
+    narrow(g, v, i, parts, w, …): a row of group g (weight w), dealt into its block i of `parts`.  meet(rows with g, i, j, …) -> edges a, b.
     """
-    meet = lambda rows: forest(rows.join(shuffled(payload), "v"))
-    edges = staged(meet(narrow.withColumn("j", F.lit(0))), f"{tag}-edges")
+    edges = staged(meet(narrow.withColumn("j", F.lit(0).cast("long"))), f"{tag}-edges")
     labels = components(edges)
-    big = narrow.where("parts > 1")
+    big = narrow.where("parts > 1").drop("text")  # texts come back where rows meet again
     if big.isEmpty():
         return labels
-    if keep_payload:
-        payload = staged(payload.join(shuffled(big.select("v").distinct()), "v"), f"{tag}-payload")
-    for again in (11, 12, None):
-        labelled = big.join(shuffled(labels), "v", "left").withColumn("label", F.coalesce("label", "v"))
-        several = labelled.groupBy("g").agg(F.min("label").alias("_a"), F.max("label").alias("_z"), F.max("parts").alias("_parts"), F.sum("w").alias("_w")).where("_a < _z")
-        several = staged(several.select("g", "_parts", "_w"), f"{tag}-open")
-        if several.isEmpty():
+    last, again, closing = None, 0, False
+    while not closing:
+        again += 1
+        labelled = big.join(labels, "v", "left").withColumn("label", F.coalesce("label", "v"))
+        sizes = labelled.groupBy("g", "label").agg(F.sum("w").alias("lw"), F.count("*").alias("n"), F.max("parts").alias("p"))
+        several = sizes.groupBy("g").agg(F.count("*").alias("_labels"), F.sum("lw").alias("_w"), F.sum("n").alias("_n"), F.max("p").alias("_parts"), F.max(F.struct("lw", "label")).alias("_top"))
+        several = staged(several.where("_labels > 1"), f"{tag}-open")
+        count = several.agg(F.sum("_labels")).first()[0]
+        if count is None:
             return labels
-        rows = labelled.drop("parts", "i").withColumnRenamed("g", "_g").join(shuffled(several), F.col("_g") == F.col("g")).drop("_g")
-        if again is not None:  # other company
-            rows = rows.withColumn("i", F.pmod(F.xxhash64("v", F.lit(again)), "_parts")).withColumn("j", F.lit(0))
+        closing, last = last is not None and count > 0.7 * last, count  # representatives have joined what they can
+        rows = labelled.drop("parts", "i").withColumnRenamed("g", "_g").join(several, F.col("_g") == F.col("g")).drop("_g")
+        if not closing:  # about a block's worth of rows of the group, as many of each label as of any other
+            block = F.ceil(F.col("_n") / F.col("_parts"))
+            nth = F.row_number().over(Window.partitionBy("g", "label").orderBy(F.xxhash64("v", F.lit(100 + again)), "v"))
+            rows = rows.withColumn("_nth", nth).where(F.col("_nth") <= F.greatest(F.lit(1), F.floor(block / F.col("_labels")))).drop("_nth")
+            rows = rows.withColumn("i", F.pmod(F.xxhash64("v", F.lit(200 + again)), F.ceil(F.col("_labels") / block))).withColumn("j", F.lit(0).cast("long"))
         else:  # all rows outside the largest label meet all others
-            largest = rows.groupBy("g", "label").agg(F.sum("w").alias("_lw")).groupBy("g").agg(F.max(F.struct("_lw", "label")).alias("_top"))
-            rows = rows.join(shuffled(largest), "g").withColumn("_travels", F.col("label") != F.col("_top.label"))
-            rows = rows.withColumn("_tparts", F.greatest(F.lit(1), F.ceil(F.col("_parts") * (F.col("_w") - F.col("_top._lw")) / F.col("_w"))).cast("long"))
+            rows = rows.withColumn("_travels", F.col("label") != F.col("_top.label"))
+            rows = rows.withColumn("_tparts", F.greatest(F.lit(1), F.ceil(F.col("_parts") * (F.col("_w") - F.col("_top.lw")) / F.col("_w"))).cast("long"))
             own_i, own_j = F.pmod(F.xxhash64("v", F.lit(13)), "_parts"), F.pmod(F.xxhash64("v", F.lit(14)), "_tparts")
             across = rows.withColumn("i", own_i).withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_tparts") - 1)))
             along = rows.where("_travels").withColumn("i", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_parts") - 1))).withColumn("j", own_j)
-            rows = across.unionByName(along).drop("_travels", "_tparts", "_top").distinct()
-        edges = edges.unionByName(staged(meet(rows.drop("_parts", "_w", "label")), f"{tag}-edges"))
+            rows = across.unionByName(along).drop("_travels", "_tparts").distinct()
+        edges = edges.unionByName(staged(meet(rows.drop("_parts", "_labels", "_w", "_n", "_top", "label")), f"{tag}-edges"))
         labels = components(edges)
     return labels
 
@@ -355,10 +376,10 @@ def components(edges: DataFrame) -> DataFrame:
     labels = staged(both.groupBy(F.col("a").alias("v")).agg(F.min("b").alias("m")).select("v", F.least("v", "m").alias("label")), "cc-labels")
     while True:
         other = labels.select(F.col("v").alias("b"), F.col("label").alias("_l"))
-        best = both.join(shuffled(other), "b").groupBy(F.col("a").alias("v")).agg(F.min("_l").alias("_m"))
-        near = staged(labels.join(shuffled(best), "v").select("v", F.col("label").alias("_was"), F.least("label", "_m").alias("label")), "cc-step")
+        best = both.join(other, "b").groupBy(F.col("a").alias("v")).agg(F.min("_l").alias("_m"))
+        near = staged(labels.join(best, "v").select("v", F.col("label").alias("_was"), F.least("label", "_m").alias("label")), "cc-step")
         jump = near.select(F.col("v").alias("label"), F.col("label").alias("_far"))
-        step = staged(near.join(shuffled(jump), "label", "left").select("v", "_was", F.least("label", F.coalesce("_far", "label")).alias("label")), "cc-step")
+        step = staged(near.join(jump, "label", "left").select("v", "_was", F.least("label", F.coalesce("_far", "label")).alias("label")), "cc-step")
         done = step.where("label <> _was").isEmpty()
         dropped(spark, labels._staged_path, near._staged_path)
         labels = step
@@ -371,7 +392,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def links_of(ids: list[int], sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
-    """Spanning forest of the linked pairs among the sets, by exact overlaps."""
+    """Components of the linked pairs among the sets, by exact overlaps: (smallest id, id) for each other member."""
     sizes = np.array([len(s) for s in sets])
     member, doc = np.unique(np.concatenate(sets), return_inverse=True)[1], np.repeat(np.arange(len(sets)), sizes)
     order = np.argsort(member, kind="stable")
@@ -381,6 +402,7 @@ def links_of(ids: list[int], sets: list[np.ndarray], percent: int) -> list[tuple
     left, out = set(range(len(sets))), []
     while left:
         stack = [left.pop()]
+        company = list(stack)
         while stack and left:
             i = stack.pop()
             mine = member[bounds[i] : bounds[i + 1]]
@@ -391,8 +413,10 @@ def links_of(ids: list[int], sets: list[np.ndarray], percent: int) -> list[tuple
             for j in linked.tolist():
                 if j in left:
                     left.discard(j)
-                    out.append((ids[i], ids[j]))
+                    company.append(j)
                     stack.append(j)
+        low = min(ids[i] for i in company)
+        out += {(low, ids[i]) for i in company if ids[i] != low}
     return out
 
 
@@ -419,7 +443,7 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, id_co
     full = profiles.where("n > 0 AND doc_id IS NOT NULL")
 
     # classes of equal sets; groups of equal prefix and size
-    classes = staged(full.groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.first("pf").alias("pf")), "jaccard-classes")
+    classes = staged(full.groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.first("pf").alias("pf"), salts_seen("doc_id").alias("seen")), "jaccard-classes")
     groups = full.groupBy("n", "pf").agg(F.min("doc_id").alias("gid"), *[F.first(c).alias(c) for c in ("prefix", "heat", "bits")])
     groups = staged(groups, "jaccard-groups")
     several = staged(classes.groupBy("n", "pf").agg(F.count("*").alias("k")).where("k > 1").select("n", "pf"), "jaccard-several")
@@ -427,24 +451,23 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, id_co
     agreed = staged(agreed.withColumnRenamed("bits", "any"), "jaccard-agreed")
 
     # members that several groups share, and groups that share enough of them; the rows of a frequent member never meet in one task
-    member = groups.select("gid", "n", F.explode(F.arrays_zip("prefix", "heat")).alias("m")).select("gid", "n", F.col("m.prefix").alias("g"), F.col("m.heat").alias("heat"))
-    spread = F.greatest(F.lit(1), F.ceil(F.pow(F.lit(2.0), F.col("heat") + 1) / BUCKET_BLOCK)).cast("long")
-    member = member.withColumn("spread", spread).withColumn("b", F.pmod(F.xxhash64("gid", F.lit(3)), "spread"))
+    member = groups.select("gid", F.explode(F.arrays_zip("prefix", "heat")).alias("m"))
+    spread = F.greatest(F.lit(1), F.ceil(F.pow(F.lit(2.0), F.col("m.heat") + 1) / BUCKET_BLOCK)).cast("int")
+    member = member.select(F.col("gid").alias("v"), F.col("m.prefix").alias("g"), spread.alias("spread"))
+    member = member.withColumn("b", F.pmod(F.xxhash64("v", F.lit(3)), "spread").cast("int"))
     member = member.withColumn("c", F.count("*").over(Window.partitionBy("g", "b"))).where("c > 1 OR spread > 1")
     split = F.ceil(F.col("c") / BUCKET_BLOCK)
-    member = staged(
-        member.select("gid", "n", "g", (F.col("b") + F.col("spread") * F.pmod(F.xxhash64("gid", F.lit(4)), split)).alias("i"), (F.col("spread") * split).alias("parts")), "jaccard-members"
-    )
-    least = F.greatest(F.lit(1), F.floor(F.ceil(F.col("n") * percent / 100) / 20))
-    alive = member.groupBy("gid", "n").agg(F.count("*").alias("k")).where(F.col("k") >= least).select("gid")
-    alive = groups.select("gid", "n", "pf", "bits").join(shuffled(alive), "gid").join(shuffled(agreed), ["n", "pf"], "left")
-    alive = staged(alive.select(F.col("gid").alias("v"), F.coalesce("any", "bits").alias("bits"), "known"), "jaccard-alive")
+    dealt = F.col("b") + F.col("spread") * F.pmod(F.xxhash64("v", F.lit(4)), split)
+    member = staged(member.select("v", "g", dealt.alias("i"), (F.col("spread") * split).alias("parts")), "jaccard-members")
+    alive = groups.select(F.col("gid").alias("v"), "n", "pf", "bits").join(shuffled(member.groupBy("v").agg(F.count("*").alias("k"))), "v")
+    alive = alive.where(F.col("k") >= F.greatest(F.lit(1), F.floor(F.ceil(F.col("n") * percent / 100) / 20))).join(shuffled(agreed), ["n", "pf"], "left")
+    alive = staged(alive.select("v", "n", F.coalesce("any", "bits").alias("bits"), "known"), "jaccard-alive")
 
     def candidates(rows: DataFrame) -> DataFrame:
-        rows = rows.select("g", "i", "j", "v", "n", "bits", "known").repartition("g", "i", "j").sortWithinPartitions("g", "i", "j")
+        rows = rows.join(shuffled(alive), "v").select("g", "i", "j", "v", "n", "bits", "known").repartition("g", "i", "j").sortWithinPartitions("g", "i", "j")
         return rows.mapInArrow(lambda it: candidate_edges(it, percent), "a long, b long").distinct()
 
-    family = joined_up(member.withColumnRenamed("gid", "v").withColumn("w", F.lit(1)), alive, candidates, "jaccard-candidates")
+    family = joined_up(member.withColumn("w", F.lit(1)), candidates, "jaccard-candidates")
 
     # families of groups, expanded to classes
     named = classes.join(shuffled(groups.select("n", "pf", "gid")), ["n", "pf"])
@@ -453,21 +476,23 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, id_co
     members = staged(named.join(shuffled(families), "gid").select(F.col("rep").alias("v"), "f1", F.col("n").alias("w"), "g"), "jaccard-families")
     sizes = members.groupBy("g").agg(F.count("*").alias("s"), F.sum("w").alias("sw")).where("s > 1")
     parts = F.greatest(F.ceil(F.col("s") / FAMILY_BLOCK), F.ceil(F.col("sw") / FAMILY_SHINGLES))
-    members = members.join(shuffled(sizes), "g").withColumn("parts", parts).withColumn("i", F.pmod(F.xxhash64("v", F.lit(3)), "parts"))
-    members = staged(members.drop("s", "sw"), "jaccard-members-of-families")
+    members = members.join(shuffled(sizes), "g").withColumn("parts", parts).withColumn("i", F.pmod(F.xxhash64("v", F.lit(3)), "parts")).drop("s", "sw")
+    whole = texts.where("doc_id IS NOT NULL").select(F.col("doc_id").alias("v"), "text")
+    members = staged(members.join(shuffled(whole), "v"), "jaccard-members-of-families")
 
     def verify(rows: DataFrame) -> DataFrame:
+        if "text" not in rows.columns:
+            rows = rows.join(shuffled(members.where("parts > 1").select("v", "text")), "v")
         rows = rows.select("g", "i", "j", "v", "f1", "text").repartition("g", "i", "j").sortWithinPartitions("g", "i", "j")
         return rows.mapInPandas(lambda it: verified(it, words, percent), "a long, b long").distinct()
 
-    whole = texts.where("doc_id IS NOT NULL").withColumnRenamed("doc_id", "v")
-    label = joined_up(members, whole, verify, "jaccard-links", keep_payload=True)
+    label = joined_up(members, verify, "jaccard-links")
 
     # smallest document of each component
     label = label.withColumnRenamed("v", "rep")
-    named = classes.join(shuffled(label), "rep", "left").select("n", "f1", "f2", F.coalesce("label", "rep").alias("component_id"))
-    named = staged(named, "jaccard-named")
-    out = profiles.select("doc_id", "n", "f1", "f2").join(shuffled(named), ["n", "f1", "f2"], "left")
+    named = classes.join(shuffled(label), "rep", "left").select("n", "f1", "f2", "seen", F.coalesce("label", "rep").alias("component_id"))
+    named = per_salt(staged(named, "jaccard-named"), "seen")
+    out = profiles.select("doc_id", "n", "f1", "f2", salt("doc_id").alias("_salt")).join(shuffled(named), ["n", "f1", "f2", "_salt"], "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"))
 
 

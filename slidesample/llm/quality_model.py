@@ -84,9 +84,9 @@ def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str
         for pdf in batches:
             yield pd.DataFrame({"doc_id": pdf["_id"], "label": pdf["_label"], "x": [statistics(t if isinstance(t, str) else None) for t in pdf["text"]]})
 
-    got = rows.select("_id", "_label", "text").mapInPandas(measure, "doc_id long, label int, x array<double>").toPandas()
-    got["first"] = [tuple(v) for v in got["x"]]
-    got = got.sort_values(["doc_id", "label", "first"], kind="stable")  # so that reruns see the same order
+    # repeated rows of a document count once, so that no more than `sample` rows come to the driver
+    got = rows.select("_id", "_label", "text").mapInPandas(measure, "doc_id long, label int, x array<double>").groupBy("doc_id", "label").agg(F.min("x").alias("x")).toPandas()
+    got = got.sort_values(["doc_id", "label"], kind="stable")  # so that reruns see the same order
     x = np.array(got["x"].tolist()).reshape(-1, len(NAMES))
     return boosting.fit(x, got["label"].to_numpy(np.float64))
 

@@ -113,6 +113,17 @@ def test_jaccard_in_small_blocks(spark, monkeypatch):
     assert sorted(tuple(r) for r in jaccard.jaccard_components(df, 4, 85).collect()) == brute_components(rows, 4, 85)
 
 
+def test_packed_counts_come_back():
+    import numpy as np
+    import pandas as pd
+
+    low = np.array([0, 3, 65534, 65535, 200000, 200001, 9_000_000, 9_000_000 + 65536, 2**24 - 1])
+    cnt = np.arange(1, 10).astype(np.uint16)
+    tokens, counts = jaccard.stepped(low, cnt)
+    got = jaccard.merged((5,), pd.DataFrame({"tokens": [tokens, tokens], "counts": [counts, counts]}), 1)
+    assert got["token"].tolist() == [(5 << 24) + x for x in low] and got["df"].tolist() == [2 * x for x in range(1, 10)]
+
+
 def test_jaccard_keeps_links_of_unlike_sets_with_equal_prefixes(spark):
     """Short sets that share their prefix and size but little else are one group; each still finds its own near copy."""
     rnd = random.Random(11)
