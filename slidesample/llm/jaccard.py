@@ -443,11 +443,11 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, id_co
     full = profiles.where("n > 0 AND doc_id IS NOT NULL")
 
     # classes of equal sets; groups of equal prefix and size
-    classes = staged(full.groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.first("pf").alias("pf"), salts_seen("doc_id").alias("seen")), "jaccard-classes")
+    classes = staged(full.groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.first("pf").alias("pf"), F.first("bits").alias("bits"), salts_seen("doc_id").alias("seen")), "jaccard-classes")
     groups = full.groupBy("n", "pf").agg(F.min("doc_id").alias("gid"), *[F.first(c).alias(c) for c in ("prefix", "heat", "bits")])
     groups = staged(groups, "jaccard-groups")
     several = staged(classes.groupBy("n", "pf").agg(F.count("*").alias("k")).where("k > 1").select("n", "pf"), "jaccard-several")
-    agreed = agreed_bits(full.select("n", "pf", "bits").join(shuffled(several), ["n", "pf"]))
+    agreed = agreed_bits(classes.select("n", "pf", "bits").join(shuffled(several), ["n", "pf"]))  # one row per class, however many copies it has
     agreed = staged(agreed.withColumnRenamed("bits", "any"), "jaccard-agreed")
 
     # members that several groups share, and groups that share enough of them; the rows of a frequent member never meet in one task
@@ -470,7 +470,7 @@ def jaccard_components(docs: DataFrame, words: int = 5, percent: int = 80, id_co
     family = joined_up(member.withColumn("w", F.lit(1)), candidates, "jaccard-candidates")
 
     # families of groups, expanded to classes
-    named = classes.join(shuffled(groups.select("n", "pf", "gid")), ["n", "pf"])
+    named = classes.drop("bits", "seen").join(shuffled(groups.select("n", "pf", "gid")), ["n", "pf"])
     alone = named.join(shuffled(several), ["n", "pf"], "left_semi").select("gid").distinct()
     families = family.withColumnRenamed("v", "gid").join(shuffled(alone), "gid", "full_outer").select("gid", F.coalesce("label", "gid").alias("g"))
     members = staged(named.join(shuffled(families), "gid").select(F.col("rep").alias("v"), "f1", F.col("n").alias("w"), "g"), "jaccard-families")
