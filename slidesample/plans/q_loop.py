@@ -119,10 +119,14 @@ def budget_kinds(spark, sf):
 _TENTH = SPAN // 10
 
 
-def slid_partials(panes, slide):
-    """Partials of every (pane, stratum) -> partials of every window and stratum, by un-reducing."""
-    full = incremental.every_pane(panes, -(-slide.total // slide.pane), ("stratum",))
-    return incremental.slide_invertible(full, slide.length // slide.pane, slide.step // slide.pane, ["n_all", "b", "sv", "svv"], ("stratum",)).where("n_all > 0")
+def slid_partials(parts, strata, slide):
+    """Partials of (pane, stratum), several rows each, -> partials of every window and stratum, by un-reducing.  Panes without items are added as zeros, not joined."""
+    columns = ["n_all", "b", "sv", "svv"]
+    kinds = dict(parts.dtypes)
+    panes = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(-(-slide.total // slide.pane) - 1).cast("long")))
+    zeros = strata.withColumn("pane", panes).select("pane", "stratum", *[F.lit(0).cast(kinds[c]).alias(c) for c in columns])
+    full = parts.unionByName(zeros).groupBy("pane", "stratum").agg(*[F.sum(c).alias(c) for c in columns])
+    return incremental.slide_invertible(full, slide.length // slide.pane, slide.step // slide.pane, columns, ("stratum",)).where("n_all > 0")
 
 
 def by_key_windows(items, slide, kept, query=lambda sampled: sampled):
@@ -132,10 +136,12 @@ def by_key_windows(items, slide, kept, query=lambda sampled: sampled):
     Items that are not sampled are only counted.
     """
     pane = windows.pane_of(slide).alias("pane")
-    seen = items.groupBy(pane, "stratum").agg(F.count("*").alias("n_all"))
     v = F.coalesce(F.col("value").cast("decimal(18,2)"), F.lit(0).cast("decimal(18,2)"))
-    sums = query(items.where(kept)).groupBy(pane, "stratum").agg(F.count("*").alias("b"), F.sum(v).alias("sv"), F.sum(v * v).cast("decimal(38,4)").alias("svv"))
-    parts = slid_partials(seen.join(sums, ["pane", "stratum"], "left"), slide)
+    none = F.lit(0).cast("long")
+    seen = items.groupBy(pane, "stratum").agg(F.count("*").alias("n_all")).select("pane", "stratum", "n_all", none.alias("b"), none.cast("decimal(28,2)").alias("sv"), none.cast("decimal(38,4)").alias("svv"))
+    sums = query(items.where(kept)).groupBy(pane, "stratum").agg(F.count("*").alias("b"), F.sum(v).cast("decimal(28,2)").alias("sv"), F.sum(v * v).cast("decimal(38,4)").alias("svv"))
+    parts = seen.unionByName(sums.select("pane", "stratum", none.alias("n_all"), "b", "sv", "svv"))
+    parts = slid_partials(parts, items.select("stratum").distinct(), slide)
     doubles = parts.withColumn("sv", F.col("sv").cast("double")).withColumn("svv", F.col("svv").cast("double"))
     return estimate.with_margin(estimate.total_terms(doubles, ("window_id",)))
 
