@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import shuffled, staged, table
+from .common import per_salt, salt, salts_seen, shuffled, staged, table
 
 LENGTH = 50
 GRAM = 20
@@ -150,21 +150,23 @@ def repeats_of(texts: DataFrame, length: int, gram: int) -> tuple[DataFrame, Dat
     first_scan = staged(texts.mapInArrow(lambda it: profiles(it, length, gram), schema), "repeat-profiles")
     # Copies: the smallest id of each sequence of words.
     long = first_scan.where((F.col("n_words") >= length) & F.col("doc_id").isNotNull())
-    first = long.groupBy("sha").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("sha", "lo")
-    marked = long.join(shuffled(first), "sha", "left").withColumn("copy", F.coalesce(F.col("doc_id") > F.col("lo"), F.lit(False)))
+    first = long.groupBy("sha").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), salts_seen("key").alias("seen")).where("lo < hi")
+    first = per_salt(first.drop("hi"), "seen")
+    marked = long.withColumn("_salt", salt("key")).join(shuffled(first), ["sha", "_salt"], "left").withColumn("copy", F.coalesce(F.col("doc_id") > F.col("lo"), F.lit(False)))
     marked = staged(marked.select("doc_id", "key", "copy", F.when(~F.col("copy"), F.col("anchors")).alias("anchors")), "repeat-marked")
     copies = marked.where("copy").select("doc_id", "key").distinct()
     # Seeds: anchors of several documents, and the texts that have any.
     seeds = marked.where("NOT copy").select("doc_id", "key", F.explode("anchors").alias("anchor"))
-    common = seeds.groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor")
-    wanted = seeds.select("key", "anchor").join(shuffled(common), "anchor").groupBy("key").agg(F.collect_set("anchor").alias("shared"))
+    common = seeds.groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), salts_seen("key").alias("seen")).where("lo < hi")
+    common = per_salt(common.select("anchor", "seen"), "seen")
+    wanted = seeds.select("key", "anchor", salt("key").alias("_salt")).join(shuffled(common), ["anchor", "_salt"]).groupBy("key").agg(F.collect_set("anchor").alias("shared"))
     met = staged(texts.join(shuffled(wanted), "key").select("doc_id", "key", "text", "shared").where("doc_id IS NOT NULL"), "repeat-texts")
     # Extension: every window on a shared anchor finds its smallest document, and runs on a diagonal join.
     windows = met.mapInArrow(lambda it: shared_windows(it, length, gram), "doc_id long, key long, start int, window long, anchor long")
     windows = staged(windows, "repeat-windows")
-    least = windows.groupBy("window", "anchor").agg(F.min(F.struct("doc_id", "start")).alias("source"), F.max("doc_id").alias("hi"))
-    least = least.where("source.doc_id < hi").select("window", "anchor", F.col("source.doc_id").alias("partner"), F.col("source.start").alias("there"))
-    hits = windows.join(shuffled(least), ["window", "anchor"]).where("doc_id > partner").select("doc_id", "key", "start", "partner", "there").distinct()
+    least = windows.groupBy("window", "anchor").agg(F.min(F.struct("doc_id", "start")).alias("source"), F.max("doc_id").alias("hi"), salts_seen("key").alias("seen"))
+    least = least.where("source.doc_id < hi").select("window", "anchor", F.col("source.doc_id").alias("partner"), F.col("source.start").alias("there"), "seen")
+    hits = windows.withColumn("_salt", salt("key")).join(shuffled(per_salt(least, "seen")), ["window", "anchor", "_salt"]).where("doc_id > partner").select("doc_id", "key", "start", "partner", "there").distinct()
     diagonal = Window.partitionBy("doc_id", "key", "partner", F.col("start") - F.col("there")).orderBy("start")
     runs = hits.withColumn("run", F.col("start") - F.row_number().over(diagonal))
     extended = runs.groupBy("doc_id", "key", "partner", (F.col("start") - F.col("there")).alias("shift"), "run").agg(
