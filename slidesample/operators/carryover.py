@@ -13,7 +13,11 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from slidesample.functions.hashing import priority_value
+from slidesample.functions.hashing import priority, priority_value
+from slidesample.operators.windows import Slide
+
+
+COLUMNS = ["window_id", "stratum", "item_id", "seq", "value", "u"]
 
 
 def carry_over(sample: DataFrame, memo: DataFrame, quotas: DataFrame, carry: str = "biased", surplus: str = "hash", refill: str = "hash") -> DataFrame:
@@ -22,19 +26,37 @@ def carry_over(sample: DataFrame, memo: DataFrame, quotas: DataFrame, carry: str
     carry: 'biased' (memo first, quota kept), 'all' (the whole memo, quota ignored), 'none' (fresh sample only).
     surplus (which memo items go): 'hash', 'list' (arrival order), 'newest'.  refill: 'hash', 'sample_order', 'newest_first'.
     """
-    columns = ["window_id", "stratum", "item_id", "seq", "value", "u"]
-    fresh = sample.select(*columns).withColumn("from_memo", F.lit(False))
+    fresh = sample.select(*COLUMNS).withColumn("from_memo", F.lit(False))
     if carry == "none":
         return fresh
-    known = memo.select(*columns).join(quotas.where("quota > 0").select("window_id", "stratum"), ["window_id", "stratum"], "left_semi")
-    both = known.withColumn("from_memo", F.lit(True)).unionByName(fresh)
-    once = both.groupBy("window_id", "stratum", "item_id").agg(F.first("seq").alias("seq"), F.first("value").alias("value"), F.first("u").alias("u"), F.max("from_memo").alias("from_memo"))
+    known = memo.select(*COLUMNS).withColumn("from_memo", F.lit(True))
+    return prefer_known(known.unionByName(fresh), quotas, carry, surplus, refill)
+
+
+def beside_previous(samples: DataFrame, slide: Slide, seed: str) -> DataFrame:
+    """Fresh samples of all windows, each beside what the memo holds of the fresh sample before (`from_memo`), as `prefer_known` takes them.
+
+    Whether an item is still inside follows from its position, its priority from its id: no window is read for them, and each sample is drawn once.
+    """
+    both = samples.select(*COLUMNS, F.explode(F.array(F.lit(False), F.lit(True))).alias("from_memo"))
+    at = F.col("window_id") + F.col("from_memo").cast("long")
+    inside = ~F.col("from_memo") | ((at < slide.count) & (F.col("seq") >= at * slide.step + slide.origin))
+    both = both.where(inside).withColumn("window_id", at)
+    return both.withColumn("u", F.when(F.col("from_memo"), priority(seed, F.col("item_id"), F.col("window_id"))).otherwise(F.col("u")))
+
+
+def prefer_known(both: DataFrame, quotas: DataFrame, carry: str = "biased", surplus: str = "hash", refill: str = "hash") -> DataFrame:
+    """Biased samples out of memo items and fresh ones together; dealt once, by window and stratum."""
+    dealt = both.select(*COLUMNS, "from_memo").repartition("window_id", "stratum")
+    once = dealt.groupBy("window_id", "stratum", "item_id").agg(F.first("seq").alias("seq"), F.first("value").alias("value"), F.first("u").alias("u"), F.max("from_memo").alias("from_memo"))
+    quotas = quotas.where("quota > 0").select("window_id", "stratum", "quota")
     if carry == "all":
-        return once.select(*columns, "from_memo")
+        return once.hint("merge").join(quotas, ["window_id", "stratum"], "left_semi").select(*COLUMNS, "from_memo")
     by = {"hash": F.lit(0), "list": F.col("seq"), "newest": -F.col("seq"), "sample_order": F.col("seq"), "newest_first": -F.col("seq")}
     key = F.when(F.col("from_memo"), by[surplus]).otherwise(by[refill])
     order = Window.partitionBy("window_id", "stratum").orderBy(F.col("from_memo").desc(), key, "u", "item_id")
-    return once.withColumn("_r", F.row_number().over(order)).join(quotas.select("window_id", "stratum", "quota"), ["window_id", "stratum"]).where("_r <= quota").select(*columns, "from_memo")
+    ranked = once.withColumn("_r", F.row_number().over(order)).hint("merge")  # its rows stay where they are, only quotas travel
+    return ranked.join(quotas, ["window_id", "stratum"]).where("_r <= quota").select(*COLUMNS, "from_memo")
 
 
 def carry_chain(fresh: DataFrame, seed: str, carry: str = "biased", refill: str = "hash", pane: int = 1, changes: bool = False) -> DataFrame:

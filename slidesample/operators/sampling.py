@@ -9,17 +9,42 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from slidesample.functions.hashing import SPAN, priority
+from slidesample.functions.hashing import HEX, SPAN, priority, priority_of
 
 
 def fixed_size_sample(assigned: DataFrame, quotas: DataFrame, most: int, by: tuple[str, ...] = ("window_id",)) -> DataFrame:
-    """The quota's smallest priorities (column `u`) of each stratum.
+    """The quota's smallest priorities of each stratum; assigned has them as `u`, or as `digest`, which is cheaper.
 
-    The constant bound `most` comes first, so Spark prunes rows per group before the shuffle; the exact quota follows.
+    Priorities above their group's cut never leave the scan; what is left meets a constant bound `most`, then the exact quota.  Rows with the cuts
+    (one a group) travel to the items, never the other way: Spark's size estimates do not know that an item is in many windows.
     """
     order = Window.partitionBy(*by, "stratum").orderBy("u", "item_id")
-    bounded = assigned.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= most)
-    return bounded.join(quotas, [*by, "stratum"]).where(F.col("rank") <= F.col("quota"))
+    digits = F.col("digest") if "digest" in assigned.columns else F.lpad(F.lower(F.hex("u")), HEX, "0")
+    rows = assigned.withColumn("_head", F.substring(digits, 1, HEAD))
+    low = rows.join(F.broadcast(quota_cuts(rows, quotas, by)), [*by, "stratum"]).where("_head <= _cut").drop("_head", "_cut")
+    if "digest" in assigned.columns:
+        low = low.withColumn("u", priority_of(F.col("digest"))).drop("digest")
+    return low.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= most).where(F.col("rank") <= F.col("quota"))
+
+
+#: Leading digits of a priority that items are counted by.
+HEAD = 3
+
+
+def quota_cuts(rows: DataFrame, quotas: DataFrame, by: tuple[str, ...] = ("window_id",)) -> DataFrame:
+    """quotas with `_cut`, the first digits (`_head`) of priorities up to which a group holds its quota; groups without a quota are left out.
+
+    Items are counted by their priority's first digits, partial sums before the shuffle, and only as far up as the quota should reach with much to spare.
+    Exact all the same: a group that holds less than its quota there is not cut at all.
+    """
+    keys, top = [*by, "stratum"], 16**HEAD - 1
+    reach = F.ceil(F.lit(top + 1.0) * (F.col("quota") + 8 * F.sqrt(F.col("quota")) + 40) / F.col("n_seen"))
+    wanted = F.broadcast(quotas.where("quota > 0"))
+    near = wanted.select(*keys, "quota", F.lpad(F.lower(F.hex(F.least(F.lit(top), reach).cast("long"))), HEAD, "0").alias("_reach"))
+    held = rows.select(*keys, "_head").join(F.broadcast(near), keys).where("_head <= _reach").groupBy(*keys, "quota", "_head").agg(F.count("*").alias("_n"))
+    upto = F.sum("_n").over(Window.partitionBy(*keys).orderBy("_head"))
+    cut = held.withColumn("_upto", upto).where("_upto >= quota").groupBy(*keys).agg(F.min("_head").alias("_cut"))
+    return wanted.join(cut, keys, "left").fillna("f" * HEAD, ["_cut"])
 
 
 def pane_bottom_k(items: DataFrame, most: int) -> DataFrame:
