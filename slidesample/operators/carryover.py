@@ -9,7 +9,9 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -110,6 +112,51 @@ def carry_chain(fresh: DataFrame, seed: str, carry: str = "biased", refill: str
     return dealt.mapInPandas(run, f"window_id long, lo long, stratum string, item_id {kind}, seq long, value decimal(18,2), u long, from_memo boolean")
 
 
+def chain_counts(fresh: DataFrame, seed: str, slide: Slide, refills: tuple[str, ...] = ("hash",), quotas: dict | None = None) -> DataFrame:
+    """What measures need of `carry_chain`, without its rows: window_id, stratum, refill, size, needed, known (from the memo), alive (still inside the next window).
+
+    fresh(window_id, stratum, item_id, seq, rank) with whole numbers as items.  Several chains go over the same samples: one for each refill and for each
+    quota of `quotas` (by window and stratum a list, read at position `size`; a sample's first ranks are the sample of a smaller quota).
+    One row for each window and stratum travels, so a stratum's task gets its windows in order without sorting items.
+    """
+    pane = slide.pane
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, out, memos = None, [], {}
+        for batch in batches:
+            for k in range(batch.num_rows):
+                w, s = batch["window_id"][k].as_py(), batch["stratum"][k].as_py()
+                ids, seqs, ranks = (batch[c][k].values.to_numpy() for c in ("ids", "seqs", "ranks"))
+                order = np.argsort(ranks, kind="stable")
+                ids, seqs = ids[order], seqs[order]
+                if last != (s, w - 1):
+                    memos = {}
+                last, lo = (s, w), w * slide.step + slide.origin
+                for size, q in enumerate([len(ids)] if quotas is None else quotas[w, s]):
+                    for refill in refills:
+                        i, at = memos.get((size, refill), (ids[:0], seqs[:0]))
+                        i, at = i[at >= lo], at[at >= lo]
+                        if len(i) > q:  # only then does it matter which
+                            u = np.array([priority_value(seed, x, w) for x in i.tolist()], dtype=np.int64)
+                            keep = np.lexsort((i, u))[:q]
+                            i, at = i[keep], at[keep]
+                        new = np.flatnonzero(~np.isin(ids[:q], i))
+                        if refill != "hash":
+                            new = new[np.argsort(seqs[new] if refill == "sample_order" else -(seqs[new] // pane), kind="stable")]
+                        new, known = new[: q - len(i)], len(i)
+                        i, at = np.concatenate([i, ids[new]]), np.concatenate([at, seqs[new]])
+                        memos[size, refill] = i, at
+                        out.append((w, s, refill, size, len(i), known, int((at >= lo + slide.step).sum())))
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=names)
+
+    names = ["window_id", "stratum", "refill", "size", "needed", "known", "alive"]
+    kinds = [pa.int64(), pa.string(), pa.string(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
+    packed = fresh.groupBy("window_id", "stratum").agg(*[F.collect_list(c).alias(t) for c, t in (("item_id", "ids"), ("seq", "seqs"), ("rank", "ranks"))])
+    dealt = packed.repartition("stratum").sortWithinPartitions("stratum", "window_id")
+    return dealt.mapInArrow(run, "window_id long, stratum string, refill string, size int, needed long, known long, alive long")
+
+
 def window_runs(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     held = None
     for pdf in batches:

@@ -6,7 +6,7 @@ and merges: the sample of a window is the bottom of the union of its panes' bott
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from slidesample.functions.hashing import HEX, SPAN, priority, priority_of
@@ -31,6 +31,11 @@ def fixed_size_sample(assigned: DataFrame, quotas: DataFrame, most: int, by: tup
 HEAD = 3
 
 
+def reach(quota: Column, seen: Column) -> Column:
+    """How far up first digits go that hold the quota, with much to spare (above eight standard deviations)."""
+    return F.ceil(F.lit(16.0**HEAD) * (quota + 8 * F.sqrt(quota) + 40) / seen)
+
+
 def quota_cuts(rows: DataFrame, quotas: DataFrame, by: tuple[str, ...] = ("window_id",)) -> DataFrame:
     """quotas with `_cut`, the first digits (`_head`) of priorities up to which a group holds its quota; groups without a quota are left out.
 
@@ -38,9 +43,8 @@ def quota_cuts(rows: DataFrame, quotas: DataFrame, by: tuple[str, ...] = ("windo
     Exact all the same: a group that holds less than its quota there is not cut at all.
     """
     keys, top = [*by, "stratum"], 16**HEAD - 1
-    reach = F.ceil(F.lit(top + 1.0) * (F.col("quota") + 8 * F.sqrt(F.col("quota")) + 40) / F.col("n_seen"))
     wanted = F.broadcast(quotas.where("quota > 0"))
-    near = wanted.select(*keys, "quota", F.lpad(F.lower(F.hex(F.least(F.lit(top), reach).cast("long"))), HEAD, "0").alias("_reach"))
+    near = wanted.select(*keys, "quota", F.lpad(F.lower(F.hex(F.least(F.lit(top), reach(F.col("quota"), F.col("n_seen"))).cast("long"))), HEAD, "0").alias("_reach"))
     held = rows.select(*keys, "_head").join(F.broadcast(near), keys).where("_head <= _reach").groupBy(*keys, "quota", "_head").agg(F.count("*").alias("_n"))
     upto = F.sum("_n").over(Window.partitionBy(*keys).orderBy("_head"))
     cut = held.withColumn("_upto", upto).where("_upto >= quota").groupBy(*keys).agg(F.min("_head").alias("_cut"))

@@ -60,6 +60,19 @@ def panes_of_windows(spark: SparkSession, slide: Slide) -> DataFrame:
     return spark.range(slide.count).select(F.col("id").alias("window_id"), F.explode(F.sequence(F.col("id") * step, F.col("id") * step + (per - 1))).alias("pane"))
 
 
+def cell_of(slide: Slide, seq: str = "seq") -> Column:
+    """Two cells a step, cut where windows begin and where they end: few even where length and step have no common divisor and panes are single positions."""
+    at = F.col(seq) - slide.origin
+    step = F.floor(at / slide.step).cast("long")
+    return step * 2 + (at - step * slide.step >= slide.length % slide.step).cast("long")
+
+
+def cells_of_windows(spark: SparkSession, slide: Slide) -> DataFrame:
+    """(window_id, cell) for every cell of every window."""
+    most = slide.length // slide.step * 2 + (1 if slide.length % slide.step else 0) - 1
+    return spark.range(slide.count).select(F.col("id").alias("window_id"), F.explode(F.sequence(F.col("id") * 2, F.col("id") * 2 + most)).alias("cell"))
+
+
 def window_schedule(base: int, deltas: list[int], slide_share: float, anchor: str = "start_moves", origin: int = 0) -> list[tuple[int, int, int]]:
     """Windows of changing size: the start (or the end) moves by a share of the previous size, the other side absorbs the change."""
     lo, hi, out = origin, origin + base, [(0, origin, origin + base)]

@@ -4,8 +4,11 @@ import pytest
 from pyspark.sql import functions as F
 
 from slidesample.functions.hashing import SPAN
-from slidesample.operators import sampling
+from slidesample.operators import carryover, sampling, windows
 from slidesample.plans import catalog
+from slidesample.plans.base import SEED, EventRun
+from slidesample.plans.q_runs import memo_average, poisson_run
+from slidesample.sources import tables
 
 SMALL, MID = "/root/testdata/sf0.001", "/root/testdata/sf0.01"
 
@@ -39,3 +42,50 @@ def test_cuts_are_exact_for_priorities_that_are_not_uniform(spark):
     assert got == {"a": set(range(293, 300)), "b": set(range(20)), "c": set(range(50))}
     cuts = {r["stratum"]: r["_cut"] for r in sampling.quota_cuts(items.withColumn("_head", F.substring(F.lpad(F.lower(F.hex("u")), 15, "0"), 1, 3)), quotas).collect()}
     assert cuts["a"] == "fff" and cuts["b"] == "000" and "d" not in cuts
+
+
+def test_windows_have_few_cells_whatever_length_and_step(spark):
+    for length, step in ((60013, 1200), (25, 25), (7, 3), (10, 4), (3, 5)):
+        slide = windows.Slide(length, step, 5 * length + 11)
+        edges = windows.cells_of_windows(spark, slide)
+        assert edges.count() <= slide.count * (2 * (length // step) + 1)
+        if slide.total < 1000:
+            items = spark.range(slide.total).select(F.col("id").alias("seq"))
+            got = items.withColumn("cell", windows.cell_of(slide)).join(edges, "cell").groupBy("window_id").agg(F.min("seq").alias("a"), F.max("seq").alias("b"), F.count("*").alias("n")).collect()
+            assert {(r["window_id"], r["a"], r["b"], r["n"]) for r in got} == {(w, w * step, w * step + length - 1, length) for w in range(slide.count)}
+
+
+@pytest.mark.parametrize("step", [2, 4, 16])
+def test_exp_poisson_slide_has_few_edges(spark, step):
+    """Simulated arrivals have no round number: panes of the common divisor were single positions, and the list of each window's panes was broadcast."""
+    run = poisson_run(spark, MID, step_pct=step)
+    assert windows.cells_of_windows(spark, run.slide).count() <= run.slide.count * (2 * (run.slide.length // run.slide.step) + 1)
+    plan = run.counts._jdf.queryExecution().executedPlan().toString()
+    assert "pane" not in plan
+
+
+def test_exp_poisson_sample_size_numbers_arrivals_in_parallel(spark):
+    """The numbers are those of one running sum, and items are not made in one task."""
+    items = tables.poisson_items(spark, 3500, {"S1": 3.0, "S2": 4.0})
+    seqs = [r["seq"] for r in items.orderBy("item_id").collect()]
+    assert seqs == list(range(len(seqs)))
+    plan = items._jdf.queryExecution().executedPlan().toString().split("\n")
+    depth = lambda line: len(line) - len(line.lstrip(" :+-"))
+    explode = next(depth(x) for x in plan if "Generate explode" in x)
+    single = [x for x in plan if "Exchange SinglePartition" in x]
+    assert single and all(depth(x) > explode + 6 for x in single)
+    assert not [x for x in plan if "Window" in x and "block" not in x]
+
+
+@pytest.mark.parametrize("name", ["exp_sample_size", "exp_slide"])
+def test_chain_counts_are_those_of_the_chain(spark, name):
+    """No row of a sample goes through Python one by one; the summary is that of all rows."""
+    assert "MapInPandas" not in catalog.queries()[name](spark, SMALL)._jdf.queryExecution().executedPlan().toString()
+    run = EventRun(spark, SMALL, sub_streams=True)
+    for refill in ("hash", "newest_first", "sample_order"):
+        got = {(r["window_id"], r["stratum"]): (r["needed"], r["known"]) for r in carryover.chain_counts(run.sample, SEED, run.slide, (refill,)).collect()}
+        rows = run.chain("biased", refill).groupBy("window_id", "stratum").agg(F.count("*").alias("n"), F.count_if("from_memo").alias("k")).collect()
+        assert got == {(r["window_id"], r["stratum"]): (r["n"], r["k"]) for r in rows}
+    alive = carryover.chain_counts(run.sample, SEED, run.slide).where(F.col("window_id") + 1 < run.slide.count).groupBy("stratum").agg(F.sum("alive").alias("a"))
+    want = {r["stratum"]: r["memo_avg"] for r in memo_average(run, run.chain()).collect()}
+    assert {r["stratum"]: round(r["a"] / (run.slide.count - 1), 4) for r in alive.collect()} == pytest.approx(want)
