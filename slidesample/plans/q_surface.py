@@ -64,11 +64,16 @@ def sampled_star_join(spark, sf):
 
 @query("SELECT s AS strategy, o_orderpriority, count(*) AS n FROM lineitem JOIN orders ON o_orderkey = l_orderkey, (SELECT unnest(['broadcast', 'merge', 'shuffle_hash']) AS s) GROUP BY ALL")
 def join_strategies(spark, sf):
+    """The same join three ways.  A table that is too large to hold on the driver (`BROADCAST_ROWS`) is joined whole without the broadcast hint."""
     li, o = tables.load(spark, sf, "lineitem").select("l_orderkey"), tables.load(spark, sf, "orders").select("o_orderkey", "o_orderpriority")
-    one = lambda h: li.join(o.hint(h), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n")).withColumn("strategy", F.lit(h))
+    fits = o.count() <= BROADCAST_ROWS
+    one = lambda h: li.join(o.hint(h) if fits or h != "broadcast" else o.hint("merge"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n")).withColumn("strategy", F.lit(h))
     return union([one(h) for h in ("broadcast", "merge", "shuffle_hash")])
 
 
+BROADCAST_ROWS = 1_000_000
+
+
 @query(f"WITH {E_} SELECT window_id, count(*) AS n, sum(item_id) AS id_sum FROM assigned GROUP BY 1")
 def range_join_windows(spark, sf):
     """Items meet a schedule through cells (equi-join) and a residual range test."""

@@ -89,3 +89,12 @@ def test_chain_counts_are_those_of_the_chain(spark, name):
     alive = carryover.chain_counts(run.sample, SEED, run.slide).where(F.col("window_id") + 1 < run.slide.count).groupBy("stratum").agg(F.sum("alive").alias("a"))
     want = {r["stratum"]: r["memo_avg"] for r in memo_average(run, run.chain()).collect()}
     assert {r["stratum"]: round(r["a"] / (run.slide.count - 1), 4) for r in alive.collect()} == pytest.approx(want)
+
+
+def test_join_strategies_broadcast_only_what_fits(spark, monkeypatch):
+    from slidesample.plans import q_surface
+
+    want = sorted(map(tuple, q_surface.join_strategies(spark, SMALL).collect()))
+    monkeypatch.setattr(q_surface, "BROADCAST_ROWS", 10)
+    df = q_surface.join_strategies(spark, SMALL)
+    assert "o_orderpriority" not in broadcast_columns(df.where("strategy = 'broadcast'")) and sorted(map(tuple, df.collect())) == want
