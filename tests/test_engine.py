@@ -30,8 +30,14 @@ def test_t_scores():
 
 
 def test_worked_examples(spark):
-    assert {(r["stratum"], r["quota"]) for r in catalog.queries()["quota_worked_example"](spark, SMALL).collect()} == {("A", 100), ("B", 200)}
-    assert {r["reducer"] for r in catalog.queries()["propagation_example"](spark, SMALL).where("state = 'redone'").collect()} == {"R3", "R5"}
+    counts = spark.createDataFrame([(0, "A", 500), (0, "B", 1000)], "window_id long, stratum string, n_seen long")
+    assert {(r["stratum"], r["quota"]) for r in allocate.proportional_quota(counts, 300).collect()} == {("A", 100), ("B", 200)}
+    floor = spark.createDataFrame([(0, "A", 997), (0, "B", 2), (0, "C", 1)], "window_id long, stratum string, n_seen long")
+    assert {(r["stratum"], r["quota"]) for r in allocate.proportional_quota(floor, 10, least=1).collect()} == {("A", 8), ("B", 1), ("C", 1)}
+    feeds = {"M0": ["R3"], "M1": ["R1"], "M2": ["R2", "R3"], "M3": ["R4", "R5"], "M4": ["R1", "R2"], "M5": ["R3", "R5"], "M6": ["R3", "R5"]}
+    edges = spark.createDataFrame([(m, r) for m, rs in feeds.items() for r in rs], "src string, dst string")
+    changed = spark.createDataFrame([("M0",), ("M5",), ("M6",)], "node string")
+    assert {r["node"] for r in incremental.dirty_reducers(edges, changed).collect()} == {"R3", "R5"}
 
 
 def test_quotas(spark):

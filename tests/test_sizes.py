@@ -98,3 +98,38 @@ def test_join_strategies_broadcast_only_what_fits(spark, monkeypatch):
     monkeypatch.setattr(q_surface, "BROADCAST_ROWS", 10)
     df = q_surface.join_strategies(spark, SMALL)
     assert "o_orderpriority" not in broadcast_columns(df.where("strategy = 'broadcast'")) and sorted(map(tuple, df.collect())) == want
+
+
+@pytest.mark.parametrize("name", ["bound_edge_cases", "budget_latency", "budget_tokens", "poisson_arrival_counts", "propagation_example", "quota_with_floor", "quota_worked_example", "t_scores"])
+def test_query_reads_a_table(spark, name):
+    df = catalog.queries()[name](spark, SMALL)
+    assert any("events.parquet" in f for f in df.inputFiles()) and not df.isEmpty()
+
+
+def test_budget_feedback_follows_the_table(spark):
+    """Costs are those of the table's hours: shares of hours as counted, not a fixed step."""
+    rows = {r["window_id"]: r for r in catalog.queries()["budget_feedback"](spark, MID).collect()}
+    per = {r["h"]: r["n"] for r in tables.event_items(spark, MID).groupBy(F.hour("ts").alias("h")).agg(F.count("*").alias("n")).collect()}
+    assert set(rows) == set(range(24))
+    for hour, r in rows.items():
+        assert r["cost"] == pytest.approx(r["sample_size"] * 0.024 * per[hour] / sum(per.values()), abs=1e-4)
+
+
+def test_bound_edge_cases_has_all_four(spark):
+    r = {x["window_id"]: x for x in catalog.queries()["bound_edge_cases"](spark, MID).collect()}
+    assert r[0]["margin"] == 0 and r[1]["pooled"] == 1 and r[1]["margin"] > 0 and r[2]["refused"] == 1 and r[2]["estimate"] is None and r[3]["df"] == 0 and r[3]["margin"] is None
+
+
+def test_variance_by_design_is_exact_without_luck(spark):
+    """With and without the cut the sums are the same, and far fewer rows are ranked with it."""
+    from slidesample.operators import allocate
+    from slidesample.plans.q_runs import design_sums
+
+    items = tables.lineitem_items(spark, SMALL, band=True).select("item_id", "stratum", "value")
+    bands = allocate.stratum_counts(items.withColumn("window_id", F.lit(0).cast("long")), "window_id")
+    total = items.count()
+    quotas = allocate.proportional_quota(bands, total // 50).drop("window_id")
+    got = [{(r["window_id"], r["stratum"]): (r["sv"], r["sv_global"], r["held"]) for r in design_sums(items, quotas, total, total // 50, 3, cut).collect()} for cut in (True, False)]
+    for k, (sv, sv_global, held) in got[1].items():
+        assert got[0].get(k, (None, None, 0))[:2] == (sv, sv_global)
+    assert sum(x[2] for x in got[0].values()) < sum(x[2] for x in got[1].values())
